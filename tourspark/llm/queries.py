@@ -2,24 +2,44 @@
 
 from __future__ import annotations
 
-from tourspark.llm import secrets, sharding
+from tourspark.llm import blockjoin, mtree, secrets, sharding, simhash
 from tourspark.session import read_table
 
 
+def op2_mtree_top_k(spark, sf_dir):
+    return mtree.top_k(read_table(spark, sf_dir, "embeddings"))
+
+
 def op3_secret_scan(spark, sf_dir):
     return secrets.digest(read_table(spark, sf_dir, "documents"))
 
 
+def op5_simhash_near_duplicates(spark, sf_dir):
+    return simhash.near_duplicates(read_table(spark, sf_dir, "documents"))
+
+
+def op6_block_matrix_join(spark, sf_dir):
+    return blockjoin.neighbours(read_table(spark, sf_dir, "embeddings"))
+
+
 def op10_rendezvous_shards(spark, sf_dir):
     return sharding.shard_documents(read_table(spark, sf_dir, "documents"), 40)
 
 
 def queries():
     return {
+        "op2_mtree_top_k": op2_mtree_top_k,
         "op3_secret_scan": op3_secret_scan,
+        "op5_simhash_near_duplicates": op5_simhash_near_duplicates,
+        "op6_block_matrix_join": op6_block_matrix_join,
         "op10_rendezvous_shards": op10_rendezvous_shards,
     }
 
 
 def oracle_sql():
-    return {"op3_secret_scan": secrets.oracle(), "op10_rendezvous_shards": sharding.ORACLE}
+    return {
+        "op2_mtree_top_k": mtree.ORACLE,
+        "op3_secret_scan": secrets.oracle(),
+        "op6_block_matrix_join": blockjoin.ORACLE,
+        "op10_rendezvous_shards": sharding.ORACLE,
+    }
