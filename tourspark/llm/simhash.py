@@ -228,3 +228,13 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     lowest = known.groupBy("comp").agg(F.min("low").alias("component_id"))
     named = known.join(lowest, "comp").select("fp", "component_id")
     return made.join(named, "fp").select(F.col("id").alias(id_col), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+def keep_first(docs: DataFrame, id_col: str = "doc_id", text: str = "text", budget: int = 3, shingle: int = 3) -> DataFrame:
+    """The rows of ``docs`` whose id is their component's smallest, with their columns.
+
+    Rows without an id stay: nothing says which of them is first. Rows that repeat a kept id
+    stay too.
+    """
+    kept = near_duplicates(docs, id_col, text, budget, shingle).where(F.col(id_col) == F.col("component_id")).select(F.col(id_col).alias("__kept")).distinct()
+    return docs.join(kept, docs[id_col].cast("long") == kept["__kept"], "left_semi").unionByName(docs.where(F.col(id_col).isNull()))
