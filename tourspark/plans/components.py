@@ -46,3 +46,32 @@ def min_label_components(edges: DataFrame, u: str = "u", v: str = "v", max_round
         live = crossing.join(left, "a").join(right, "b").select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).where("a <> b").distinct()
         live = stage(live, "cc-edges")
     raise _rounds_error(max_rounds)
+
+
+def components(g, method: str = "label_min", max_rounds: int = 64) -> DataFrame:
+    """(v, comp): every vertex with the smallest vertex of its component.
+
+    ``label_min`` contracts trees of smallest neighbours; ``star`` alternates large-star and
+    small-star rewriting of the edges until they are stars.
+    """
+    if method == "label_min":
+        return min_label_components(g.edges, max_rounds=max_rounds)
+    if method != "star":
+        raise ValueError(f"unknown method {method}")
+    rows = stage(g.edges.select(F.greatest("u", "v").alias("a"), F.least("u", "v").alias("b")).distinct(), "star")
+    every = stage(rows.select(F.explode(F.array("a", "b")).alias("v")).distinct(), "star-v")
+    live = rows.where("a <> b")
+    for _ in range(max_rounds):
+        # large star: larger neighbours of a vertex go to the least of its neighbourhood
+        both = live.select("a", "b").unionByName(live.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
+        large = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
+        large = stage(large.where("a <> b"), "star-large")
+        # small star: smaller neighbours and the vertex itself go to the least of them
+        low = large.groupBy("a").agg(F.min("b").alias("m"))
+        small = large.join(low, "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("e")).select("e.a", "e.b").where("a <> b").distinct()
+        small = stage(small, "star-small")
+        if small.exceptAll(live.select("a", "b")).isEmpty() and live.select("a", "b").exceptAll(small).isEmpty():
+            return every.join(small.groupBy("a").agg(F.min("b").alias("comp")).withColumnRenamed("a", "v"), "v", "left").select("v", F.coalesce("comp", "v").alias("comp"))
+        live = small
+    raise _rounds_error(max_rounds)
