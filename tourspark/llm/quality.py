@@ -15,12 +15,12 @@ from __future__ import annotations
 
 import math
 import re
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -48,6 +48,10 @@ def grams(text: str | None, shapes: dict[str, str]) -> list[set]:
     return [words, set(zip(tokens, tokens[1:], strict=False)), {(f,) for f in set(form)}, set(zip(form, form[1:], strict=False)), set(zip(form, form[1:], form[2:], strict=False))]
 
 
+def _code(kind: int, gram) -> int:
+    return xxhash.xxh64_intdigest(gram if kind == 0 else "\t".join(gram), kind)
+
+
 @dataclass
 class Model:
     """Weights of the n-grams by kind, and the logistic curve over their sum."""
@@ -70,10 +74,16 @@ def fit(texts: list[str | None], labels: list[int], least: int = 2, smooth: floa
     if not pos or not neg:
         return Model([{} for _ in range(5)], 0.0, 0.0, 2.0 if pos else -2.0 if neg else 0.0)
     shapes: dict[str, str] = {}
-    sets = [{(k, g) for k, kind in enumerate(grams(t, shapes)) for g in kind} for t in texts]
-    seen = Counter(g for s in sets for g in s)
-    index = {g: i for i, g in enumerate(sorted((g for g, n in seen.items() if n >= least), key=repr))}
-    rows = [np.array(sorted(index[g] for g in s if g in index), np.int64) for s in sets]
+    # n-grams as digests first, so that those of one text only never stay in memory
+    coded = [np.fromiter((_code(k, g) for k, kind in enumerate(grams(t, shapes)) for g in kind), np.uint64) for t in texts]
+    found, seen = np.unique(np.concatenate(coded), return_counts=True)
+    found = found[seen >= least]
+    rows = []
+    for own in coded:
+        at = np.minimum(np.searchsorted(found, own), max(0, len(found) - 1))
+        rows.append(np.sort(at[found[at] == own]) if len(found) else at[:0])
+    del coded
+    index = range(len(found))
     p = np.full(len(index), smooth)
     q = np.full(len(index), smooth)
     for r, t in zip(rows, y, strict=True):
@@ -103,9 +113,12 @@ def fit(texts: list[str | None], labels: list[int], least: int = 2, smooth: floa
     margin = np.array([float(scaled[r].sum()) for r in rows]) + bias
     slope, shift = _logistic(margin, y)
     weights: list[dict] = [{} for _ in range(5)]
-    for (k, g), i in index.items():
-        if abs(scaled[i]) > 1e-9:
-            weights[k][g] = float(scaled[i])
+    at = {int(h): float(s) for h, s in zip(found, scaled, strict=True) if abs(s) > 1e-9}
+    for t in texts:
+        for k, kind in enumerate(grams(t, shapes)):
+            for g in kind:
+                if g not in weights[k] and (s := at.get(_code(k, g))) is not None:
+                    weights[k][g] = s
     return Model(weights, float(bias), slope, shift)
 
 
