@@ -6,7 +6,7 @@ places where it stands. Merges are applied in rank order, each to all its places
 a merge touches only its two neighbours, whose new pairs enter the index. A word's tokens
 are then those that remain, and every text is its words' tokens in a row.
 
-Words seen in an earlier slab of the same task keep their tokens, so replay meets only new
+Words seen in an earlier slab of the same worker keep their tokens, so replay meets only new
 ones. Decoding goes from ids back to bytes.
 """
 
@@ -35,66 +35,86 @@ def load(path: str = RANKS) -> dict[bytes, int]:
         return {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
 
 
-def replay(words: list[bytes], ranks: dict[bytes, int]) -> list[list[int]]:
+@lru_cache(2)
+def merges(path: str = RANKS) -> dict[int, int]:
+    """Rank of what two neighbouring tokens make, by their ids in one number: every cut of a
+    token into two tokens."""
+    ranks = load(path)
+    get, out = ranks.get, {}
+    for piece, rank in ranks.items():
+        for i in range(1, len(piece)):
+            a, b = get(piece[:i]), get(piece[i:])
+            if a is not None and b is not None:
+                out[a << 32 | b] = rank
+    return out
+
+
+def replay(words: list[bytes], ranks: dict[bytes, int], pairs: dict[int, int]) -> list[list[int]]:
     """Token ids of each word. A word that is itself a token is that token."""
-    symbol: list[bytes] = []
+    token: list[int] = []
     left: list[int] = []
     right: list[int] = []
     first: list[int] = []
     places: dict[int, list[int]] = {}  # the inverted index: rank of a pair -> where it starts
-    get = ranks.get
+    byte, get = [ranks[bytes([i])] for i in range(256)], pairs.get
     for w in words:
-        n = len(symbol)
-        if (len(w) == 1 or w in ranks) or not w:
-            symbol.append(w)
+        n, whole = len(token), ranks.get(w)
+        first.append(n if w else -1)
+        if whole is not None:
+            token.append(whole)
             left.append(-1)
             right.append(-1)
-            first.append(n)
-            continue
-        parts = [w[i : i + 1] for i in range(len(w))]
-        symbol += parts
-        left += [-1, *range(n, n + len(parts) - 1)]
-        right += [*range(n + 1, n + len(parts)), -1]
-        first.append(n)
-        for i in range(len(parts) - 1):
-            r = get(w[i : i + 2])
-            if r is not None:
-                places.setdefault(r, []).append(n + i)
+        elif w:
+            own = [byte[c] for c in w]
+            token += own
+            left.append(-1)
+            left += range(n, n + len(own) - 1)
+            right += range(n + 1, n + len(own))
+            right.append(-1)
+            before = own[0]
+            for i, t in enumerate(own[1:], n):
+                r = get(before << 32 | t)
+                if r is not None:
+                    at = places.get(r)
+                    if at is None:
+                        places[r] = [i]
+                    else:
+                        at.append(i)
+                before = t
     queue = list(places)
     heapq.heapify(queue)
-    gone = bytearray(len(symbol))
     while queue:
         rank = heapq.heappop(queue)
-        own = places.pop(rank, None)
-        if not own:
-            continue
+        own = places.pop(rank)
         own.sort()
         for k, a in enumerate(own):
             b = right[a]
-            if gone[a] or b < 0:
+            # a place is stale where a merge has changed either token since
+            if b < 0 or token[a] < 0 or get(token[a] << 32 | token[b]) != rank:
                 continue
-            made = symbol[a] + symbol[b]
-            if get(made) != rank:
-                continue  # a neighbour has changed since
-            symbol[a], gone[b] = made, 1
+            token[a], token[b] = rank, -1
             c = right[a] = right[b]
             p, lower = left[a], False
             if c >= 0:
                 left[c] = a
-                r = get(made + symbol[c])
+                r = get(rank << 32 | token[c])
                 if r is not None:
-                    if r not in places:
-                        places[r] = []
+                    at = places.get(r)
+                    if at is None:
+                        places[r] = [a]
                         heapq.heappush(queue, r)
-                    places[r].append(a)
+                    else:
+                        at.append(a)
                     lower = r < rank
             if p >= 0:
-                r = get(symbol[p] + made)
+                r = get(token[p] << 32 | rank)
                 if r is not None:
-                    if r not in places:
-                        places[r] = []
+                    at = places.get(r)
+                    if at is None:
+                        places[r] = [p]
                         heapq.heappush(queue, r)
-                    places[r].append(p)
+                    else:
+                        at.append(p)
                     lower |= r < rank
             if lower and k + 1 < len(own):
                 # an earlier merge has become possible: it goes first, then the rest of these
@@ -106,10 +126,9 @@ def replay(words: list[bytes], ranks: dict[bytes, int]) -> list[list[int]]:
     out = []
     for at in first:
         ids = []
-        if symbol[at]:
-            while at >= 0:
-                ids.append(ranks[symbol[at]])
-                at = right[at]
+        while at >= 0:
+            ids.append(token[at])
+            at = right[at]
         out.append(ids)
     return out
 
@@ -118,38 +137,47 @@ class Coder:
     """Encodes and decodes texts, slab by slab; keeps the words of earlier slabs."""
 
     def __init__(self, path: str = RANKS, pattern: str = public_tokenizers.PATTERN):
-        self.ranks = load(path)
+        self.ranks, self.pairs = load(path), merges(path)
         self.piece = {n: b for b, n in self.ranks.items()}
         self.split = regex.compile(pattern).findall
-        self.known: dict[str, tuple[str, int, bytes]] = {}
+        self.ids: dict[str, str] = {}  # of a word seen: its ids as text
+        self.back: dict[str, bytes] = {}  # and what they decode to
 
     def learn(self, words: set[str]) -> None:
         """Replay the merges over the words not known yet: (ids as text, count, decoded)."""
-        new = sorted(w for w in words if w not in self.known)
-        for w, ids in zip(new, replay([w.encode() for w in new], self.ranks), strict=True):
-            self.known[w] = (",".join(map(str, ids)), len(ids), b"".join(map(self.piece.__getitem__, ids)))
+        new = sorted(w for w in words if w not in self.ids)
+        for w, ids in zip(new, replay([w.encode() for w in new], self.ranks, self.pairs), strict=True):
+            self.ids[w] = ",".join(map(str, ids))
+            self.back[w] = self.decode(ids)
 
     def encode(self, texts: list[str]) -> list[list[int]]:
         cut = [self.split(t) for t in texts]
         self.learn({w for words in cut for w in words})
-        return [[int(i) for w in words for i in self.known[w][0].split(",")] for words in cut]
+        return [[int(i) for w in words for i in self.ids[w].split(",")] for words in cut]
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.piece.__getitem__, ids))
 
     def digests(self, texts: list[str]) -> list[tuple[int, str, str]]:
-        if len(self.known) > MOST_WORDS:
-            self.known.clear()
+        if len(self.ids) > MOST_WORDS:
+            self.ids.clear()
+            self.back.clear()
         cut = [self.split(t) for t in texts]
         self.learn(set().union(*cut))
-        get, out = self.known.__getitem__, []
+        ids_of, back_of, sha, out = self.ids.__getitem__, self.back.__getitem__, hashlib.sha256, []
         for words in cut:
-            rows = list(map(get, words))
-            ids, n, back = zip(*rows, strict=True) if rows else ((), (), ())
-            out.append((sum(n), hashlib.sha256(",".join(ids).encode()).hexdigest(), hashlib.sha256(b"".join(back)).hexdigest()))
+            ids = ",".join(map(ids_of, words))
+            back = b"".join(map(back_of, words))
+            out.append((ids.count(",") + 1 if ids else 0, sha(ids.encode()).hexdigest(), sha(back).hexdigest()))
         return out
 
 
+@lru_cache(1)
+def coder(path: str) -> Coder:
+    """One for each worker process, so that later tasks start with the words of earlier ones."""
+    return Coder(path)
+
+
 def _slabs(rows: pd.DataFrame, most: int) -> Iterator[pd.DataFrame]:
     at, size = 0, 0
     for i, t in enumerate(rows["t"]):
@@ -162,10 +190,10 @@ def _slabs(rows: pd.DataFrame, most: int) -> Iterator[pd.DataFrame]:
 
 
 def _run(batches: Iterator[pd.DataFrame], path: str, most: int) -> Iterator[pd.DataFrame]:
-    coder = Coder(path)
+    own = coder(path)
     for rows in batches:
         for part in _slabs(rows, most):
-            made = pd.DataFrame(coder.digests(part["t"].tolist()), columns=["n_tokens", "ids_sha256", "decoded_sha256"])
+            made = pd.DataFrame(own.digests(part["t"].tolist()), columns=["n_tokens", "ids_sha256", "decoded_sha256"])
             yield pd.concat([part.drop(columns="t").reset_index(drop=True), made], axis=1)
 
 
@@ -182,10 +210,10 @@ def encode_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text"
     kind = docs.schema[id_col].dataType.simpleString()
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        coder = Coder(path)
+        own = coder(path)
         for rows in batches:
             for part in _slabs(rows, SLAB):
-                yield pd.DataFrame({id_col: part[id_col].to_numpy(), "ids": coder.encode(part["t"].tolist())})
+                yield pd.DataFrame({id_col: part[id_col].to_numpy(), "ids": own.encode(part["t"].tolist())})
 
     rows = docs.select(F.col(id_col).alias(id_col), F.coalesce(text, F.lit("")).alias("t"))
     return rows.mapInPandas(run, f"`{id_col}` {kind}, ids array<int>")
