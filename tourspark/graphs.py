@@ -130,9 +130,10 @@ def kmer_edges(texts: DataFrame, text: str = "text", k: int = 1) -> DataFrame:
     """Neighbouring k-grams of the words of each text. Words are lower-cased runs of ASCII
     letters; the two ends of an edge overlap in k - 1 words."""
     words = F.filter(F.split(F.lower(text), "[^a-z]+"), lambda w: w != "")
-    grams = words if k == 1 else F.transform(F.sequence(F.lit(1), F.size("w") - k + 1), lambda i: F.array_join(F.slice("w", i, k), " "))
-    rows = texts.select(words.alias("w")).where(F.size("w") >= k + 1).select(grams.alias("g"))
-    steps = F.transform(F.sequence(F.lit(1), F.size("g") - 1), lambda i: F.struct(F.element_at("g", i).alias("a"), F.element_at("g", i + 1).alias("b")))
+    rows = texts.select(words.alias("w")).where(F.size("w") >= k + 1)
+    if k > 1:
+        rows = rows.select(F.transform(F.sequence(F.lit(1), F.size("w") - k + 1), lambda i: F.array_join(F.slice("w", i, k), " ")).alias("w"))
+    steps = F.transform(F.sequence(F.lit(1), F.size("w") - 1), lambda i: F.struct(F.element_at("w", i).alias("a"), F.element_at("w", i + 1).alias("b")))
     return rows.select(F.explode(steps).alias("s")).select(token_id(F.col("s.a")).alias("u"), token_id(F.col("s.b")).alias("v"))
 
 
@@ -227,7 +228,7 @@ def complete_odd(spark: SparkSession, k: int = 7) -> DataFrame:
     product has a known size."""
     if k % 2 == 0:
         raise ValueError("k must be odd")
-    return spark.range(k).select(F.col("id").alias("u"), F.explode(F.sequence(F.lit(0), F.lit(k - 1))).cast("long").alias("v")).where("u < v")
+    return spark.range(k).select(F.col("id").alias("u"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(k - 1).cast("long"))).alias("v")).where("u < v")
 
 
 def grid_doubled(spark: SparkSession, rows: int = 16, cols: int = 16) -> Graph:
