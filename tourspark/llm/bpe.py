@@ -22,7 +22,8 @@ import pandas as pd
 import public_tokenizers
 import regex
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
+
+from tourspark.llm.rows import named, text_rows
 
 RANKS = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
 #: Texts of a slab, in code points, and how many words a task keeps.
@@ -200,20 +201,17 @@ def _run(batches: Iterator[pd.DataFrame], path: str, most: int) -> Iterator[pd.D
 def code(docs: DataFrame, id_col: str = "doc_id", text: str = "text", path: str = RANKS, slab: int = SLAB) -> DataFrame:
     """(id, n_tokens, ids_sha256, decoded_sha256) of every row; null texts count as empty and
     have no tokens. Repeated rows come back repeated; other columns are ignored."""
-    rows = docs.select(F.col(id_col).alias(id_col), F.coalesce(text, F.lit("")).alias("t"))
-    kind = docs.schema[id_col].dataType.simpleString()
-    return rows.mapInPandas(lambda b: _run(b, path, slab), f"`{id_col}` {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    rows = text_rows(docs, id_col, text, empty=True)
+    return named(rows.mapInPandas(lambda b: _run(b, path, slab), "id string, n_tokens long, ids_sha256 string, decoded_sha256 string"), docs, id_col)
 
 
 def encode_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text", path: str = RANKS) -> DataFrame:
     """(id, ids array<int>) of every row: the ids themselves."""
-    kind = docs.schema[id_col].dataType.simpleString()
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         own = coder(path)
         for rows in batches:
             for part in _slabs(rows, SLAB):
-                yield pd.DataFrame({id_col: part[id_col].to_numpy(), "ids": own.encode(part["t"].tolist())})
+                yield pd.DataFrame({"id": part["id"].to_numpy(), "ids": own.encode(part["t"].tolist())})
 
-    rows = docs.select(F.col(id_col).alias(id_col), F.coalesce(text, F.lit("")).alias("t"))
-    return rows.mapInPandas(run, f"`{id_col}` {kind}, ids array<int>")
+    return named(text_rows(docs, id_col, text, empty=True).mapInPandas(run, "id string, ids array<int>"), docs, id_col)

@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tourspark.llm.quality import held_out
+from tourspark.llm.rows import named, text_rows
 
 WORD = re.compile(r"[^\W\d_]+")
 UNKNOWN = "und"
@@ -147,9 +148,9 @@ def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text: str =
     """(id, held_out, lang_pred, score) of every row: null texts and texts without a letter
     are ``und`` with score 0. Repeated rows come back repeated; other columns are ignored."""
     shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the fit's limits
-    named = docs.select(F.col(id_col).alias(id_col), held_out(F.col(id_col), 4, 2).alias("held_out"), F.col(text).alias("t"))
-    kind = docs.schema[id_col].dataType.simpleString()
-    return named.mapInPandas(lambda b: _predict(b, shared.value), f"`{id_col}` {kind}, held_out boolean, lang_pred string, score double")
+    rows = text_rows(docs, id_col, text, held_out(F.col(id_col), 4, 2).alias("held_out"))
+    made = rows.mapInPandas(lambda b: _predict(b, shared.value), "id string, held_out boolean, lang_pred string, score double")
+    return named(made, docs, id_col)
 
 
 def keep_known(docs: DataFrame, model: Model, text: str = "text", least: float = 0.5) -> DataFrame:

@@ -24,7 +24,8 @@ import public_tokenizers
 import tiktoken
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
+
+from tourspark.llm.rows import named, text_rows
 
 VOCABULARY = public_tokenizers.path("byte_bpe_50k.json")
 LENGTH, END = 1024, 0
@@ -81,11 +82,11 @@ def _pieces(batches: Iterator[pd.DataFrame], path: str, length: int, run_tokens:
             rows.append((held[d][0], start, size, zlib.crc32(own[start : start + size]), len(own), (part << 40) + sequence + s, offset))
             highest = max(highest, s)
         sequence += highest + 1
-        return pd.DataFrame(rows, columns=["id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]).astype({"id": "Int64"})
+        return pd.DataFrame(rows, columns=["id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"])
 
     for rows in batches:
         for i, t in zip(rows["id"].tolist(), rows["t"], strict=True):
-            held.append((None if i != i or i is None else int(i), np.array([*encode(t or ""), END], "<u4")))
+            held.append((i, np.array([*encode(t or ""), END], "<u4")))
             tokens += len(held[-1][1])
             if tokens >= run_tokens:
                 yield packed()
@@ -101,9 +102,8 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text: str = "text", path: str
     hold the task in their upper bits, which a repeated task gets again. Repeated rows are
     packed each; an empty table gives no pieces; other columns are ignored.
     """
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text).alias("t"))
-    made = rows.mapInPandas(
+    made = text_rows(docs, id_col, text).mapInPandas(
         lambda b: _pieces(b, path, length, run_tokens),
-        "id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long",
+        "id string, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long",
     )
-    return made.withColumnRenamed("id", id_col)
+    return named(made, docs, id_col)

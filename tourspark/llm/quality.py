@@ -24,6 +24,8 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tourspark.llm.rows import named, text_rows
+
 TOKEN = re.compile(r"\w+|\n+|[^\w\s]+")
 
 
@@ -151,7 +153,7 @@ def held_out(doc_id: Column, parts: int, part: int) -> Column:
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(parts)) == part, F.lit(False))
 
 
-def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "quality", sample: int = 6000, **options) -> Model:
+def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "quality", sample: int = 5000, **options) -> Model:
     """Fit on the ``sample`` labelled rows first in hash order of their ids that are not held out.
 
     Null labels and ids are left out. The sample bounds what comes to the driver.
@@ -170,7 +172,7 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text: str = "te
     """(id, held_out, score, predicted) of every row; null and empty texts get the score of
     no n-grams. Repeated rows come back repeated; other columns are ignored."""
     shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample
-    named = docs.select(F.col(id_col).alias(id_col), held_out(F.col(id_col), 3, 1).alias("held_out"), F.col(text).alias("t"))
+    rows_in = text_rows(docs, id_col, text, held_out(F.col(id_col), 3, 1).alias("held_out"))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         own, shapes = shared.value, {}
@@ -182,8 +184,7 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text: str = "te
             rows["score"], rows["predicted"] = made, (made >= 0.5).astype(int)
             yield rows
 
-    kind = docs.schema[id_col].dataType.simpleString()
-    return named.mapInPandas(run, f"`{id_col}` {kind}, held_out boolean, score double, predicted int")
+    return named(rows_in.mapInPandas(run, "id string, held_out boolean, score double, predicted int"), docs, id_col)
 
 
 def keep_good(docs: DataFrame, model: Model, text: str = "text", least: float = 0.5) -> DataFrame:

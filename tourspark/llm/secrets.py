@@ -20,6 +20,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tourspark.llm.rows import fresh
 from tourspark.llm.trigrams import query_of, trigrams_of
 
 #: Bits of a word of the bitmap form; the sign bit stays free.
@@ -162,14 +163,14 @@ def _gate(text: Column, rule: Rule, words: list[str], bits: list[Column]) -> Col
     return asked & text.rlike(rule.java)
 
 
-def scan(docs: DataFrame, text: str = "text", rules=RULES, prefix: str = "") -> DataFrame:
-    """``docs`` with a column ``<prefix>found``: array<struct<s, rank, kind, e>> in order.
+def scan(docs: DataFrame, text: str = "text", rules=RULES, name: str = "found") -> DataFrame:
+    """``docs`` with a column ``name``: array<struct<s, rank, kind, e>> in order.
 
     ``rank`` is the place of the kind among ``rules``. Null text counts as empty and has no
     spans; extra columns stay, but for one named like the new one.
     """
     words = vocabulary(rules)
-    bits = [f"__bits{i}" for i in range(len(posting_bits(F.lit(""), rules)))]
+    bits = [fresh(f"__bits{i}", docs.columns) for i in range(len(posting_bits(F.lit(""), rules)))]
     body = F.coalesce(F.col(text), F.lit(""))
     indexed = docs.withColumns(dict(zip(bits, posting_bits(body, rules), strict=True)))
     nothing = F.array().cast("array<struct<s:int,rank:int,kind:string,e:int>>")
@@ -179,7 +180,7 @@ def scan(docs: DataFrame, text: str = "text", rules=RULES, prefix: str = "") ->
         return F.when(_gate(body, rule, words, [F.col(b) for b in bits]), spans).otherwise(nothing)
 
     lists = [spans_of(rank, rule) for rank, rule in enumerate(rules)]
-    return indexed.withColumn(f"{prefix}found", F.array_sort(F.concat(*lists))).drop(*bits)
+    return indexed.withColumn(name, F.array_sort(F.concat(*lists))).drop(*bits)
 
 
 def joined(found: Column) -> Column:
@@ -189,8 +190,8 @@ def joined(found: Column) -> Column:
 
 def redact(docs: DataFrame, text: str = "text", rules=RULES, mark: str = "[SECRET]") -> DataFrame:
     """``docs`` with every span replaced by ``mark``; overlapping spans become one mark."""
-    columns = docs.columns
-    seen = scan(docs, text, rules, "__")
+    columns, found = docs.columns, fresh("__found", docs.columns)
+    seen = scan(docs, text, rules, found)
     start = F.struct(F.lit("").alias("out"), F.lit(0).alias("at"))
     body = F.coalesce(F.col(text), F.lit(""))
 
@@ -199,8 +200,8 @@ def redact(docs: DataFrame, text: str = "text", rules=RULES, mark: str = "[SECRE
         again = (x["s"] < acc["at"])
         return F.struct(F.concat(acc["out"], gap, F.when(again, F.lit("")).otherwise(F.lit(mark))).alias("out"), F.greatest(acc["at"], x["e"]).alias("at"))
 
-    cleaned = F.aggregate(F.col("__found"), start, step, lambda acc: F.concat(acc["out"], F.substring(body, acc["at"] + 1, F.length(body))))
-    return seen.withColumn(text, F.when(F.size("__found") > 0, cleaned).otherwise(F.col(text))).select(*columns)
+    cleaned = F.aggregate(F.col(found), start, step, lambda acc: F.concat(acc["out"], F.substring(body, acc["at"] + 1, F.length(body))))
+    return seen.withColumn(text, F.when(F.size(found) > 0, cleaned).otherwise(F.col(text))).select(*columns)
 
 
 def digest(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:

@@ -23,6 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tourspark.llm.rows import text_rows
 from tourspark.plans.components import min_label_components
 from tourspark.session import stage
 
@@ -65,9 +66,9 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text: str = "text", sh
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for rows in batches:
             made = np.array([fingerprint(t, shingle) for t in rows["t"]], np.uint64).view(np.int64)
-            yield pd.DataFrame({"id": rows["id"].astype("Int64"), "fp": made})
+            yield pd.DataFrame({"id": rows["id"], "fp": made})
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text).alias("t")).mapInPandas(run, "id long, fp long")
+    return text_rows(docs, id_col, text).mapInPandas(run, "id string, fp long").select(F.col("id").cast("long").alias("id"), "fp")
 
 
 def _keys(fp: np.ndarray, budget: int) -> list[np.ndarray]:

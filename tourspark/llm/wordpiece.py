@@ -20,7 +20,8 @@ import pandas as pd
 import public_tokenizers
 import sentencepiece
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
+
+from tourspark.llm.rows import named, text_rows
 
 MODEL = public_tokenizers.path("piece_bpe_32k.model")
 START = "▁"
@@ -113,6 +114,5 @@ def _run(batches: Iterator[pd.DataFrame], path: str) -> Iterator[pd.DataFrame]:
 def token_counts(docs: DataFrame, id_col: str = "doc_id", text: str = "text", path: str = MODEL) -> DataFrame:
     """(id, n_words, n_tokens, n_unknown) of every row. Null texts count as empty: all 0.
     Repeated rows come back repeated; other columns are ignored."""
-    rows = docs.select(F.col(id_col).alias(id_col), F.coalesce(text, F.lit("")).alias("t"))
-    kind = docs.schema[id_col].dataType.simpleString()
-    return rows.mapInPandas(lambda b: _run(b, path), f"`{id_col}` {kind}, n_words long, n_tokens long, n_unknown long")
+    rows = text_rows(docs, id_col, text, empty=True)
+    return named(rows.mapInPandas(lambda b: _run(b, path), "id string, n_words long, n_tokens long, n_unknown long"), docs, id_col)
