@@ -41,7 +41,7 @@ def unroll(ledger: Ledger) -> DataFrame:
         edges = rows.where("item_kind = 'edge'").select("walk", "pos", F.col("item_id").alias("eid"), "src", "dst")
         done = edges if done is None else done.unionByName(edges)
         nodes = rows.where("item_kind = 'frag'").select(F.col("item_id").alias("fid"), "walk", F.col("pos").alias("base"), F.col("same").alias("ahead"), F.col("len").alias("size"))
-    return done
+    return done if done is not None else ledger.spark.createDataFrame([], "walk long, pos long, eid long, src long, dst long")
 
 
 def incidence(walks: DataFrame) -> DataFrame:
