@@ -11,6 +11,7 @@ from pyspark.sql.types import LongType
 
 from tourspark.plans.baselines import closed_tour
 from tourspark.plans.metagraph import merge_tree
+from tourspark.session import ship
 
 
 @F.pandas_udf(LongType())
@@ -60,6 +61,7 @@ class MergeTreeOf:
 
 
 def register(spark: SparkSession) -> None:
+    ship(spark)
     spark.udtf.register("circuit_of", CircuitOf)
     spark.udtf.register("merge_tree_of", MergeTreeOf)
     spark.udf.register("edge_mark", edge_mark)

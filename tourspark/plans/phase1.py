@@ -15,6 +15,8 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from tourspark.session import ship
+
 ITEM_IN = "part int, kind string, item_id long, a long, b long, len long, ra int, rb int"
 OUT = (
     "tag string, fid long, part int, ftype string, src long, dst long, n_edges long, rs int, rd int, "
@@ -202,6 +204,7 @@ def phase1(items: DataFrame, level: int, n_parts: int, merge_internal: bool = Tr
         if held:
             yield from done()
 
+    ship(items.sparkSession)
     dealt = items.repartition(max(1, n_parts), "part").sortWithinPartitions("part", "kind", "item_id")
     return dealt.mapInArrow(kernel, OUT)
 

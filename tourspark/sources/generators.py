@@ -7,6 +7,8 @@ import hashlib
 from pyspark.sql import SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from tourspark.session import ship
+
 
 class _Span(InputPartition):
     def __init__(self, low: int, high: int):
@@ -81,5 +83,6 @@ class RmatSource(DataSource):
 
 
 def register(spark: SparkSession) -> None:
+    ship(spark)
     spark.dataSource.register(TorusSource)
     spark.dataSource.register(RmatSource)
