@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 
 from tourspark.llm.quality import held_out
 from tourspark.llm.rows import named, text_rows
+from tourspark.session import ship
 
 WORD = re.compile(r"[^\W\d_]+")
 UNKNOWN = "und"
@@ -125,6 +126,7 @@ def train(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lang: str
         for l, c in own.items():
             yield pd.DataFrame({"l": l, "w": list(c), "n": list(c.values())}, columns=["l", "w", "n"]).astype({"n": "int64"})
 
+    ship(docs.sparkSession)
     chosen = labelled.where(place < share[F.col("l")])
     words = chosen.mapInPandas(count, "l string, w string, n long").groupBy("l", "w").agg(F.sum("n").alias("n"))
     counts: dict[str, Counter] = {l: Counter() for l in sizes}
@@ -155,6 +157,7 @@ def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text: str =
 
 def keep_known(docs: DataFrame, model: Model, text: str = "text", least: float = 0.5) -> DataFrame:
     """The rows of ``docs`` with a language found at a score of ``least`` or more."""
+    ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("double")

@@ -25,6 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tourspark.llm.rows import named, text_rows
+from tourspark.session import ship
 
 TOKEN = re.compile(r"\w+|\n+|[^\w\s]+")
 
@@ -189,6 +190,7 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text: str = "te
 
 def keep_good(docs: DataFrame, model: Model, text: str = "text", least: float = 0.5) -> DataFrame:
     """The rows of ``docs`` whose score is ``least`` or more, with their columns."""
+    ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("double")

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tourspark.session import ship
+
 
 def text_rows(docs: DataFrame, id_col: str, text: str, *more: Column, empty: bool = False) -> DataFrame:
     """id, t and more columns of every row, whatever other columns ``docs`` has.
@@ -12,6 +14,7 @@ def text_rows(docs: DataFrame, id_col: str, text: str, *more: Column, empty: boo
     The id goes as text, since pandas turns numbers with nulls among them into floats.
     ``empty``: null texts become empty ones.
     """
+    ship(docs.sparkSession)
     body = F.coalesce(F.col(text), F.lit("")) if empty else F.col(text)
     return docs.select(F.col(id_col).cast("string").alias("id"), *more, body.alias("t"))
 
