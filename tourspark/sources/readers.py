@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from tourspark.session import stage_path
+
 PAIR = "u long, v long"
 KINDS = ("csv", "tsv", "json", "parquet", "adjacency")
 
@@ -46,8 +48,13 @@ def read_edges(spark: SparkSession, path: str, kind: str, bad_rows: bool = False
 
 
 def save_bucketed(edges: DataFrame, name: str, by: str, buckets: int) -> str:
-    """A catalog table bucketed by a vertex column: later joins on it need no exchange."""
-    edges.write.mode("overwrite").bucketBy(buckets, by).sortBy(by).format("parquet").saveAsTable(name)
+    """A catalog table bucketed by a vertex column: later joins on it need no exchange.
+
+    Its files go to a new folder among the shared ones, so a table of that name left in the
+    warehouse by an earlier session is not in the way.
+    """
+    where = stage_path(edges.sparkSession, name)
+    edges.write.mode("overwrite").bucketBy(buckets, by).sortBy(by).option("path", where).format("parquet").saveAsTable(name)
     return name
 
 
