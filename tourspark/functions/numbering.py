@@ -23,9 +23,8 @@ def dense_number(df: DataFrame, order: list[str], name: str = "n", first: int =
     sizes = placed.groupBy(task.alias("task")).count().orderBy("task").collect()  # one row a task
     starts, total = [], first
     for r in sizes:
-        starts += [F.lit(r["task"]), F.lit(total)]
+        starts.append((r["task"], total))
         total += r["count"]
-    if not starts:
-        return placed.select(*df.columns, F.lit(first).cast("long").alias(name))
-    offset = F.create_map(*starts)[task]
-    return placed.select(*df.columns, (offset + F.col("__at").bitwiseAND(F.lit((1 << TASK_SHIFT) - 1))).cast("long").alias(name))
+    known = F.broadcast(df.sparkSession.createDataFrame(starts, "__task long, __first long"))
+    place = F.col("__first") + F.col("__at").bitwiseAND(F.lit((1 << TASK_SHIFT) - 1))
+    return placed.withColumn("__task", task).join(known, "__task").select(*df.columns, place.alias(name))
