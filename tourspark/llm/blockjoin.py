@@ -89,7 +89,7 @@ class Heaps:
 
 def neighbours(
     table: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", every: int = 20, k: int = 20,
-    query_rows: int = 4096, share_rows: int = 8192, most_shares: int = 256,
+    query_rows: int = 16384, share_rows: int = 8192, most_shares: int = 256,
 ) -> DataFrame:
     """The k nearest rows (query_id, rank, vec_id, score) for each row whose id ``every`` divides.
 

@@ -157,19 +157,17 @@ def top_k(
     directory = placed.groupBy("block").agg(F.count("*").alias("n"), F.max("far").alias("radius")).orderBy("block").collect()
     blocks = np.array([r["block"] for r in directory])
     radius = np.array([r["radius"] for r in directory])
-    parts = {r["block"]: max(1, math.ceil(r["n"] / block_rows)) for r in directory}
-    cuts = F.create_map(*[F.lit(x) for b, p in parts.items() for x in (int(b), int(p))])
+    parts = {int(r["block"]): max(1, math.ceil(r["n"] / block_rows)) for r in directory}
     centres = pivots[blocks]
 
     asked = placed.where(F.col("id") % every == 0)
     queries = stage(asked.select(F.col("id").alias("query_id"), F.row_number().over(_by_id()).cast("long").alias("copy"), "vec", "block"), "mtree-queries")
-    n_chunks = max(1, math.ceil(queries.count() / query_rows))
-    # a cell is a slice of a block with a chunk of queries; hot blocks have many slices
-    slices = placed.select(
-        "id", "vec", "block", F.pmod(F.xxhash64("id", "vec", F.monotonically_increasing_id()), cuts[F.col("block")]).cast("int").alias("slice"),
+    per_block = lambda rows, name: F.broadcast(placed.sparkSession.createDataFrame(list(rows.items()), f"block long, {name} int"))  # noqa: E731  a row a pivot
+    # a cell is a slice of a block with a chunk of its queries; hot blocks have many slices
+    slices = placed.join(per_block(parts, "n_slices"), "block").select(
+        "id", "vec", "block", F.pmod(F.xxhash64("id", "vec", F.monotonically_increasing_id()), F.col("n_slices")).cast("int").alias("slice"),
     )
     slices = stage(slices, "mtree-slices")
-    chunk = F.pmod(F.xxhash64("query_id", "copy"), F.lit(n_chunks)).cast("int")
 
     def answer(cell, asks: pd.DataFrame, own: pd.DataFrame) -> pd.DataFrame:
         if not len(asks) or not len(own):
@@ -190,9 +188,17 @@ def top_k(
         return pd.DataFrame(got, columns=["query_id", "copy", "vec_id", "score"])
 
     def run(asks: DataFrame) -> DataFrame:
-        """asks: query_id, copy, vec, block, bound."""
-        spread = asks.withColumn("slice", F.explode(F.sequence(F.lit(0), cuts[F.col("block")] - 1))).withColumn("chunk", chunk)
-        copies = slices.withColumn("chunk", F.explode(F.sequence(F.lit(0), F.lit(n_chunks - 1))))
+        """asks: query_id, copy, vec, block, bound. A block's rows are sent once for each
+        chunk of the queries that ask it, and not at all if none does."""
+        wanted = {r["block"]: max(1, math.ceil(r["count"] / query_rows)) for r in asks.groupBy("block").count().collect()}
+        if not wanted:
+            return asks.sparkSession.createDataFrame([], out)
+        sizes = {b: (parts[b], n) for b, n in wanted.items()}
+        known = F.broadcast(asks.sparkSession.createDataFrame([(b, s, n) for b, (s, n) in sizes.items()], "block long, n_slices int, n_chunks int"))
+        upto = lambda c: F.explode(F.sequence(F.lit(0), F.col(c) - 1))
+        dealt = asks.join(known, "block").withColumn("chunk", F.pmod(F.xxhash64("query_id", "copy"), F.col("n_chunks")).cast("int"))
+        spread = dealt.withColumn("slice", upto("n_slices")).drop("n_slices", "n_chunks")
+        copies = slices.join(known, "block").withColumn("chunk", upto("n_chunks")).drop("n_slices", "n_chunks")
         key = ["block", "slice", "chunk"]
         return spread.groupBy(*key).cogroup(copies.groupBy(*key)).applyInPandas(answer, out)
 
@@ -209,7 +215,7 @@ def top_k(
             yield pd.DataFrame({"query_id": part["query_id"].to_numpy()[i], "copy": part["copy"].to_numpy()[i], "vec": part["vec"].to_numpy()[i], "block": blocks[j], "bound": reach[i]})
 
     rest = queries.join(worst, ["query_id", "copy"], "left").mapInPandas(remaining, "query_id long, copy long, vec array<double>, block long, bound double")
-    every_row = first.unionByName(run(rest))
+    every_row = first.unionByName(run(stage(rest, "mtree-rest")))
     return best(every_row, k).withColumn("score", F.col("score").cast("long"))
 
 
