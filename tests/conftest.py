@@ -13,6 +13,9 @@ def spark():
     session = local_session("8", 8, "6g")
     session.sparkContext.setLogLevel("ERROR")
     yield session
+    from tourspark.session import clear_stages
+
+    clear_stages(session)
     session.stop()
 
 

@@ -73,9 +73,14 @@ def shared_dir(spark: SparkSession) -> str:
     return context._jsc.sc().getCheckpointDir().get().rstrip("/")
 
 
+def stages_dir(spark: SparkSession) -> str:
+    """Where this application keeps its tables in the shared folder."""
+    return f"{shared_dir(spark)}/tourspark-{spark.sparkContext.applicationId}"
+
+
 def stage_path(spark: SparkSession, label: str) -> str:
     ship(spark)
-    return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    return f"{stages_dir(spark)}/{label}-{uuid.uuid4().hex}"
 
 
 def stage(df: DataFrame, label: str, partition_by: tuple[str, ...] = ()) -> DataFrame:
@@ -94,3 +99,9 @@ def drop_path(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     where = jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def clear_stages(spark: SparkSession) -> None:
+    """Delete all tables that this application has staged. Results that read them, which are
+    most DataFrames that the methods return, must have been written before."""
+    drop_path(spark, stages_dir(spark))
