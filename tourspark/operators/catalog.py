@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tourspark.operators import methods, relational, streams  # noqa: F401  register their queries
+from tourspark.operators import methods, relational, streams, workloads  # noqa: F401  register their queries
 from tourspark.operators.registry import ORACLES, QUERIES
 from tourspark.plans.circuit import circuit
 
