@@ -207,30 +207,32 @@ def test_fingerprints(text):
     assert simhash.fingerprint(text) == slow_fingerprint(text)
 
 
-def test_pigeonring_loses_no_pair():
+@pytest.mark.parametrize("budget", [0, 1, 2, 3, 5, 7])
+def test_pigeonring_loses_no_pair(budget):
     rng = np.random.default_rng(3)
-    base = rng.integers(0, 2**63, 200, dtype=np.uint64)
+    base = rng.integers(0, 2**63, 150, dtype=np.uint64)
     pool = [base]
-    for flips in range(1, 5):
+    for flips in range(1, budget + 2):
         x = base.copy()
         for _ in range(flips):
             x ^= np.uint64(1) << rng.integers(0, 64, len(x)).astype(np.uint64)
         pool.append(x)
     fp = np.unique(np.concatenate(pool))
-    keys = np.concatenate(simhash._keys(fp, 3))
-    all_fp = np.tile(fp, 8)
-    order = np.argsort(keys, kind="stable")
-    found = simhash._linked(keys[order], all_fp[order], 3)
-    near = np.bitwise_count(fp[:, None] ^ fp[None, :]) <= 3
+    node = np.arange(len(fp))
+    made = simhash._keys(fp, budget)
+    keys, order = np.concatenate(made), np.argsort(np.concatenate(made), kind="stable")
+    found = simhash._linked(keys[order], np.tile(fp, len(made))[order], np.tile(node, len(made))[order], budget)
+    near = np.bitwise_count(fp[:, None] ^ fp[None, :]) <= budget
 
     def groups(pairs):
         up = simhash._Forest()
         for a, b in pairs:
             up.join(a, b)
-        return {int(x): up.root(int(x)) for x in fp}
+        return [up.root(int(x)) for x in node]
 
     i, j = np.nonzero(near)
-    assert groups(found) == groups(zip(fp[i].tolist(), fp[j].tolist(), strict=True))
+    assert groups(found) == groups(zip(i.tolist(), j.tolist(), strict=True))
+    assert all(near[a, b] for a, b in found)
 
 
 # Vector searches

@@ -1,15 +1,20 @@
 """SimHash near-duplicates by pigeonring filtering.
 
-A fingerprint's 64 bits lie on a ring of ``m`` = 4 segments of 16 bits. If two fingerprints
-differ in at most t bits, then from some segment on, every chain of l consecutive segments
-differs in at most floor(l * t / m) bits in all. With t = 3 the budgets of the chains are 0,
-1, 2 and 3 bits: the first segment agrees, and of the second at least one half of 8 bits
-does. Those 24 bits are the join key (4 starts, 2 halves); pairs that meet under a key must
-then hold the whole chain, length by length, before the full distance is taken.
+For a budget of t bits the 64 bits of a fingerprint lie on a ring of m = t + 1 segments. If
+two fingerprints differ in at most t bits, then from some segment on, every chain of l
+consecutive segments differs in at most floor(l * t / m) = l - 1 bits in all. So the first
+segment agrees, and of the second at least one half does: that is the join key (m starts, 2
+halves; 24 bits for t = 3). Pairs that meet under a key must then hold the whole chain,
+length by length, before the full distance is taken.
 
 Equal fingerprints are one node, so copies never form pairs. Fingerprints that share a key
 are compared in tiles; a key with many fingerprints is dealt over many cells, one for each
 pair of its tiles. A cell gives a spanning forest of the links it finds, not the links.
+
+With ``views`` above 1 a text has that many fingerprints, from independent mixes of the same
+shingle hashes; texts link where any of their fingerprints do. Near copies of moderate
+similarity, whose distance in one view is often above the budget, so meet in another, while
+the budget, which keeps unlike texts apart, stays small.
 """
 
 from __future__ import annotations
@@ -32,16 +37,31 @@ WORD = re.compile(r"[^\x20\x09-\x0D]+")
 SEED = 42
 FOLD = {c: c + 32 for c in range(65, 91)}
 
-SEGMENTS, WIDTH, SLICE = 4, 16, 1 << 15
-#: Bits set in each value of a byte, for counting set bits by position.
-_BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").astype(np.int64)
+SLICE = 1 << 15
+#: The most bits of a budget: with more, the agreeing segment gets too short to be a key.
+MOST_BITS = 7
+
+
+def _mixed(hashes: np.ndarray, view: int) -> np.ndarray:
+    """Hashes for another view: a bijection of 64-bit numbers for each, none for view 0."""
+    if not view:
+        return hashes
+    x = hashes ^ np.uint64(view * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF)
+    for shift, factor in ((33, 0xFF51AFD7ED558CCD), (33, 0xC4CEB9FE1A85EC53)):
+        x = (x ^ (x >> np.uint64(shift))) * np.uint64(factor)
+    return x ^ (x >> np.uint64(33))
 
 
 def fingerprint(text: str | None, shingle: int = 3) -> int:
     """SimHash over all word shingles, repeats included; 0 for a text without words."""
+    return fingerprint_views(text, shingle, 1)[0]
+
+
+def fingerprint_views(text: str | None, shingle: int, views: int) -> list[int]:
+    """The fingerprints of a text in all views."""
     words = WORD.findall(text.translate(FOLD)) if text else []
     if not words:
-        return 0
+        return [0] * views
     coded = [w.encode() for w in words]
     if len(coded) <= shingle:
         hashes = [xxhash.xxh64_intdigest(b" ".join(coded), SEED)]
@@ -53,43 +73,62 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
         starts = [0, *[e + 1 for e in ends]]
         digest = xxhash.xxh64_intdigest
         hashes = [digest(line[a:b], SEED) for a, b in zip(starts, ends[shingle - 1 :], strict=False)]
-    ones = np.zeros(64, np.int64)
+    ones = np.zeros((views, 64), np.int64)
     for at in range(0, len(hashes), SLICE):
-        part = np.array(hashes[at : at + SLICE], np.uint64).view(np.uint8).reshape(-1, 8)
-        ones += np.unpackbits(part, axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * ones > len(hashes), bitorder="little").view(np.uint64)[0])
+        part = np.array(hashes[at : at + SLICE], np.uint64)
+        for view in range(views):
+            ones[view] += np.unpackbits(_mixed(part, view).view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return np.packbits(2 * ones > len(hashes), axis=1, bitorder="little").view(np.uint64).ravel().tolist()
 
 
-def fingerprints(docs: DataFrame, id_col: str = "doc_id", text: str = "text", shingle: int = 3) -> DataFrame:
-    """(id, fp): the fingerprint's 64 bits as a signed long. Null text counts as empty."""
+def fingerprints(docs: DataFrame, id_col: str = "doc_id", text: str = "text", shingle: int = 3, views: int = 1) -> DataFrame:
+    """(id, fp, others): the fingerprint's 64 bits as a signed long, and those of further
+    views. Null text counts as empty."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for rows in batches:
-            made = np.array([fingerprint(t, shingle) for t in rows["t"]], np.uint64).view(np.int64)
-            yield pd.DataFrame({"id": rows["id"], "fp": made})
+            made = np.array([fingerprint_views(t, shingle, views) for t in rows["t"]], np.uint64).view(np.int64).reshape(-1, views)
+            yield pd.DataFrame({"id": rows["id"], "fp": made[:, 0], "others": list(made[:, 1:])})
+
+    return text_rows(docs, id_col, text).mapInPandas(run, "id string, fp long, others array<long>").select(F.col("id").cast("long").alias("id"), "fp", "others")
+
 
-    return text_rows(docs, id_col, text).mapInPandas(run, "id string, fp long").select(F.col("id").cast("long").alias("id"), "fp")
+def segments(budget: int) -> list[tuple[int, int]]:
+    """(shift, width) of the budget + 1 segments of the ring."""
+    cut = [64 * i // (budget + 1) for i in range(budget + 2)]
+    return [(a, b - a) for a, b in zip(cut, cut[1:], strict=False)]
+
+
+def _bits(fp: np.ndarray, shift: int, width: int) -> np.ndarray:
+    return (fp >> np.uint64(shift)) & np.uint64((1 << width) - 1)
 
 
 def _keys(fp: np.ndarray, budget: int) -> list[np.ndarray]:
-    """Join keys of each fingerprint. With a budget of 3 bits: 8 keys of 24 bits."""
-    seg = [(fp >> np.uint64(WIDTH * i)) & np.uint64(0xFFFF) for i in range(SEGMENTS)]
+    """Join keys of each fingerprint; a key's upper half says from which segment it starts.
+
+    A budget of 0 has one segment, all 64 bits, so the digest of the whole is the key.
+    """
+    ring = segments(budget)
+    if len(ring) == 1:
+        return [(fp % np.uint64(0xFFFFFFFB)).astype(np.int64)]
     out = []
-    for i in range(SEGMENTS):
-        follow = seg[(i + 1) % SEGMENTS]
-        for half in range(2):
-            part = (follow >> np.uint64(8 * half)) & np.uint64(0xFF)
-            out.append((np.uint64(i * 2 + half) << np.uint64(24) | seg[i] << np.uint64(8) | part).astype(np.int64))
+    for i, (shift, width) in enumerate(ring):
+        at, size = ring[(i + 1) % len(ring)]
+        for half, (s, w) in enumerate(((at, size // 2), (at + size // 2, size - size // 2))):
+            w = min(w, 16)  # fewer bits than agree make a looser key, not a wrong one
+            key = np.uint64(i << 33 | half << 32) | _bits(fp, shift, min(width, 16)) << np.uint64(w) | _bits(fp, s, w)
+            out.append(key.astype(np.int64))
     return out
 
 
 def chain_holds(x: np.ndarray, start: np.ndarray, budget: int) -> np.ndarray:
     """Whether differences ``x`` keep every chain budget from segment ``start`` on."""
+    ring = segments(budget)
+    mask = np.array([((1 << w) - 1) << s for s, w in ring], np.uint64)
     ok, total = np.ones(len(x), bool), np.zeros(len(x), np.int64)
-    for step in range(SEGMENTS):
-        turn = ((start + step) % SEGMENTS).astype(np.uint64) * np.uint64(WIDTH)
-        total += np.bitwise_count((x >> turn) & np.uint64(0xFFFF)).astype(np.int64)
-        ok &= total * SEGMENTS <= (step + 1) * budget
+    for step in range(len(ring)):
+        total += np.bitwise_count(x & mask[(start + step) % len(ring)]).astype(np.int64)
+        ok &= total * len(ring) <= (step + 1) * budget
     return ok
 
 
@@ -114,13 +153,17 @@ class _Forest:
         return True
 
 
-def _linked(key: np.ndarray, fp: np.ndarray, budget: int) -> list[tuple[int, int]]:
+def _start(key: np.ndarray) -> np.ndarray:
+    return key >> 33 & 7
+
+
+def _linked(key: np.ndarray, fp: np.ndarray, node: np.ndarray, budget: int) -> list[tuple[int, int]]:
     """Spanning links of rows sorted by key: only rows with one key are compared."""
     out, forest = [], _Forest()
     edge = np.flatnonzero(np.r_[True, key[1:] != key[:-1], True])
     size = np.diff(edge)
     group = np.repeat(np.arange(len(size)), size)
-    start = (key >> 25) & 3
+    start = _start(key)
     small = np.flatnonzero(size[group] <= 64)
     # small groups together: each row against the one `shift` places on
     for shift in range(1, int(size[size <= 64].max(initial=1))):
@@ -129,55 +172,57 @@ def _linked(key: np.ndarray, fp: np.ndarray, budget: int) -> list[tuple[int, int
         if not len(i):
             continue
         x = fp[i] ^ fp[i + shift]
-        hit = i[chain_holds(x, start[i], budget) & (np.bitwise_count(x) <= budget)]
-        out += [(a, b) for a, b in zip(fp[hit].tolist(), fp[hit + shift].tolist(), strict=True) if forest.join(a, b)]
+        near = np.bitwise_count(x) <= budget
+        hit = i[near][chain_holds(x[near], start[i][near], budget)]
+        out += [(a, b) for a, b in zip(node[hit].tolist(), node[hit + shift].tolist(), strict=True) if forest.join(a, b)]
     for g in np.flatnonzero(size > 64):
-        own = fp[edge[g] : edge[g + 1]]
-        out += _tile(own, own, int(start[edge[g]]), budget, forest)
+        own = slice(edge[g], edge[g + 1])
+        out += _tile((fp[own], node[own]), (fp[own], node[own]), int(start[edge[g]]), budget, forest)
     return out
 
 
-def _tile(left: np.ndarray, right: np.ndarray, start: int, budget: int, forest: _Forest, rows: int = 256) -> list[tuple[int, int]]:
-    """Spanning links between two lists under one key. Rows found to be connected to a
-    common root by an earlier link cost no row of output."""
+def _tile(left: tuple[np.ndarray, np.ndarray], right: tuple[np.ndarray, np.ndarray], start: int, budget: int, forest: _Forest, rows: int = 256) -> list[tuple[int, int]]:
+    """Spanning links between two lists (fingerprints, nodes) under one key: a link between
+    nodes that earlier ones have connected gives no row."""
     out = []
-    for at in range(0, len(left), rows):
-        part = left[at : at + rows]
-        x = part[:, None] ^ right[None, :]
+    for at in range(0, len(left[0]), rows):
+        fp, node = left[0][at : at + rows], left[1][at : at + rows]
+        x = fp[:, None] ^ right[0][None, :]
         i, j = np.nonzero(np.bitwise_count(x) <= budget)
-        off = part[i] != right[j]
-        i, j = i[off], j[off]
+        keep = node[i] != right[1][j]
+        i, j = i[keep], j[keep]
         keep = chain_holds(x[i, j], np.full(len(i), start), budget)
-        for a, b in zip(part[i[keep]].tolist(), right[j[keep]].tolist(), strict=True):
+        for a, b in zip(node[i[keep]].tolist(), right[1][j[keep]].tolist(), strict=True):
             if forest.join(a, b):
                 out.append((a, b))
     return out
 
 
-def links(distinct: DataFrame, budget: int = 3, tile: int = 2048) -> DataFrame:
-    """(a, b): links among distinct fingerprints that span every linked group.
+def links(views: DataFrame, budget: int = 3, tile: int = 2048) -> DataFrame:
+    """(a, b): links among nodes that span every linked group.
 
-    ``distinct`` has one column ``fp``. Every two fingerprints within ``budget`` bits, 3 at
-    most, are connected by the rows returned.
+    ``views``: rows (node, view, fp) without repeats. Any two nodes whose fingerprints of one
+    view are within ``budget`` bits, 7 at most, are connected by the rows returned.
     """
-    if not 0 <= budget <= 3:
-        raise ValueError("the keys are exact for budgets of 0 to 3 bits")
+    if not 0 <= budget <= MOST_BITS:
+        raise ValueError(f"budgets go from 0 to {MOST_BITS} bits")
 
     def keyed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for rows in batches:
-            fp = rows["fp"].to_numpy(np.int64)
+            fp, view = rows["fp"].to_numpy(np.int64), rows["view"].to_numpy(np.int64)
             for key in _keys(fp.view(np.uint64), budget):
-                yield pd.DataFrame({"key": key, "fp": fp})
+                yield pd.DataFrame({"key": key | view << 40, "fp": fp, "node": rows["node"]})
 
-    keys = stage(distinct.mapInPandas(keyed, "key long, fp long"), "simhash-keys")
-    hot = keys.groupBy("key").count().where(F.col("count") > tile).select("key", F.ceil(F.col("count") / tile).cast("int").alias("tiles"))
+    # made twice, which is cheaper than to write all keys: once to count, once to compare
+    keys = views.mapInPandas(keyed, "key long, fp long, node long")
+    hot = stage(keys.groupBy("key").count().where(F.col("count") > tile).select("key", F.ceil(F.col("count") / tile).cast("int").alias("tiles")), "simhash-hot")
     dealt = keys.join(hot, "key", "left")
-    plain = dealt.where("tiles is null").select("key", F.lit(None).cast("int").alias("other"), F.lit(None).cast("int").alias("own"), "fp")
+    plain = dealt.where("tiles is null").select("key", "fp", "node")
     # a hot key has tiles; row tile t goes to the cells (t, u) and (u, t) for every tile u
-    mine = F.pmod(F.xxhash64("fp"), F.col("tiles")).cast("int")
+    mine = F.pmod(F.xxhash64("fp", "node"), F.col("tiles")).cast("int")
     wide = dealt.where("tiles is not null").withColumn("mine", mine).select(
-        "key", "fp", "mine", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)).alias("u"),
-    ).select("key", F.least("mine", "u").alias("low"), F.greatest("mine", "u").alias("high"), F.col("mine").alias("own"), "fp")
+        "key", "fp", "node", "mine", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)).alias("u"),
+    ).select("key", F.least("mine", "u").alias("low"), F.greatest("mine", "u").alias("high"), F.col("mine").alias("own"), "fp", "node")
 
     def in_order(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held: list[pd.DataFrame] = []
@@ -196,34 +241,37 @@ def links(distinct: DataFrame, budget: int = 3, tile: int = 2048) -> DataFrame:
         if held and rows:
             yield out(pd.concat(held))
 
+    def pairs(found: list[tuple[int, int]]) -> pd.DataFrame:
+        return pd.DataFrame(np.array(found, np.int64).reshape(-1, 2), columns=["a", "b"])
+
     def out(rows: pd.DataFrame) -> pd.DataFrame:
-        found = _linked(rows["key"].to_numpy(np.int64), rows["fp"].to_numpy(np.int64).view(np.uint64), budget)
-        return pd.DataFrame(np.array(found, np.uint64).reshape(-1, 2).view(np.int64), columns=["a", "b"])
+        return pairs(_linked(rows["key"].to_numpy(np.int64), rows["fp"].to_numpy(np.int64).view(np.uint64), rows["node"].to_numpy(np.int64), budget))
 
     def one_cell(rows: pd.DataFrame) -> pd.DataFrame:
-        fp, own = rows["fp"].to_numpy(np.int64).view(np.uint64), rows["own"].to_numpy()
+        fp, node, own = rows["fp"].to_numpy(np.int64).view(np.uint64), rows["node"].to_numpy(np.int64), rows["own"].to_numpy()
         low = rows["low"].iloc[0]
-        left, right = fp[own == low], fp[own != low]
+        left, right = (fp[own == low], node[own == low]), (fp[own != low], node[own != low])
         right = left if rows["high"].iloc[0] == low else right
-        found = _tile(left, right, int(rows["key"].iloc[0] >> 25 & 3), budget, _Forest())
-        return pd.DataFrame(np.array(found, np.uint64).reshape(-1, 2).view(np.int64), columns=["a", "b"])
+        return pairs(_tile(left, right, int(_start(rows["key"].to_numpy(np.int64)[:1])[0]), budget, _Forest()))
 
-    few = plain.select("key", "fp").repartition("key").sortWithinPartitions("key").mapInPandas(in_order, "a long, b long")
+    few = plain.repartition("key").sortWithinPartitions("key").mapInPandas(in_order, "a long, b long")
     many = wide.groupBy("key", "low", "high").applyInPandas(one_cell, "a long, b long")
     return few.unionByName(many)
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", budget: int = 3, shingle: int = 3) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", budget: int = 3, shingle: int = 3, views: int = 1) -> DataFrame:
     """(id, fingerprint, component_id) for every row.
 
     Null and empty texts have fingerprint zero and link like any other. A component's id is
     the smallest id in it; a null id counts only if all are null. Repeated rows come back
     repeated, an empty table empty; other columns are ignored.
     """
-    made = stage(fingerprints(docs, id_col, text, shingle), "simhash-fp")
+    made = stage(fingerprints(docs, id_col, text, shingle, views), "simhash-fp")
     # cells, not single rows: a fingerprint that a third of the rows share is summed first
     first = stage(made.groupBy("fp").agg(F.min("id").alias("low")), "simhash-distinct")
-    pairs = stage(links(first.select("fp"), budget), "simhash-links")
+    own = F.concat(F.array("fp"), F.col("others"))
+    seen = made.select("fp", "others").distinct().select(F.col("fp").alias("node"), F.posexplode(own).alias("view", "fp")).distinct()
+    pairs = stage(links(stage(seen, "simhash-views"), budget), "simhash-links")
     member = min_label_components(pairs.select(F.col("a").alias("u"), F.col("b").alias("v")))
     known = first.join(member.select(F.col("v").alias("fp"), "comp"), "fp", "left").withColumn("comp", F.coalesce("comp", "fp"))
     lowest = known.groupBy("comp").agg(F.min("low").alias("component_id"))
@@ -231,11 +279,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text",
     return made.join(named, "fp").select(F.col("id").alias(id_col), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def keep_first(docs: DataFrame, id_col: str = "doc_id", text: str = "text", budget: int = 3, shingle: int = 3) -> DataFrame:
+def keep_first(docs: DataFrame, id_col: str = "doc_id", text: str = "text", budget: int = 3, shingle: int = 3, views: int = 1) -> DataFrame:
     """The rows of ``docs`` whose id is their component's smallest, with their columns.
 
     Rows without an id stay: nothing says which of them is first. Rows that repeat a kept id
     stay too.
     """
-    kept = near_duplicates(docs, id_col, text, budget, shingle).where(F.col(id_col) == F.col("component_id")).select(F.col(id_col).alias("__kept")).distinct()
+    kept = near_duplicates(docs, id_col, text, budget, shingle, views).where(F.col(id_col) == F.col("component_id")).select(F.col(id_col).alias("__kept")).distinct()
     return docs.join(kept, docs[id_col].cast("long") == kept["__kept"], "left_semi").unionByName(docs.where(F.col(id_col).isNull()))
