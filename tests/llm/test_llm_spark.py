@@ -286,7 +286,7 @@ def test_pipeline_stage_by_stage(spark):
     model = quality.train(docs, read_table(spark, sf, "labels"))
     good = stage(cp.keep_quality(spark, docs, sf), "p1")
     shapes = {}
-    assert {r["doc_id"] for r in good.collect()} == {r["doc_id"] for r in docs.collect() if model.score(r["text"], shapes) >= 0.5}
+    assert {r["doc_id"] for r in good.collect()} == {r["doc_id"] for r in docs.collect() if model.score(r["text"], shapes) >= cp.LEAST_QUALITY}
     known = stage(cp.keep_languages(spark, good, sf), "p2")
     assert known.count() > 0.9 * good.count()
     one = stage(cp.keep_one_copy(spark, known, sf), "p3")

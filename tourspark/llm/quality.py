@@ -2,10 +2,10 @@
 
 A text becomes the set of its n-grams: words and marks (1 and 2 in a row), and the shapes of
 words and marks (1 to 3 in a row). Each n-gram's indicator is scaled by its log-count ratio
-between the classes, and a linear model with squared hinge loss is fitted to the scaled
-indicators by dual coordinate descent. The weights are then drawn towards their mean
-magnitude, as the method proposes, and a logistic curve through the training margins makes
-a score of 0 to 1.
+between the classes, and a linear model with hinge loss (squared as an option) is fitted to
+the scaled indicators by dual coordinate descent. The weights are then drawn towards their
+mean magnitude, as the method proposes, and a logistic curve through the training margins
+makes a score of 0 to 1.
 
 The fit uses at most ``sample`` labelled rows, those first in hash order; n-grams are those
 of the sample that at least two of its texts have. Every text is scored whole.
@@ -70,7 +70,7 @@ class Model:
         return 1.0 / (1.0 + math.exp(-max(-30.0, min(30.0, self.slope * margin + self.shift))))
 
 
-def fit(texts: list[str | None], labels: list[int], least: int = 2, smooth: float = 1.0, c: float = 1.0, blend: float = 0.25, rounds: int = 30, seed: int = 11) -> Model:
+def fit(texts: list[str | None], labels: list[int], least: int = 2, smooth: float = 1.0, c: float = 0.1, blend: float = 0.25, rounds: int = 30, seed: int = 11, loss: str = "hinge") -> Model:
     """Fit on texts and labels of 0 or 1. With one class or none the score is constant."""
     y = np.where(np.array(labels, int) == 1, 1.0, -1.0)
     pos, neg = int((y > 0).sum()), int((y < 0).sum())
@@ -92,20 +92,24 @@ def fit(texts: list[str | None], labels: list[int], least: int = 2, smooth: floa
     for r, t in zip(rows, y, strict=True):
         (p if t > 0 else q)[r] += 1
     ratio = np.log(p / (pos + 2 * smooth)) - np.log(q / (neg + 2 * smooth))
-    # Dual coordinate descent for squared hinge loss; the classes weigh alike.
+    # Dual coordinate descent; the classes weigh alike. The dual variables of plain hinge loss
+    # lie between 0 and a row's cost; those of squared hinge have a ridge instead of that top.
+    if loss not in ("hinge", "squared"):
+        raise ValueError(f"unknown loss {loss}")
     cost = np.where(y > 0, c * len(y) / (2 * pos), c * len(y) / (2 * neg))
+    ridge, ceiling = (1.0 / (2 * cost), np.full(len(y), np.inf)) if loss == "squared" else (np.zeros(len(y)), cost)
     w, bias, alpha = np.zeros(len(index)), 0.0, np.zeros(len(y))
     own = [ratio[r] for r in rows]
-    norm = np.array([float(x @ x) for x in own]) + 1.0 + 1.0 / (2 * cost)
+    norm = np.array([float(x @ x) for x in own]) + 1.0 + ridge
     rng = np.random.default_rng(seed)
     for _ in range(rounds):
         most = 0.0
         for i in rng.permutation(len(y)):
-            slope = y[i] * (float(w[rows[i]] @ own[i]) + bias) - 1.0 + alpha[i] / (2 * cost[i])
-            if alpha[i] == 0.0 and slope >= 0.0:
+            slope = y[i] * (float(w[rows[i]] @ own[i]) + bias) - 1.0 + alpha[i] * ridge[i]
+            step = min(max(alpha[i] - slope / norm[i], 0.0), ceiling[i]) - alpha[i]
+            if step == 0.0:
                 continue
             most = max(most, abs(slope))
-            step = max(alpha[i] - slope / norm[i], 0.0) - alpha[i]
             alpha[i] += step
             w[rows[i]] += step * y[i] * own[i]
             bias += step * y[i]
