@@ -98,6 +98,13 @@ def test_packing_ids_are_those_of_the_tokenizer_file():
     assert [packing.encoder().encode_ordinary(t) for t in texts] == [tok.encode(t, add_special_tokens=False).ids for t in texts]
 
 
+def test_packing_ids_of_texts_with_added_tokens():
+    tok, end = Tokenizer.from_file(packing.VOCABULARY), "<|endoftext|>"
+    texts = [end, f"one {end} two", f"one  {end}  two\n\n{end}", end + end, f"x{end}y <|endoftext| >", "<|endof" + end + "text|>", "plain 'll  text"]
+    assert [packing.ids_of(t) for t in texts] == [tok.encode(t, add_special_tokens=False).ids for t in texts]
+    assert packing.ids_of(end) == [50256] != packing.encoder().encode_ordinary(end)
+
+
 @settings(max_examples=200, deadline=None)
 @given(st.lists(st.integers(1, 90), max_size=40), st.integers(1, 32))
 def test_balanced_pieces_cover_and_fill(lengths, length):

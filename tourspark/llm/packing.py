@@ -34,14 +34,25 @@ LENGTH, END = 1024, 0
 @lru_cache(2)
 def encoder(path: str = VOCABULARY) -> tiktoken.Encoding:
     """The byte-level vocabulary of a tokenizer file. Its ids rise with the merges' ranks, so
-    they serve as ranks; tests compare the ids with the file's own library."""
+    they serve as ranks; tests compare the ids with the file's own library. The file's added
+    tokens are special ones here."""
     with open(path, encoding="utf-8") as f:
-        vocabulary = json.load(f)["model"]["vocab"]
+        read = json.load(f)
+    vocabulary, added = read["model"]["vocab"], read.get("added_tokens") or []
+    if any(t["single_word"] or t["lstrip"] or t["rstrip"] for t in added):
+        raise ValueError("added tokens that take in or need text beside them are not supported")
     # the public byte-level alphabet: printable bytes stand for themselves, others from 256 on
     plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
     byte_of = {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(b for b in range(256) if b not in plain)}
     ranks = {bytes(byte_of[c] for c in piece): n for piece, n in vocabulary.items() if not piece.startswith("<|")}
-    return tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    special = {t["content"]: t["id"] for t in added}
+    return tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=special)
+
+
+def ids_of(text: str, path: str = VOCABULARY) -> list[int]:
+    """The ids that the file's own library gives a text: its added tokens are found anywhere,
+    and what lies between two of them is encoded by itself."""
+    return encoder(path).encode(text, allowed_special="all")
 
 
 def balanced(lengths: list[int], length: int = LENGTH, linear: float = 1.0, quadratic: float = 1.0 / LENGTH) -> Iterator[tuple[int, int, int, int, int]]:
@@ -70,7 +81,6 @@ def balanced(lengths: list[int], length: int = LENGTH, linear: float = 1.0, quad
 
 def _pieces(batches: Iterator[pd.DataFrame], path: str, length: int, run_tokens: int) -> Iterator[pd.DataFrame]:
     part, sequence = TaskContext.get().partitionId(), 0
-    encode = encoder(path).encode_ordinary
     held: list[tuple[object, np.ndarray]] = []
     tokens = 0
 
@@ -86,7 +96,7 @@ def _pieces(batches: Iterator[pd.DataFrame], path: str, length: int, run_tokens:
 
     for rows in batches:
         for i, t in zip(rows["id"].tolist(), rows["t"], strict=True):
-            held.append((i, np.array([*encode(t or ""), END], "<u4")))
+            held.append((i, np.array([*ids_of(t or "", path), END], "<u4")))
             tokens += len(held[-1][1])
             if tokens >= run_tokens:
                 yield packed()
