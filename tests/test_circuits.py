@@ -175,3 +175,14 @@ def test_dense_numbers(spark):
     rows = dense_number(spark.range(1000).select((F.col("id") * 7919 % 1000).alias("x")), ["x"], "n", 5)
     assert rows.where("n <> x + 5").count() == 0
     assert dense_number(spark.range(0), ["id"]).count() == 0
+
+
+def test_pairs_of_a_hub_use_every_candidate(spark):
+    """All 600 leaves of a hub are two apart; the first 100,000 of 179,700 pairs begin at
+    some 200 of them."""
+    from pyspark.sql import functions as F
+
+    a, b = spark.range(600).withColumnRenamed("id", "from"), spark.range(600).withColumnRenamed("id", "at")
+    meets = a.join(b, F.col("from") < F.col("at")).withColumn("way", F.array("from", "at"))
+    rows = extensions._disjoint(meets).collect()
+    assert len(rows) == 300 and len({v for r in rows for v in (r["x"], r["y"])}) == 600

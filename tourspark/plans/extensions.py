@@ -60,9 +60,8 @@ def covering_walk(g: Graph, max_length: int = 64) -> tuple[DataFrame, int]:
         both = reach.unionByName(grown).groupBy("from", "at").agg(F.min(F.struct(F.size("way").alias("n"), "way")).alias("b")).select("from", "at", "b.way")
         reach = stage(both, "reach")
         meets = reach.join(left.withColumnRenamed("v", "at"), "at", "left_semi").where("`from` < at")
-        picked = _disjoint(meets)
-        if picked:
-            found = g.edges.sparkSession.createDataFrame([(a, b, w) for a, b, w in picked], "x long, y long, way array<long>")
+        found = _disjoint(meets)
+        if not found.isEmpty():
             edges = found.select(F.explode("way").alias("eid"))
             extra = edges if extra is None else extra.unionByName(edges)
             gone = found.select(F.explode(F.array("x", "y")).alias("v"))
@@ -80,15 +79,23 @@ def covering_walk(g: Graph, max_length: int = 64) -> tuple[DataFrame, int]:
     return circuit(even), again.count()
 
 
-def _disjoint(meets: DataFrame, most: int = 100_000) -> list[tuple[int, int, list[int]]]:
-    """Pairs that share no vertex, the nearest first: at most ``most`` candidates a round."""
-    taken: set[int] = set()
-    out = []
-    for r in meets.orderBy(F.size("way"), "from", "at").limit(most).collect():
-        if not {r["from"], r["at"]} & taken:
-            taken |= {r["from"], r["at"]}
-            out.append((r["from"], r["at"], r["way"]))
-    return out
+def _disjoint(meets: DataFrame) -> DataFrame:
+    """(x, y, way): pairs that share no vertex, the nearest first, from all candidates.
+
+    In rounds on the cluster: a pair that is best for both of its ends is taken. Ties go by a
+    digest of the pair, so that a round takes many; every round takes the best that is left.
+    """
+    rank = F.struct(F.size("way").alias("n"), F.xxhash64("x", "y").alias("h"), "x", "y")
+    live = stage(meets.select(F.col("from").alias("x"), F.col("at").alias("y"), "way"), "meets")
+    found = live.where("false")
+    while not live.isEmpty():
+        best = live.select(F.explode(F.array("x", "y")).alias("p"), rank.alias("r")).groupBy("p").agg(F.min("r").alias("r"))
+        votes = best.groupBy("r").count().where("count = 2").select("r.x", "r.y")
+        taken = stage(live.join(votes, ["x", "y"]), "pairs")
+        found = found.unionByName(taken)
+        gone = taken.select(F.explode(F.array("x", "y")).alias("p"))
+        live = stage(live.join(gone, live["x"] == gone["p"], "left_anti").join(gone, live["y"] == gone["p"], "left_anti"), "meets")
+    return found
 
 
 def cover_summary(g: Graph, walk: DataFrame, extra: int) -> DataFrame:
