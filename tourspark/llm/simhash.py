@@ -4,8 +4,9 @@ For a budget of t bits the 64 bits of a fingerprint lie on a ring of m = t + 1 s
 two fingerprints differ in at most t bits, then from some segment on, every chain of l
 consecutive segments differs in at most floor(l * t / m) = l - 1 bits in all. So the first
 segment agrees, and of the second at least one half does: that is the join key (m starts, 2
-halves; 24 bits for t = 3). Pairs that meet under a key must then hold the whole chain,
-length by length, before the full distance is taken.
+halves; 24 bits for t = 3). Pairs that meet under a key must then hold the chain length by
+length; what breaks a budget on the way is dropped there, and only pairs that hold all the
+shorter chains come to the last one, which is the whole ring and so the full distance.
 
 Equal fingerprints are one node, so copies never form pairs. Fingerprints that share a key
 are compared in tiles; a key with many fingerprints is dealt over many cells, one for each
@@ -28,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tourspark.llm.rows import text_rows
+from tourspark.llm.rows import join_spread, text_rows
 from tourspark.plans.components import min_label_components
 from tourspark.session import stage
 
@@ -57,40 +58,47 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
     return fingerprint_views(text, shingle, 1)[0]
 
 
-def fingerprint_views(text: str | None, shingle: int, views: int) -> list[int]:
-    """The fingerprints of a text in all views."""
+def shingle_hashes(text: str | None, shingle: int) -> np.ndarray:
+    """Hashes of all word shingles, repeats included; a shorter text is one shingle."""
     words = WORD.findall(text.translate(FOLD)) if text else []
     if not words:
-        return [0] * views
-    coded = [w.encode() for w in words]
+        return np.zeros(0, np.uint64)
+    coded, digest = [w.encode() for w in words], xxhash.xxh64_intdigest
     if len(coded) <= shingle:
-        hashes = [xxhash.xxh64_intdigest(b" ".join(coded), SEED)]
-    else:
-        line, ends, at = b" ".join(coded), [], -1
-        for w in coded:
-            at += len(w) + 1
-            ends.append(at)
-        starts = [0, *[e + 1 for e in ends]]
-        digest = xxhash.xxh64_intdigest
-        hashes = [digest(line[a:b], SEED) for a, b in zip(starts, ends[shingle - 1 :], strict=False)]
+        return np.array([digest(b" ".join(coded), SEED)], np.uint64)
+    line, ends, at = b" ".join(coded), [], -1
+    for w in coded:
+        at += len(w) + 1
+        ends.append(at)
+    starts = [0, *[e + 1 for e in ends]]
+    return np.array([digest(line[a:b], SEED) for a, b in zip(starts, ends[shingle - 1 :], strict=False)], np.uint64)
+
+
+def fingerprint_of(hashes: np.ndarray, views: int = 1) -> list[int]:
+    """The fingerprints of shingle hashes in all views: a bit is 1 if over half have it."""
     ones = np.zeros((views, 64), np.int64)
     for at in range(0, len(hashes), SLICE):
-        part = np.array(hashes[at : at + SLICE], np.uint64)
+        part = hashes[at : at + SLICE]
         for view in range(views):
             ones[view] += np.unpackbits(_mixed(part, view).view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
     return np.packbits(2 * ones > len(hashes), axis=1, bitorder="little").view(np.uint64).ravel().tolist()
 
 
+def fingerprint_views(text: str | None, shingle: int, views: int) -> list[int]:
+    """The fingerprints of a text in all views."""
+    return fingerprint_of(shingle_hashes(text, shingle), views)
+
+
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text: str = "text", shingle: int = 3, views: int = 1) -> DataFrame:
-    """(id, fp, others): the fingerprint's 64 bits as a signed long, and those of further
-    views. Null text counts as empty."""
+    """(id as text, fp, others): the fingerprint's 64 bits as a signed long, and those of
+    further views. Null text counts as empty."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for rows in batches:
             made = np.array([fingerprint_views(t, shingle, views) for t in rows["t"]], np.uint64).view(np.int64).reshape(-1, views)
             yield pd.DataFrame({"id": rows["id"], "fp": made[:, 0], "others": list(made[:, 1:])})
 
-    return text_rows(docs, id_col, text).mapInPandas(run, "id string, fp long, others array<long>").select(F.col("id").cast("long").alias("id"), "fp", "others")
+    return text_rows(docs, id_col, text).mapInPandas(run, "id string, fp long, others array<long>")
 
 
 def segments(budget: int) -> list[tuple[int, int]]:
@@ -121,15 +129,27 @@ def _keys(fp: np.ndarray, budget: int) -> list[np.ndarray]:
     return out
 
 
-def chain_holds(x: np.ndarray, start: np.ndarray, budget: int) -> np.ndarray:
-    """Whether differences ``x`` keep every chain budget from segment ``start`` on."""
+def chain_survivors(x: np.ndarray, start: np.ndarray | int, budget: int, dropped: np.ndarray | None = None) -> np.ndarray:
+    """Which differences ``x`` keep every chain budget from segment ``start`` on.
+
+    Chains grow segment by segment, and what breaks a budget isn't looked at again; the chain
+    of all segments is the full distance. ``dropped[l - 1]`` counts what a chain of length l
+    has sorted out.
+    """
     ring = segments(budget)
     mask = np.array([((1 << w) - 1) << s for s, w in ring], np.uint64)
-    ok, total = np.ones(len(x), bool), np.zeros(len(x), np.int64)
+    live, total = None, 0
     for step in range(len(ring)):
-        total += np.bitwise_count(x & mask[(start + step) % len(ring)]).astype(np.int64)
-        ok &= total * len(ring) <= (step + 1) * budget
-    return ok
+        at = (start + step) % len(ring)
+        if live is None:
+            total = np.bitwise_count(x & mask[at]).astype(np.int64)
+        else:
+            total = total + np.bitwise_count(x[live] & mask[at if isinstance(at, int) else at[live]])
+        ok = total * len(ring) <= (step + 1) * budget
+        if dropped is not None:
+            dropped[step] += len(ok) - int(ok.sum())
+        live, total = np.flatnonzero(ok) if live is None else live[ok], total[ok]
+    return live
 
 
 class _Forest:
@@ -157,7 +177,7 @@ def _start(key: np.ndarray) -> np.ndarray:
     return key >> 33 & 7
 
 
-def _linked(key: np.ndarray, fp: np.ndarray, node: np.ndarray, budget: int) -> list[tuple[int, int]]:
+def _linked(key: np.ndarray, fp: np.ndarray, node: np.ndarray, budget: int, dropped: np.ndarray | None = None) -> list[tuple[int, int]]:
     """Spanning links of rows sorted by key: only rows with one key are compared."""
     out, forest = [], _Forest()
     edge = np.flatnonzero(np.r_[True, key[1:] != key[:-1], True])
@@ -171,29 +191,24 @@ def _linked(key: np.ndarray, fp: np.ndarray, node: np.ndarray, budget: int) -> l
         i = i[group[i + shift] == group[i]]
         if not len(i):
             continue
-        x = fp[i] ^ fp[i + shift]
-        near = np.bitwise_count(x) <= budget
-        hit = i[near][chain_holds(x[near], start[i][near], budget)]
+        hit = i[chain_survivors(fp[i] ^ fp[i + shift], start[i], budget, dropped)]
         out += [(a, b) for a, b in zip(node[hit].tolist(), node[hit + shift].tolist(), strict=True) if forest.join(a, b)]
     for g in np.flatnonzero(size > 64):
         own = slice(edge[g], edge[g + 1])
-        out += _tile((fp[own], node[own]), (fp[own], node[own]), int(start[edge[g]]), budget, forest)
+        out += _tile((fp[own], node[own]), (fp[own], node[own]), int(start[edge[g]]), budget, forest, dropped)
     return out
 
 
-def _tile(left: tuple[np.ndarray, np.ndarray], right: tuple[np.ndarray, np.ndarray], start: int, budget: int, forest: _Forest, rows: int = 256) -> list[tuple[int, int]]:
+def _tile(left: tuple[np.ndarray, np.ndarray], right: tuple[np.ndarray, np.ndarray], start: int, budget: int, forest: _Forest, dropped: np.ndarray | None = None, rows: int = 256) -> list[tuple[int, int]]:
     """Spanning links between two lists (fingerprints, nodes) under one key: a link between
     nodes that earlier ones have connected gives no row."""
     out = []
     for at in range(0, len(left[0]), rows):
         fp, node = left[0][at : at + rows], left[1][at : at + rows]
-        x = fp[:, None] ^ right[0][None, :]
-        i, j = np.nonzero(np.bitwise_count(x) <= budget)
-        keep = node[i] != right[1][j]
-        i, j = i[keep], j[keep]
-        keep = chain_holds(x[i, j], np.full(len(i), start), budget)
-        for a, b in zip(node[i[keep]].tolist(), right[1][j[keep]].tolist(), strict=True):
-            if forest.join(a, b):
+        hit = chain_survivors((fp[:, None] ^ right[0][None, :]).ravel(), start, budget, dropped)
+        i, j = np.divmod(hit, max(1, len(right[0])))
+        for a, b in zip(node[i].tolist(), right[1][j].tolist(), strict=True):
+            if a != b and forest.join(a, b):
                 out.append((a, b))
     return out
 
@@ -262,21 +277,26 @@ def links(views: DataFrame, budget: int = 3, tile: int = 2048) -> DataFrame:
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text: str = "text", budget: int = 3, shingle: int = 3, views: int = 1) -> DataFrame:
     """(id, fingerprint, component_id) for every row.
 
-    Null and empty texts have fingerprint zero and link like any other. A component's id is
-    the smallest id in it; a null id counts only if all are null. Repeated rows come back
-    repeated, an empty table empty; other columns are ignored.
+    Null and empty texts have fingerprint zero and link like any other; texts are read whole,
+    however long. Ids keep their type; a component's id is the smallest in it, and a null id
+    counts only if all are null. Repeated rows come back repeated, an empty table empty; other
+    columns are ignored.
     """
-    made = stage(fingerprints(docs, id_col, text, shingle, views), "simhash-fp")
+    kind = docs.schema[id_col].dataType
+    made = stage(fingerprints(docs, id_col, text, shingle, views).withColumn("id", F.col("id").cast(kind)), "simhash-fp")
     # cells, not single rows: a fingerprint that a third of the rows share is summed first
-    first = stage(made.groupBy("fp").agg(F.min("id").alias("low")), "simhash-distinct")
+    first = stage(made.groupBy("fp").agg(F.min("id").alias("low"), F.count("*").alias("copies")), "simhash-distinct")
     own = F.concat(F.array("fp"), F.col("others"))
     seen = made.select("fp", "others").distinct().select(F.col("fp").alias("node"), F.posexplode(own).alias("view", "fp")).distinct()
     pairs = stage(links(stage(seen, "simhash-views"), budget), "simhash-links")
-    member = min_label_components(pairs.select(F.col("a").alias("u"), F.col("b").alias("v")))
-    known = first.join(member.select(F.col("v").alias("fp"), "comp"), "fp", "left").withColumn("comp", F.coalesce("comp", "fp"))
-    lowest = known.groupBy("comp").agg(F.min("low").alias("component_id"))
-    named = known.join(lowest, "comp").select("fp", "component_id")
-    return made.join(named, "fp").select(F.col("id").alias(id_col), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    member = min_label_components(pairs.select(F.col("a").alias("u"), F.col("b").alias("v"))).withColumnRenamed("v", "fp")
+    known = stage(first.join(member, "fp", "left"), "simhash-known")
+    linked = known.where("comp is not null")
+    lowest = stage(linked.groupBy("comp").agg(F.min("low").alias("component_id"), F.count("*").alias("members")), "simhash-lowest")
+    named = join_spread(linked, lowest, "comp", "members").select("fp", "copies", "component_id")
+    named = stage(named.unionByName(known.where("comp is null").select("fp", "copies", F.col("low").alias("component_id"))), "simhash-named")
+    hexed = F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint")
+    return join_spread(made.select("id", "fp"), named, "fp", "copies").select(F.col("id").alias(id_col), hexed, "component_id")
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text: str = "text", budget: int = 3, shingle: int = 3, views: int = 1) -> DataFrame:
@@ -286,4 +306,4 @@ def keep_first(docs: DataFrame, id_col: str = "doc_id", text: str = "text", budg
     stay too.
     """
     kept = near_duplicates(docs, id_col, text, budget, shingle, views).where(F.col(id_col) == F.col("component_id")).select(F.col(id_col).alias("__kept")).distinct()
-    return docs.join(kept, docs[id_col].cast("long") == kept["__kept"], "left_semi").unionByName(docs.where(F.col(id_col).isNull()))
+    return docs.join(kept, docs[id_col] == kept["__kept"], "left_semi").unionByName(docs.where(F.col(id_col).isNull()))
