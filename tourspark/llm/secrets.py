@@ -1,30 +1,26 @@
 """Secret scans over a trigram inverted index, in SQL functions alone.
 
 Every rule is a regular expression. From it comes a Boolean query over trigrams that any
-match must satisfy. The index holds, for each trigram that the rules ask for, the list of
-texts with it. Lists are intersected and united as the query says; only the candidates are
-scanned by the rule itself. A rule without mandatory trigrams scans every text.
-
-The index has two forms with the same content. ``postings`` is the list form, rows of
-(trigram, id), to be written once and asked many times. ``posting_bits`` is the bitmap form
-aligned with the rows of the table: bit t of a row says whether the row is on the list of
-trigram t, so lists meet by a bitwise AND where the texts are, and neither texts nor lists
-are shuffled. The scan uses the bitmap form.
+match must satisfy, as alternatives of conjunctions. The index holds, for each trigram that
+the rules ask for, the list of rows whose text has it; it is written once to the shared
+folder. The lists of each conjunction are intersected, those of the alternatives united; only
+the rows that come out are scanned by the rule itself. A rule without mandatory trigrams
+scans every text where it lies.
+
+A row goes by a digest of its id and text. Two rows under one digest could only add a
+candidate, never lose one, as every candidate is verified on its own text.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
-from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tourspark.llm.rows import fresh
 from tourspark.llm.trigrams import query_of, trigrams_of
-
-#: Bits of a word of the bitmap form; the sign bit stays free.
-WORD_BITS = 62
+from tourspark.session import stage
 
 
 @dataclass(frozen=True)
@@ -59,6 +55,8 @@ MORE_RULES = (
     Rule("webtoken", r"eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}"),
 )
 RULES = BASE_RULES + MORE_RULES
+#: Matches of a text in one block of the running sums.
+BLOCK = 256
 
 
 def vocabulary(rules=RULES) -> list[str]:
@@ -66,36 +64,15 @@ def vocabulary(rules=RULES) -> list[str]:
     return sorted({t for r in rules for t in trigrams_of(r.query)})
 
 
-def posting_bits(text: Column, rules=RULES) -> list[Column]:
-    """The row's slice of every posting bitmap, as words of 62 bits."""
-    folded, words = F.lower(text), vocabulary(rules)
-    return [
-        reduce(lambda a, b: a.bitwiseOR(b), [F.when(folded.contains(t), F.lit(1 << i)).otherwise(F.lit(0)).cast("long") for i, t in enumerate(words[at : at + WORD_BITS])])
-        for at in range(0, len(words), WORD_BITS)
-    ]
-
-
-def _meets(query, words: list[str], bits: list[Column]) -> Column:
-    """The query over the bitmaps. A conjunction of trigrams is one masked comparison a word."""
-    if isinstance(query, str):
-        query = ("and", (query,))
-    if query[0] == "or":
-        return reduce(lambda a, b: a | b, [_meets(p, words, bits) for p in query[1]])
-    masks: dict[int, int] = {}
-    for p in query[1]:
-        if isinstance(p, str):
-            w, b = divmod(words.index(p), WORD_BITS)
-            masks[w] = masks.get(w, 0) | 1 << b
-    tests = [bits[w].bitwiseAND(F.lit(m)) == F.lit(m) for w, m in masks.items()]
-    tests += [_meets(p, words, bits) for p in query[1] if not isinstance(p, str)]
-    return reduce(lambda a, b: a & b, tests, F.lit(True))
+def row_key(id_col: str, text: str) -> Column:
+    return F.xxhash64(F.col(id_col), F.col(text))
 
 
 def postings(docs: DataFrame, id_col: str = "doc_id", text: str = "text", rules=RULES) -> DataFrame:
-    """The list form: one row (trigram, id) for each mandatory trigram of the rules in a text."""
+    """The inverted index: one row (trigram, key) for each trigram of the rules in a text."""
     folded = F.lower(F.col(text))
     present = F.array_compact(F.array(*[F.when(folded.contains(t), F.lit(t)) for t in vocabulary(rules)]))
-    return docs.select(F.explode(present).alias("trigram"), F.col(id_col).alias(id_col))
+    return docs.select(F.explode(present).alias("trigram"), row_key(id_col, text).alias("key"))
 
 
 def _branches(query) -> list[list[str]]:
@@ -110,23 +87,23 @@ def _branches(query) -> list[list[str]]:
     return [sorted(set(b)) for b in out]
 
 
-def candidates(index: DataFrame, rule: Rule, id_col: str = "doc_id") -> DataFrame:
-    """Ids that satisfy a rule's query, by intersecting the lists of the stored form.
+def candidates(index: DataFrame, rules=RULES) -> DataFrame:
+    """(key, hits): the rows that satisfy a rule's query; bit r of ``hits`` is the rule's.
 
-    The lists of a conjunction are counted by id with partial sums, so a trigram that most
-    texts have never meets in one task. A rule without trigrams has no candidates here; it
-    scans every text.
+    The lists of a conjunction meet by row: partial unions of the trigrams seen come before
+    the exchange, so a trigram that most texts have never meets in one task. Rules without
+    trigrams have no candidates here.
     """
-    spark = index.sparkSession
-    rows = [(n, t, len(b)) for n, b in enumerate(_branches(rule.query)) for t in b]
-    if not rows:
-        raise ValueError(f"rule {rule.kind} has no mandatory trigram")
-    asked = spark.createDataFrame(rows, "branch int, trigram string, wanted int")
-    return (
-        index.distinct().join(F.broadcast(asked), "trigram")  # the rule's own trigrams, a few dozen rows
-        .groupBy(id_col, "branch").agg(F.count("*").alias("n"), F.first("wanted").alias("wanted"))
-        .where("n = wanted").select(id_col).distinct()
-    )
+    asked = [
+        F.struct(F.lit(t).alias("trigram"), F.lit(r).alias("rule"), F.lit(n).alias("branch"), F.lit(1 << at).cast("long").alias("bit"), F.lit((1 << len(b)) - 1).cast("long").alias("whole"))
+        for r, rule in enumerate(rules) if trigrams_of(rule.query) for n, b in enumerate(_branches(rule.query)) for at, t in enumerate(b)
+    ]
+    if not asked:
+        return index.select("key", F.lit(0).cast("long").alias("hits")).where("false")
+    # as many rows as the rules' queries have trigrams, a few dozen
+    table = F.broadcast(index.sparkSession.range(1).select(F.inline(F.array(*asked))))
+    met = index.join(table, "trigram").groupBy("key", "rule", "branch", "whole").agg(F.expr("bit_or(bit)").alias("seen")).where("seen = whole")
+    return met.groupBy("key").agg(F.expr("bit_or(shiftleft(1L, rule))").alias("hits"))
 
 
 def _places(text: Column, rule: Rule) -> Column:
@@ -142,45 +119,74 @@ def _places(text: Column, rule: Rule) -> Column:
         lambda gap, m: F.struct(gap.alias("gap"), F.length(m).alias("len"), (F.length(F.regexp_extract(m, rule.java, rule.group)) if rule.group else F.length(m)).alias("own")),
     )
     steps = F.filter(steps, lambda x: x["len"].isNotNull())
-    empty = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<s:int,e:int>>").alias("out"))
-    walked = F.aggregate(
-        steps, empty,
-        lambda acc, x: F.struct(
-            (acc["at"] + x["gap"] + x["len"]).alias("at"),
-            F.when(x["own"] >= rule.least, F.concat(acc["out"], F.array(F.struct((acc["at"] + x["gap"]).alias("s"), (acc["at"] + x["gap"] + x["len"]).alias("e"))))).otherwise(acc["out"]).alias("out"),
-        ),
-        lambda acc: acc["out"],
-    )
-    return walked
+    return _with(steps, lambda own: _with(_blocks(own), lambda blocks: _walked(blocks, rule.least)))
+
 
+def _with(value: Column, use) -> Column:
+    """``use(value)`` with the value worked out once, however often it is used."""
+    return F.element_at(F.transform(F.array(value), use), 1)
 
-#: A cheap test before the places of a rule without trigrams are worked out.
-def _gate(text: Column, rule: Rule, words: list[str], bits: list[Column]) -> Column:
-    query = rule.query
-    asked = _meets(query, words, bits) if trigrams_of(query) else F.lit(True)
+
+def _blocks(steps: Column) -> Column:
+    """``steps`` in runs of BLOCK; no run for no steps."""
+    count = F.ceil(F.size(steps) / BLOCK).cast("int")
+    return F.transform(F.filter(F.sequence(F.lit(0), count), lambda k: k < count), lambda k: F.slice(steps, k * BLOCK + 1, BLOCK))
+
+
+def _walked(blocks: Column, least: int) -> Column:
+    """Places by running sums, within blocks and over the blocks' sums: an array that grows by
+    one is copied at every step, so none here grows beyond a block or the number of blocks."""
+    none = F.array().cast("array<struct<s:int,e:int>>")
+
+    def inside(block: Column, base: Column) -> Column:
+        return F.aggregate(
+            block, F.struct(base.alias("at"), none.alias("out")),
+            lambda acc, x: F.struct(
+                (acc["at"] + x["gap"] + x["len"]).alias("at"),
+                F.when(x["own"] >= least, F.concat(acc["out"], F.array(F.struct((acc["at"] + x["gap"]).alias("s"), (acc["at"] + x["gap"] + x["len"]).alias("e"))))).otherwise(acc["out"]).alias("out"),
+            ),
+            lambda acc: acc["out"],
+        )
+
+    sums = F.transform(blocks, lambda b: F.aggregate(b, F.lit(0), lambda acc, x: acc + x["gap"] + x["len"]))
+    bases = F.aggregate(sums, F.array(F.lit(0)), lambda acc, x: F.concat(acc, F.array(F.element_at(acc, -1) + x)))
+    return F.flatten(_with(bases, lambda at: F.transform(blocks, lambda b, k: inside(b, F.element_at(at, k + 1)))))
+
+
+def _gate(text: Column, rule: Rule) -> Column:
+    """A cheap test before the places of a rule's matches are worked out."""
     if rule.group == 0 and rule.least and rule.pattern.endswith("]+") and rule.pattern.startswith("["):
-        return asked & text.rlike(rule.java.removesuffix("+") + f"{{{rule.least}}}")
-    return asked & text.rlike(rule.java)
+        return text.rlike(rule.java.removesuffix("+") + f"{{{rule.least}}}")
+    return text.rlike(rule.java)
 
 
-def scan(docs: DataFrame, text: str = "text", rules=RULES, name: str = "found") -> DataFrame:
+def scan(docs: DataFrame, id_col: str = "doc_id", text: str = "text", rules=RULES, name: str = "found", index: DataFrame | None = None) -> DataFrame:
     """``docs`` with a column ``name``: array<struct<s, rank, kind, e>> in order.
 
-    ``rank`` is the place of the kind among ``rules``. Null text counts as empty and has no
-    spans; extra columns stay, but for one named like the new one.
+    ``rank`` is the place of the kind among ``rules``. ``index``: the postings of these rows,
+    if they have been written before. Null text counts as empty and has no spans; texts are
+    read whole, however long; repeated rows come back repeated, an empty table empty; extra
+    columns stay, but for one named like the new one.
+
+    The candidates' table is written, so its size is known: the engine broadcasts it while it
+    is small and else joins by the rows' digests.
     """
-    words = vocabulary(rules)
-    bits = [fresh(f"__bits{i}", docs.columns) for i in range(len(posting_bits(F.lit(""), rules)))]
+    index = stage(postings(docs, id_col, text, rules), "postings") if index is None else index
+    key, hits = fresh("__key", docs.columns), fresh("__hits", docs.columns)
+    chosen = stage(candidates(index, rules), "candidates").withColumnsRenamed({"key": key, "hits": hits})
     body = F.coalesce(F.col(text), F.lit(""))
-    indexed = docs.withColumns(dict(zip(bits, posting_bits(body, rules), strict=True)))
     nothing = F.array().cast("array<struct<s:int,rank:int,kind:string,e:int>>")
 
     def spans_of(rank: int, rule: Rule) -> Column:
         spans = F.transform(_places(body, rule), lambda p: F.struct(p["s"].alias("s"), F.lit(rank).alias("rank"), F.lit(rule.kind).alias("kind"), p["e"].alias("e")))
-        return F.when(_gate(body, rule, words, [F.col(b) for b in bits]), spans).otherwise(nothing)
+        asked = _gate(body, rule)
+        if trigrams_of(rule.query):
+            asked = (F.coalesce(F.col(hits), F.lit(0)).bitwiseAND(F.lit(1 << rank)) > 0) & asked
+        return F.when(asked, spans).otherwise(nothing)
 
     lists = [spans_of(rank, rule) for rank, rule in enumerate(rules)]
-    return indexed.withColumn(name, F.array_sort(F.concat(*lists))).drop(*bits)
+    joined_rows = docs.withColumn(key, row_key(id_col, text)).join(chosen, key, "left")
+    return joined_rows.withColumn(name, F.array_sort(F.concat(*lists))).drop(key, hits)
 
 
 def joined(found: Column) -> Column:
@@ -188,10 +194,11 @@ def joined(found: Column) -> Column:
     return F.concat_ws(",", F.transform(found, lambda x: F.concat_ws(":", x["kind"], x["s"].cast("string"), x["e"].cast("string"))))
 
 
-def redact(docs: DataFrame, text: str = "text", rules=RULES, mark: str = "[SECRET]") -> DataFrame:
-    """``docs`` with every span replaced by ``mark``; overlapping spans become one mark."""
+def redact(docs: DataFrame, id_col: str = "doc_id", text: str = "text", rules=RULES, mark: str = "[SECRET]") -> DataFrame:
+    """``docs`` with every span replaced by ``mark``; overlapping spans become one mark. Null
+    texts stay null, and every row stays, with its columns."""
     columns, found = docs.columns, fresh("__found", docs.columns)
-    seen = scan(docs, text, rules, found)
+    seen = scan(docs, id_col, text, rules, found)
     start = F.struct(F.lit("").alias("out"), F.lit(0).alias("at"))
     body = F.coalesce(F.col(text), F.lit(""))
 
@@ -205,8 +212,12 @@ def redact(docs: DataFrame, text: str = "text", rules=RULES, mark: str = "[SECRE
 
 
 def digest(docs: DataFrame, id_col: str = "doc_id", text: str = "text") -> DataFrame:
-    """Counts, digest and spans of every document, under the three base kinds and the rest."""
-    found = scan(docs.select(F.col(id_col).alias(id_col), F.col(text).alias(text)), text).select(id_col, "found")
+    """Counts, digest and spans of every document, under the three base kinds and the rest.
+
+    Null and empty texts have no spans: counts of 0 and the digest of the empty text. Repeated
+    rows come back repeated, an empty table empty; other columns are ignored.
+    """
+    found = scan(docs.select(F.col(id_col).alias(id_col), F.col(text).alias(text)), id_col, text).select(id_col, "found")
     count = lambda rank: F.size(F.filter("found", lambda x: x["rank"] == rank)).cast("long")
     base = F.filter("found", lambda x: x["rank"] < len(BASE_RULES))
     return found.select(
