@@ -1,13 +1,15 @@
 """Byte-level BPE by corpus-level merge replay.
 
-The distinct words of a slab of texts are laid out once as one long list of symbols. An
-inverted index leads from each mergeable pair, named by the rank of what it makes, to the
-places where it stands. Merges are applied in rank order, each to all its places at once;
-a merge touches only its two neighbours, whose new pairs enter the index. A word's tokens
-are then those that remain, and every text is its words' tokens in a row.
-
-Words seen in an earlier slab of the same worker keep their tokens, so replay meets only new
-ones. Decoding goes from ids back to bytes.
+Three steps. Texts are cut into words, and every run of texts is written as numbers of words
+in a list of the run's own distinct words. All runs' lists then meet by word, so that each
+distinct word of the corpus is laid out and replayed once: words make up one long list of
+symbols, an inverted index leads from each mergeable pair, named by the rank of what it
+makes, to the places where it stands, and merges are applied in rank order, each to all its
+places at once; a merge touches only its two neighbours, whose new pairs enter the index. At
+last the words' tokens go back to the runs, where every text is its words' tokens in a row.
+
+A run ends after so many distinct words or characters, so what a task holds is bounded, and
+a word that every text has comes once from each run. Decoding goes from ids back to bytes.
 """
 
 from __future__ import annotations
@@ -18,16 +20,22 @@ import heapq
 from collections.abc import Iterator
 from functools import lru_cache
 
+import numpy as np
 import pandas as pd
 import public_tokenizers
 import regex
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 from tourspark.llm.rows import named, text_rows
+from tourspark.session import stage
 
 RANKS = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
-#: Texts of a slab, in code points, and how many words a task keeps.
-SLAB, MOST_WORDS = 4_000_000, 400_000
+#: Code points and distinct words after which a run of texts ends, and words of one replay.
+RUN_CHARS, RUN_WORDS, SLAB = 16_000_000, 300_000, 100_000
+#: Rows of the first step: a text's words by their numbers, or a word of the run's list.
+CUT = "run long, n int, id string, words binary, word string"
+TOKENS = "run long, n int, ids binary"
 
 
 @lru_cache(2)
@@ -135,83 +143,120 @@ def replay(words: list[bytes], ranks: dict[bytes, int], pairs: dict[int, int]) -
 
 
 class Coder:
-    """Encodes and decodes texts, slab by slab; keeps the words of earlier slabs."""
+    """Encodes and decodes in one process: words are cut, replayed together and joined."""
 
     def __init__(self, path: str = RANKS, pattern: str = public_tokenizers.PATTERN):
         self.ranks, self.pairs = load(path), merges(path)
         self.piece = {n: b for b, n in self.ranks.items()}
         self.split = regex.compile(pattern).findall
-        self.ids: dict[str, str] = {}  # of a word seen: its ids as text
-        self.back: dict[str, bytes] = {}  # and what they decode to
 
-    def learn(self, words: set[str]) -> None:
-        """Replay the merges over the words not known yet: (ids as text, count, decoded)."""
-        new = sorted(w for w in words if w not in self.ids)
-        for w, ids in zip(new, replay([w.encode() for w in new], self.ranks, self.pairs), strict=True):
-            self.ids[w] = ",".join(map(str, ids))
-            self.back[w] = self.decode(ids)
+    def replay(self, words: list[str]) -> list[list[int]]:
+        return replay([w.encode() for w in words], self.ranks, self.pairs)
 
     def encode(self, texts: list[str]) -> list[list[int]]:
         cut = [self.split(t) for t in texts]
-        self.learn({w for words in cut for w in words})
-        return [[int(i) for w in words for i in self.ids[w].split(",")] for words in cut]
+        known = sorted({w for words in cut for w in words})
+        ids = dict(zip(known, self.replay(known), strict=True))
+        return [[i for w in words for i in ids[w]] for words in cut]
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.piece.__getitem__, ids))
 
-    def digests(self, texts: list[str]) -> list[tuple[int, str, str]]:
-        if len(self.ids) > MOST_WORDS:
-            self.ids.clear()
-            self.back.clear()
-        cut = [self.split(t) for t in texts]
-        self.learn(set().union(*cut))
-        ids_of, back_of, sha, out = self.ids.__getitem__, self.back.__getitem__, hashlib.sha256, []
-        for words in cut:
-            ids = ",".join(map(ids_of, words))
-            back = b"".join(map(back_of, words))
-            out.append((ids.count(",") + 1 if ids else 0, sha(ids.encode()).hexdigest(), sha(back).hexdigest()))
-        return out
-
 
 @lru_cache(1)
 def coder(path: str) -> Coder:
-    """One for each worker process, so that later tasks start with the words of earlier ones."""
+    """One for each worker process: its tables are made once."""
     return Coder(path)
 
 
-def _slabs(rows: pd.DataFrame, most: int) -> Iterator[pd.DataFrame]:
-    at, size = 0, 0
-    for i, t in enumerate(rows["t"]):
-        size += len(t)
-        if size >= most:
-            yield rows.iloc[at : i + 1]
-            at, size = i + 1, 0
-    if at < len(rows):
-        yield rows.iloc[at:]
+def _cut(batches: Iterator[pd.DataFrame], path: str, most_chars: int, most_words: int) -> Iterator[pd.DataFrame]:
+    split = coder(path).split
+    run = TaskContext.get().partitionId() << 40
+    numbers: dict[str, int] = {}
+    chars = 0
 
+    def word_list() -> pd.DataFrame:
+        return pd.DataFrame({"run": run, "n": np.arange(len(numbers), dtype=np.int32), "id": None, "words": None, "word": list(numbers)})
 
-def _run(batches: Iterator[pd.DataFrame], path: str, most: int) -> Iterator[pd.DataFrame]:
-    own = coder(path)
     for rows in batches:
-        for part in _slabs(rows, most):
-            made = pd.DataFrame(own.digests(part["t"].tolist()), columns=["n_tokens", "ids_sha256", "decoded_sha256"])
-            yield pd.concat([part.drop(columns="t").reset_index(drop=True), made], axis=1)
+        ids, held = [], []
+        for i, t in zip(rows["id"], rows["t"], strict=True):
+            own = [numbers.setdefault(w, len(numbers)) for w in split(t)]
+            ids.append(i)
+            held.append(np.array(own, "<i4").tobytes())
+            chars += len(t)
+            if chars >= most_chars or len(numbers) >= most_words:
+                yield pd.DataFrame({"run": run, "n": -1, "id": ids, "words": held, "word": None})
+                yield word_list()
+                ids, held, chars, run = [], [], 0, run + 1
+                numbers.clear()
+        if ids:
+            yield pd.DataFrame({"run": run, "n": -1, "id": ids, "words": held, "word": None})
+    if numbers:
+        yield word_list()
+
+
+def _replayed(batches: Iterator[pd.DataFrame], path: str, slab: int) -> Iterator[pd.DataFrame]:
+    """Rows sorted by word: each distinct word is replayed once, with the others of a slab."""
+    own, last, last_ids = coder(path), None, b""
+    for rows in batches:
+        word = rows["word"].to_numpy()
+        fresh = np.r_[word[:1] != last, word[1:] != word[:-1]]
+        new = word[fresh].tolist()
+        made = [last_ids] if not len(fresh) or not fresh[0] else []
+        for at in range(0, len(new), slab):
+            made += [np.array(ids, "<i4").tobytes() for ids in own.replay(new[at : at + slab])]
+        place = np.cumsum(fresh) - 1 + (len(made) - len(new))
+        if len(word):
+            last, last_ids = word[-1], made[place[-1]]
+            yield pd.DataFrame({"run": rows["run"], "n": rows["n"], "ids": np.array(made, object)[place]})
+
+
+def cut_words(docs: DataFrame, id_col: str, text: str, path: str = RANKS, most_chars: int = RUN_CHARS, most_words: int = RUN_WORDS) -> DataFrame:
+    """Rows of CUT: every text as numbers of its run's words, and each run's words. Written."""
+    rows = text_rows(docs, id_col, text, empty=True)
+    return stage(rows.mapInPandas(lambda b: _cut(b, path, most_chars, most_words), CUT), "bpe-cut")
 
 
-def code(docs: DataFrame, id_col: str = "doc_id", text: str = "text", path: str = RANKS, slab: int = SLAB) -> DataFrame:
-    """(id, n_tokens, ids_sha256, decoded_sha256) of every row; null texts count as empty and
-    have no tokens. Repeated rows come back repeated; other columns are ignored."""
-    rows = text_rows(docs, id_col, text, empty=True)
-    return named(rows.mapInPandas(lambda b: _run(b, path, slab), "id string, n_tokens long, ids_sha256 string, decoded_sha256 string"), docs, id_col)
+def word_tokens(cut: DataFrame, path: str = RANKS, slab: int = SLAB) -> DataFrame:
+    """(run, n, ids): the tokens of each run's words. All rows of a word are in one task, next
+    to one another, and it is replayed once; they are at most as many as there are runs."""
+    words = cut.where("n >= 0").select("run", "n", "word")
+    return words.repartition("word").sortWithinPartitions("word").mapInPandas(lambda b: _replayed(b, path, slab), TOKENS)
+
+
+def _joined(docs: DataFrame, id_col: str, text: str, path: str, kind: str, of_text, most_chars: int, most_words: int) -> DataFrame:
+    """``of_text`` of every text, given the numbers of its words and the tokens of each."""
+    cut = cut_words(docs, id_col, text, path, most_chars, most_words)
 
+    def meet(texts: pd.DataFrame, tokens: pd.DataFrame) -> pd.DataFrame:
+        ids = tokens.sort_values("n")["ids"].tolist()
+        return of_text(coder(path), texts["id"].tolist(), (np.frombuffer(w, "<i4").tolist() for w in texts["words"]), ids)
 
-def encode_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text", path: str = RANKS) -> DataFrame:
-    """(id, ids array<int>) of every row: the ids themselves."""
+    texts = cut.where("n < 0").select("run", "id", "words").groupBy("run")
+    made = texts.cogroup(word_tokens(cut, path).groupBy("run")).applyInPandas(meet, kind)
+    return named(made, docs, id_col)
+
+
+def _digests(own: Coder, ids: list, texts: Iterator[list[int]], tokens: list[bytes]) -> pd.DataFrame:
+    lists = [np.frombuffer(t, "<i4").tolist() for t in tokens]
+    text_of = [",".join(map(str, x)) for x in lists].__getitem__
+    size_of, back_of, sha = [len(x) for x in lists].__getitem__, [own.decode(x) for x in lists].__getitem__, hashlib.sha256
+    rows = [(i, sum(map(size_of, w)), sha(",".join(map(text_of, w)).encode()).hexdigest(), sha(b"".join(map(back_of, w))).hexdigest()) for i, w in zip(ids, texts, strict=True)]
+    return pd.DataFrame(rows, columns=["id", "n_tokens", "ids_sha256", "decoded_sha256"])
+
+
+def _lists(own: Coder, ids: list, texts: Iterator[list[int]], tokens: list[bytes]) -> pd.DataFrame:
+    return pd.DataFrame({"id": ids, "ids": [np.frombuffer(b"".join(map(tokens.__getitem__, w)), "<i4") for w in texts]})
+
+
+def code(docs: DataFrame, id_col: str = "doc_id", text: str = "text", path: str = RANKS, most_chars: int = RUN_CHARS, most_words: int = RUN_WORDS) -> DataFrame:
+    """(id, n_tokens, ids_sha256, decoded_sha256) of every row; null texts count as empty and
+    have no tokens. Texts are read whole, however long; a long one ends its run. Repeated rows
+    come back repeated, an empty table empty; other columns are ignored."""
+    return _joined(docs, id_col, text, path, "id string, n_tokens long, ids_sha256 string, decoded_sha256 string", _digests, most_chars, most_words)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        own = coder(path)
-        for rows in batches:
-            for part in _slabs(rows, SLAB):
-                yield pd.DataFrame({"id": part["id"].to_numpy(), "ids": own.encode(part["t"].tolist())})
 
-    return named(text_rows(docs, id_col, text, empty=True).mapInPandas(run, "id string, ids array<int>"), docs, id_col)
+def encode_documents(docs: DataFrame, id_col: str = "doc_id", text: str = "text", path: str = RANKS, most_chars: int = RUN_CHARS, most_words: int = RUN_WORDS) -> DataFrame:
+    """(id, ids array<int>) of every row: the ids themselves, as in ``code``."""
+    return _joined(docs, id_col, text, path, "id string, ids array<int>", _lists, most_chars, most_words)
