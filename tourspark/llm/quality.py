@@ -7,8 +7,9 @@ the scaled indicators by dual coordinate descent. The weights are then drawn tow
 mean magnitude, as the method proposes, and a logistic curve through the training margins
 makes a score of 0 to 1.
 
-The fit uses at most ``sample`` labelled rows, those first in hash order; n-grams are those
-of the sample that at least two of its texts have. Every text is scored whole.
+The fit uses at most ``sample`` labelled rows, those first in hash order, and of them as many
+as ``sample_chars`` allows; n-grams are those of the sample that at least two of its texts
+have. Every text is scored whole.
 """
 
 from __future__ import annotations
@@ -21,20 +22,22 @@ from dataclasses import dataclass
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tourspark.llm.rows import named, text_rows
 from tourspark.session import ship
 
+#: Most bytes of words whose shapes a task remembers.
+MOST_CACHED = 64 << 20
 TOKEN = re.compile(r"\w+|\n+|[^\w\s]+")
 
 
 def shape(token: str) -> str:
-    """A word's case, or digits, or the mark itself in short."""
+    """A word's case, or digits, or the marks of a run, each once."""
     if token.isalpha():
         return "x" if token.islower() else "X" if token.isupper() and len(token) > 1 else "T" if token[0].isupper() else "m"
-    return "9" if token.isdigit() else "/" if token[0] == "\n" else token[:3]
+    return "9" if token.isdigit() else "/" if token[0] == "\n" else "".join(dict.fromkeys(token))
 
 
 def grams(text: str | None, shapes: dict[str, str]) -> list[set]:
@@ -158,24 +161,33 @@ def held_out(doc_id: Column, parts: int, part: int) -> Column:
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(parts)) == part, F.lit(False))
 
 
-def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "quality", sample: int = 5000, **options) -> Model:
-    """Fit on the ``sample`` labelled rows first in hash order of their ids that are not held out.
+def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "quality", sample: int = 5000, sample_chars: int = 50_000_000, **options) -> Model:
+    """Fit on the ``sample`` labelled rows first in hash order of their ids that are not held
+    out, or on those of them that begin within the first ``sample_chars`` characters.
 
-    Null labels and ids are left out. The sample bounds what comes to the driver.
+    Null labels and ids are left out. An id that is repeated on either side gives that many
+    rows, which count towards both bounds, so they bound what comes to the driver. With an
+    empty table the score is constant.
     """
-    chosen = (
+    wanted = (
         labels.where(F.col(label).isin(0, 1) & F.col(id_col).isNotNull() & ~held_out(F.col(id_col), 3, 1))
         .select(F.col(id_col).alias("id"), F.col(label).cast("int").alias("y"))
-        .orderBy(F.xxhash64("id"), "id", "y").limit(sample)
     )
     # at most `sample` rows: its size is bounded by that parameter
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text).alias("t")).join(F.broadcast(chosen), "id").orderBy("id", "y", "t").collect()
-    return fit([r["t"] for r in rows], [r["y"] for r in rows], **options)
+    chosen = F.broadcast(wanted.orderBy(F.xxhash64("id"), "id", "y").limit(sample))
+    place = ["h", "id", "y", "t"]
+    rows = docs.select(F.col(id_col).alias("id"), F.col(text).alias("t")).join(chosen, "id").withColumn("h", F.xxhash64("id")).orderBy(*place).limit(sample)
+    # one window over these few rows, for the sum of their lengths
+    before = Window.partitionBy(F.lit(0)).orderBy(*place).rowsBetween(Window.unboundedPreceding, -1)
+    rows = rows.withColumn("before", F.coalesce(F.sum(F.coalesce(F.length("t"), F.lit(0))).over(before), F.lit(0))).where(F.col("before") < sample_chars)
+    found = rows.orderBy("id", "y", "t").select("t", "y").collect()
+    return fit([r["t"] for r in found], [r["y"] for r in found], **options)
 
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """(id, held_out, score, predicted) of every row; null and empty texts get the score of
-    no n-grams. Repeated rows come back repeated; other columns are ignored."""
+    no n-grams. Texts are read whole, however long; equal texts score alike. Repeated rows
+    come back repeated, an empty table empty; other columns are ignored."""
     shared = docs.sparkSession.sparkContext.broadcast(model)  # bounded by the sample
     rows_in = text_rows(docs, id_col, text, held_out(F.col(id_col), 3, 1).alias("held_out"))
 
@@ -183,7 +195,7 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text: str = "te
         own, shapes = shared.value, {}
         for rows in batches:
             made = np.array([own.score(t, shapes) for t in rows["t"]], float)
-            if len(shapes) > 500_000:
+            if sum(map(len, shapes)) + 120 * len(shapes) > MOST_CACHED:
                 shapes.clear()
             rows = rows.drop(columns="t")
             rows["score"], rows["predicted"] = made, (made >= 0.5).astype(int)
@@ -193,7 +205,11 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text: str = "te
 
 
 def keep_good(docs: DataFrame, model: Model, text: str = "text", least: float = 0.5) -> DataFrame:
-    """The rows of ``docs`` whose score is ``least`` or more, with their columns."""
+    """The rows of ``docs`` whose score is ``least`` or more, with their columns.
+
+    A null text is judged like an empty one; repeated rows are judged alike and all stay or
+    all go; an empty table stays empty.
+    """
     ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
