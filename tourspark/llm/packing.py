@@ -3,11 +3,12 @@
 The work of a sequence is estimated as a linear part for its tokens plus a quadratic part
 for attention inside each of its pieces. Documents are taken in descending order of their
 estimated cost; each goes to the sequence of lowest cost so far that has room, and what
-doesn't fit is cut off and goes to the next lowest. As many sequences are opened as the
-tokens fill, so only the last few places of one sequence stay empty.
+doesn't fit is cut off and goes to the next lowest. As many full sequences are opened as the
+tokens fill; what is over makes up sequences whose lengths are powers of two, which need no
+padding, so no place stays empty.
 
 A run packs neighbouring documents of one task, up to ``run_tokens`` tokens: nothing is
-shuffled, memory is bounded, and every run pads one sequence at most.
+shuffled, memory is bounded, and a run has a few short sequences at its end.
 """
 
 from __future__ import annotations
@@ -59,12 +60,11 @@ def balanced(lengths: list[int], length: int = LENGTH, linear: float = 1.0, quad
     """(document, start, size, sequence, offset) of every piece. Ties: the earlier document,
     the smaller sequence. Pieces of a document follow one another."""
     total = sum(lengths)
-    open_ones = [(0.0, s) for s in range(-(-total // length))]
-    used = [0] * len(open_ones)
-    last = total - (len(open_ones) - 1) * length if open_ones else 0
-    room = [length] * len(open_ones)
-    if room:
-        room[-1] = last if last > 0 else length  # the padded sequence takes what is over
+    full, over = divmod(total, length)
+    # the rest in binary: sequences of lengths that are powers of two, the longest first
+    room = [length] * full + [1 << bit for bit in range(over.bit_length() - 1, -1, -1) if over >> bit & 1]
+    open_ones = [(0.0, s) for s in range(len(room))]
+    used = [0] * len(room)
     order = sorted(range(len(lengths)), key=lambda d: (-(linear * lengths[d] + quadratic * lengths[d] ** 2), d))
     for d in order:
         start, left = 0, lengths[d]
@@ -108,9 +108,11 @@ def _pieces(batches: Iterator[pd.DataFrame], path: str, length: int, run_tokens:
 def pack(docs: DataFrame, id_col: str = "doc_id", text: str = "text", path: str = VOCABULARY, length: int = LENGTH, run_tokens: int = 4_000_000) -> DataFrame:
     """The pieces of every row: id, start, length, ids_crc32, doc_tokens, sequence_id, offset.
 
-    A row's ids are its text's, then 0. Null and empty texts have that one id. Sequence ids
-    hold the task in their upper bits, which a repeated task gets again. Repeated rows are
-    packed each; an empty table gives no pieces; other columns are ignored.
+    A row's ids are its text's, then 0. Null and empty texts have that one id; texts are read
+    whole, and a long one has many pieces. Within a run ties go to the earlier row and the
+    smaller sequence; runs follow the order in which a task reads its rows. Sequence ids hold
+    the task in their upper bits, which a repeated task gets again. Repeated rows are packed
+    each; an empty table gives no pieces; other columns are ignored.
     """
     made = text_rows(docs, id_col, text).mapInPandas(
         lambda b: _pieces(b, path, length, run_tokens),
