@@ -25,7 +25,8 @@ from tourspark.llm.rows import named, text_rows
 
 MODEL = public_tokenizers.path("piece_bpe_32k.model")
 START = "▁"
-MOST_WORDS = 300_000
+#: Most bytes of words whose sizes a task remembers.
+MOST_CACHED = 64 << 20
 
 
 class Automaton:
@@ -106,13 +107,14 @@ def _run(batches: Iterator[pd.DataFrame], path: str) -> Iterator[pd.DataFrame]:
                 else:
                     tokens += n * size
             made.append((words, tokens, unknown))
-        if len(known) > MOST_WORDS:
+        if sum(map(len, known)) + 120 * len(known) > MOST_CACHED:
             known.clear()
         yield pd.concat([rows.drop(columns="t"), pd.DataFrame(made, columns=["n_words", "n_tokens", "n_unknown"], index=rows.index)], axis=1)
 
 
 def token_counts(docs: DataFrame, id_col: str = "doc_id", text: str = "text", path: str = MODEL) -> DataFrame:
     """(id, n_words, n_tokens, n_unknown) of every row. Null texts count as empty: all 0.
-    Repeated rows come back repeated; other columns are ignored."""
+    Texts and words are read whole, however long, in one pass. Repeated rows come back
+    repeated, an empty table empty; other columns are ignored."""
     rows = text_rows(docs, id_col, text, empty=True)
     return named(rows.mapInPandas(lambda b: _run(b, path), "id string, n_words long, n_tokens long, n_unknown long"), docs, id_col)
