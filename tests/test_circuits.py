@@ -162,7 +162,7 @@ def test_plan_of_a_level_prunes_and_exchanges_once(spark):
     tree = merge_tree(meta_graph(g), phase2.parts_of(g))
     levelled = phase2.prepare(g, tree)
     items = phase2.edge_items(levelled.where("join_level = 1"), tree.maps()[1])
-    plan = phase2.phase1(items, 1, 2)._jdf.queryExecution().executedPlan().toString()
+    plan = phase2.phase1(items, 1, [0, 1])._jdf.queryExecution().executedPlan().toString()
     assert "PartitionFilters: [isnotnull(join_level" in plan
     assert plan.count("hashpartitioning(part") == 1 and "SinglePartition" not in plan
     assert "BroadcastHashJoin" in plan and "MapInArrow" in plan

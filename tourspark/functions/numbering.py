@@ -16,9 +16,11 @@ def dense_number(df: DataFrame, order: list[str], name: str = "n", first: int =
 
     Rows are dealt out by ranges and sorted in their range; the place in the range comes from
     the row's position, and the ranges' sizes, one row a range, give the offsets. Rows that
-    tie in all columns are numbered in any order.
+    tie in all columns are numbered in any order, and dealt by where they came from, so that
+    many of one kind aren't one range.
     """
-    placed = stage(df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("__at", F.monotonically_increasing_id()), "numbered")
+    ranged = df.withColumn("__tie", F.monotonically_increasing_id()).repartitionByRange(*order, "__tie").drop("__tie")
+    placed = stage(ranged.sortWithinPartitions(*order).withColumn("__at", F.monotonically_increasing_id()), "numbered")
     task = F.shiftright("__at", TASK_SHIFT)
     sizes = placed.groupBy(task.alias("task")).count().orderBy("task").collect()  # one row a task
     starts, total = [], first

@@ -67,28 +67,33 @@ def _events(spark, sf_dir):
     return read_table(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type")
 
 
-def event_trail(spark, sf_dir):
-    """Users in order of time, closed.
+def _trail(rows: DataFrame, group: list[str]) -> DataFrame:
+    """Users in order of time, closed, for each value of the group.
 
-    One order over all rows: events are dealt out by ranges of time, each range is chained
-    in its own task, and one row a range joins neighbouring ranges.
+    Events are dealt out by ranges of group and time and numbered through; each is joined with
+    the next number, and one row a group closes it. No task needs a group as a whole.
     """
     from tourspark.functions.numbering import dense_number
 
-    rows = dense_number(_events(spark, sf_dir).select("ts", "event_id", "user_id"), ["ts", "event_id"], "n", 0)
-    follow = rows.select((F.col("n") - 1).alias("n"), F.col("user_id").alias("v"))
-    total = rows.agg(F.max("n")).first()[0]
-    follow = follow.withColumn("n", F.when(F.col("n") < 0, F.lit(total if total is not None else 0)).otherwise(F.col("n")))
-    return rows.select("n", F.col("user_id").alias("u")).join(follow, "n").select("u", "v")
+    rows = dense_number(rows.select(*group, "ts", "event_id", "user_id"), [*group, "ts", "event_id"], "n", 0)
+    here = rows.select("n", F.col("user_id").alias("u"), F.struct(F.lit(0), *group).alias("g"))
+    after = rows.select((F.col("n") - 1).alias("n"), F.col("user_id").alias("v"), F.struct(F.lit(0), *group).alias("h"))
+    steps = here.join(after, "n").where(F.col("g").eqNullSafe(F.col("h"))).select("u", "v")
+    ends = rows.groupBy(*group).agg(F.max_by("user_id", "n").alias("u"), F.min_by("user_id", "n").alias("v"), F.count("*").alias("k"))
+    return steps.unionByName(ends.where("k > 0").select("u", "v"))
+
+
+def event_trail(spark, sf_dir):
+    """Users in order of time, closed."""
+    return _trail(_events(spark, sf_dir), [])
 
 
 def event_trail_by_type(spark, sf_dir):
-    return _closed(_events(spark, sf_dir), ["event_type"], "user_id", ["ts", "event_id"])
+    return _trail(_events(spark, sf_dir), ["event_type"])
 
 
 def event_trail_by_day(spark, sf_dir):
-    rows = _events(spark, sf_dir).withColumn("day", F.to_date("ts"))
-    return _closed(rows, ["day"], "user_id", ["ts", "event_id"])
+    return _trail(_events(spark, sf_dir).withColumn("day", F.to_date("ts")), ["day"])
 
 
 def event_user_hour(spark, sf_dir):
@@ -158,12 +163,12 @@ def dialog_roles(spark, sf_dir):
     return rows.select(token_id(F.col("role")).alias("u"), token_id(F.col("to")).alias("v"))
 
 
-def knn_graph(spark, sf_dir, k: int = 3, block: int = 512):
+def knn_graph(spark, sf_dir, k: int = 3, block: int = 8192):
     """Each vector's k nearest by cosine, ties to the smaller id; digits beyond the ninth of
     the cosine don't count.
 
     Every block of vectors meets every other in a tile of its own, and a tile keeps k rows a
-    vector before anything is shuffled.
+    vector before anything is shuffled. What is moved is the rows times the blocks, twice.
     """
     import numpy as np
     import pandas as pd
@@ -178,14 +183,18 @@ def knn_graph(spark, sf_dir, k: int = 3, block: int = 512):
         if not len(p) or not len(q):
             return pd.DataFrame({"u": [], "v": [], "c": []})
         x, y = np.stack(p["e"].to_numpy()), np.stack(q["e"].to_numpy())
-        c = np.round((x @ y.T) / np.sqrt((x**2).sum(1))[:, None] / np.sqrt((y**2).sum(1))[None, :], 9)
-        i, j = p["vec_id"].to_numpy(), q["vec_id"].to_numpy()
-        c[i[:, None] == j[None, :]] = -np.inf
+        i, order = p["vec_id"].to_numpy(), np.argsort(q["vec_id"].to_numpy(), kind="stable")
+        j, y = q["vec_id"].to_numpy()[order], y[order]
         out = []
-        for r in range(len(i)):
-            near = np.lexsort((j, -c[r]))[:k]
-            out += [(i[r], j[m], c[r, m]) for m in near if np.isfinite(c[r, m])]
-        return pd.DataFrame(out, columns=["u", "v", "c"])
+        for at in range(0, len(i), 256):  # a slab of rows at a time
+            z = x[at : at + 256]
+            c = np.round((z @ y.T) / np.sqrt((z**2).sum(1))[:, None] / np.sqrt((y**2).sum(1))[None, :], 9)
+            c[i[at : at + 256, None] == j[None, :]] = -np.inf
+            # columns go by id, so a stable sort leaves ties to the smaller one
+            near = np.argsort(-c, axis=1, kind="stable")[:, :k]
+            out.append(pd.DataFrame({"u": np.repeat(i[at : at + 256], near.shape[1]), "v": j[near].ravel(), "c": np.take_along_axis(c, near, 1).ravel()}))
+        made = pd.concat(out)
+        return made[np.isfinite(made["c"])]
 
     tiles = left.groupBy("a", "b").cogroup(right.groupBy("a", "b")).applyInPandas(tile, "u long, v long, c double")
     best = Window.partitionBy("u").orderBy(F.desc("c"), "v")
@@ -223,6 +232,12 @@ def rmat(spark: SparkSession, scale: int = 10, per_vertex: int = 5, a: float = 0
     return edge.select(u.alias("u"), v.alias("v"))
 
 
+def power_law(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The power-law graph whose vertices are about half as many as the orders or more."""
+    orders = read_table(spark, sf_dir, "orders").count()
+    return rmat(spark, max(8, max(1, orders).bit_length() - 1))
+
+
 def complete_odd(spark: SparkSession, k: int = 7) -> DataFrame:
     """All pairs of an odd number k of vertices: even degrees. k is a parameter, so the
     product has a known size."""

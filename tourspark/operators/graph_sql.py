@@ -40,6 +40,20 @@ def _rmat(scale: int = 10, per_vertex: int = 5, cuts=(0.57, 0.76, 0.95), seed: i
 
 
 PAIRS["rmat"] = _rmat()
+
+
+def _power_law(most: int = 24, cuts=(0.57, 0.76, 0.95), seed: int = 1) -> str:
+    """As _rmat, at the scale that the number of orders gives."""
+    c = [round(x * 65536) for x in cuts]
+    draw = [f"CAST('0x' || substr(md5('{seed}-{b}-' || i), 1, 4) AS INTEGER)" for b in range(most)]
+    weight = "CAST(1 AS BIGINT) << (s - 1 - {})"
+    u = " + ".join(f"CASE WHEN s > {b} THEN CASE WHEN {d} >= {c[1]} THEN {weight.format(b)} ELSE 0 END ELSE 0 END" for b, d in enumerate(draw))
+    v = " + ".join(f"CASE WHEN s > {b} THEN CASE WHEN {d} >= {c[0]} AND {d} < {c[1]} OR {d} >= {c[2]} THEN {weight.format(b)} ELSE 0 END ELSE 0 END" for b, d in enumerate(draw))
+    scale = "SELECT greatest(8, length(bin(greatest(1, count(*)))) - 1) AS s FROM orders"
+    return f"SELECT {u} AS u, {v} AS v FROM (SELECT s, unnest(range(5 * (1 << CAST(s AS INTEGER)))) AS i FROM ({scale}))"
+
+
+PAIRS["power_law"] = _power_law()
 PAIRS["geo_doubled"] = f"SELECT u, v FROM ({PAIRS['geo_tree']}), range(2)"
 
 _GEO_PARTS = f"""SELECT r_regionkey + {REGION_BASE} AS v, r_regionkey AS part FROM region UNION ALL SELECT n_nationkey + {NATION_BASE}, n_regionkey FROM nation
@@ -50,7 +64,7 @@ DIGEST_PART = "CAST('0x' || substr(md5(CAST(v AS VARCHAR)), 1, 8) AS BIGINT) % 8
 def edges(name: str) -> str:
     """``WITH`` list up to e(u, v): the canonical edges of a graph. Names that end in
     _repaired get the pairs of odd vertices in order of id."""
-    base = {"order_part_repaired": "order_part", "supply_repaired": "supply_multi", "rmat_repaired": "rmat"}.get(name)
+    base = {"order_part_repaired": "order_part", "supply_repaired": "supply_multi", "rmat_repaired": "rmat", "power_law_repaired": "power_law"}.get(name)
     text = f"e0 AS (SELECT CAST(least(u, v) AS BIGINT) AS u, CAST(greatest(u, v) AS BIGINT) AS v FROM ({PAIRS[base or name]}))"
     if not base:
         return text.replace("e0 AS", "e AS", 1)
@@ -83,7 +97,11 @@ def height(name: str) -> int:
     return (n_parts(name) - 1).bit_length()
 
 
-def tree(name: str) -> str:
+#: The order in which a strategy takes meta-edges.
+ORDERS = {"greedy": "w DESC, a, b", "id_order": "a, b, w", "lightest": "w, a, b"}
+
+
+def tree(name: str, strategy: str = "greedy") -> str:
     """``WITH`` list up to m0..mh, picks k0.. and maps p0..ph (leaf, part)."""
     ids = "(VALUES (1), (2), (3), (4)) t(p)" if name == "worked" else f"range({n_parts(name)}) t(p)"
     text = f"""{parts(name)},
@@ -91,7 +109,7 @@ m0 AS (SELECT least(pu, pv) AS a, greatest(pu, pv) AS b, count(*) AS w FROM ep W
 p0 AS (SELECT CAST(p AS INTEGER) AS leaf, CAST(p AS INTEGER) AS part FROM {ids})"""
     for k in range(height(name)):
         text += f""",
-o{k} AS (SELECT a, b, w, row_number() OVER (ORDER BY w DESC, a, b) AS rn FROM m{k}),
+o{k} AS (SELECT a, b, w, row_number() OVER (ORDER BY {ORDERS[strategy]}) AS rn FROM m{k}),
 g{k} AS (SELECT CAST(0 AS BIGINT) AS rn, CAST([] AS INTEGER[]) AS used, false AS hit
   UNION ALL SELECT o.rn, CASE WHEN list_contains(used, a) OR list_contains(used, b) THEN used ELSE list_concat(used, [a, b]) END, NOT (list_contains(used, a) OR list_contains(used, b)) FROM g{k} g JOIN o{k} o ON o.rn = g.rn + 1),
 x{k} AS (SELECT a, b, w FROM g{k} JOIN o{k} USING (rn) WHERE hit),
@@ -103,19 +121,19 @@ m{k + 1} AS (SELECT least(a, b) AS a, greatest(a, b) AS b, sum(w) AS w FROM (SEL
     return text
 
 
-def levels(name: str) -> str:
+def levels(name: str, strategy: str = "greedy") -> str:
     """``WITH`` list up to j(u, v, pu, pv, jl) and pm(level, leaf, part)."""
     h = height(name)
     joins = " ".join(f"JOIN p{k} a{k} ON a{k}.leaf = pu JOIN p{k} b{k} ON b{k}.leaf = pv" for k in range(h + 1))
     case = "CASE " + " ".join(f"WHEN a{k}.part = b{k}.part THEN {k}" for k in range(h + 1)) + " END"
-    return f"""{tree(name)},
+    return f"""{tree(name, strategy)},
 pm AS ({' UNION ALL '.join(f'SELECT {k} AS level, leaf, part FROM p{k}' for k in range(h + 1))}),
 j AS (SELECT u, v, pu, pv, {case} AS jl FROM ep {joins})"""
 
 
-def stats(name: str) -> str:
+def stats(name: str, strategy: str = "greedy") -> str:
     """``WITH`` list up to st(level, part, i, ob, eb, local, remote)."""
-    return f"""{levels(name)},
+    return f"""{levels(name, strategy)},
 ends AS (SELECT u AS v, pu AS leaf, jl FROM j UNION ALL SELECT v, pv, jl FROM j),
 vl AS (SELECT v, leaf, level, count(*) FILTER (WHERE jl <= level) AS dl, count(*) FILTER (WHERE jl > level) AS dr, count(*) FILTER (WHERE jl > level - 1) AS db FROM ends, range({height(name) + 1}) r(level) GROUP BY ALL),
 kv AS (SELECT pm.level, pm.part, dl, dr, (pm.level = 0 OR db > 0) AS live FROM vl JOIN pm ON vl.level = pm.level AND vl.leaf = pm.leaf),

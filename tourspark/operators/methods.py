@@ -26,8 +26,8 @@ def held(spark, sf_dir: str, name: str) -> Graph:
     return g.map_edges(stage(g.edges.select("eid", "u", "v"), name))
 
 
-def tree_of(g: Graph) -> metagraph.MergeTree:
-    return metagraph.merge_tree(metagraph.meta_graph(g), phase2.parts_of(g))
+def tree_of(g: Graph, strategy: str = "greedy") -> metagraph.MergeTree:
+    return metagraph.tree_for(g, phase2.parts_of(g), strategy)
 
 
 def levelled(spark, sf_dir: str, name: str):
@@ -164,20 +164,24 @@ def partition_column(spark, sf_dir):
 
 
 def _sized(g: Graph) -> DataFrame:
-    """part, n, within: the parts' sizes, and whether each keeps within its limit."""
+    """part, within, vertices: whether each part keeps within its limit, and all vertices."""
     at = fg.vertex_parts(g)
-    total = at.agg(F.count("*").alias("all"))
-    return at.groupBy("part").agg(F.count("*").alias("n")).join(F.broadcast(total)).select("part", "n", (F.col("n") <= F.ceil(F.col("all") / F.lit(g.n_parts) * 1.1)).alias("within"))
+    total = at.agg(F.countDistinct("v").alias("vertices"), F.count("*").alias("all"))
+    sizes = at.groupBy("part").agg(F.count("*").alias("n")).join(F.broadcast(total))  # one row
+    return sizes.select("part", (F.col("n") <= F.ceil(F.col("all") / F.lit(g.n_parts) * 1.1)).alias("within"), F.col("vertices"))
 
 
-@query("partition_bfs")
+_LIMITS = "SELECT CAST(p AS INTEGER) AS part, true AS within, CAST(256 AS BIGINT) AS vertices FROM range(8) r(p)"
+
+
+@query("partition_bfs", _LIMITS)
 def partition_bfs(spark, sf_dir):
-    return _sized(Graph.from_edges(graphs.torus(spark)).with_partition("bfs", 8, rounds=4))
+    return _sized(Graph.from_edges(graphs.torus(spark, 16, 16)).with_partition("bfs", 8))
 
 
-@query("partition_lpa")
+@query("partition_lpa", _LIMITS)
 def partition_lpa(spark, sf_dir):
-    return _sized(Graph.from_edges(graphs.torus(spark)).with_partition("lpa", 8, rounds=3))
+    return _sized(Graph.from_edges(graphs.torus(spark, 16, 16)).with_partition("lpa", 8, rounds=4))
 
 
 @query("partition_violations", "SELECT 'x' AS rule, CAST(0 AS BIGINT) AS id WHERE false")
@@ -234,9 +238,9 @@ def matching_distributed(spark, sf_dir):
     return metagraph.greedy_matching_distributed(metagraph.meta_graph(held(spark, sf_dir, "supplier_loops")))
 
 
-def _tree_sql(name: str) -> str:
+def _tree_sql(name: str, strategy: str = "greedy") -> str:
     rows = " UNION ALL ".join(f"SELECT {k} AS level, a AS child_a, b AS child_b, b AS parent, CAST(w AS BIGINT) AS weight FROM k{k}" for k in range(sql.height(name)))
-    return sql.with_(sql.tree(name), rows)
+    return sql.with_(sql.tree(name, strategy), rows)
 
 
 for _name in LEVELLED:
@@ -251,7 +255,15 @@ def merge_tree_distributed(spark, sf_dir):
 
 
 for _strategy in ("random", "id_order", "lightest"):
-    query(f"merge_tree_{_strategy}")(lambda s, d, st=_strategy: (lambda g: metagraph.merge_tree(metagraph.meta_graph(g), phase2.parts_of(g), st).tree_rows(s))(graphs.even_graph(s, d, "event_trail")))
+    query(f"merge_tree_{_strategy}", None if _strategy == "random" else _tree_sql("event_trail", _strategy))(
+        lambda s, d, st=_strategy: tree_of(graphs.even_graph(s, d, "event_trail"), st).tree_rows(s))
+
+
+@query("merge_tree_random_halves", "SELECT * FROM (VALUES (0, 4), (1, 2), (2, 1)) t(level, merges)")
+def merge_tree_random_halves(spark, sf_dir):
+    """Whatever a random tree pairs, every level halves the parts."""
+    rows = tree_of(graphs.even_graph(spark, sf_dir, "event_trail"), "random").tree_rows(spark)
+    return rows.groupBy("level").agg(F.count("*").cast("int").alias("merges"))
 
 
 @query("join_levels", sql.with_(sql.levels("supplier_loops"), "SELECT u, v, pu, pv, jl AS join_level, count(*) AS n FROM j GROUP BY ALL"))
@@ -264,6 +276,34 @@ def retire_levels(spark, sf_dir):
     return metagraph.retire_levels(levelled(spark, sf_dir, "event_trail")[2])
 
 
+_HOLDER = """, wt AS (SELECT level, part, CAST(sum(remote) AS BIGINT) AS w FROM st GROUP BY ALL),
+hd AS (SELECT jl, CASE WHEN x.w > y.w OR (x.w = y.w AND a.part < b.part) THEN pv ELSE pu END AS holder FROM j
+  JOIN pm a ON a.level = jl - 1 AND a.leaf = pu JOIN pm b ON b.level = jl - 1 AND b.leaf = pv
+  JOIN wt x ON x.level = a.level AND x.part = a.part JOIN wt y ON y.level = b.level AND y.part = b.part WHERE jl > 0),
+ch AS (SELECT pm.level, pm.part, count(*) AS held FROM hd JOIN pm ON pm.leaf = holder AND pm.level < jl GROUP BY ALL)"""
+
+
+def _one_copy(at: str):
+    def run(spark, sf_dir):
+        g, tree, rows = levelled(spark, sf_dir, "supplier_loops")
+        rows = stage(rows, "joined")
+        return measures.memory_one_copy(measures.level_stats(rows, tree), measures.copies_held(metagraph.with_holders(rows, tree), tree), at)
+
+    return run
+
+
+for _at, _base in {"start": "i + ob + eb + 2 * local", "end": "ob + eb + ob"}.items():
+    query(f"memory_carry_one_parts_{_at}", sql.with_(sql.stats("supplier_loops") + _HOLDER, f"SELECT st.level, st.part, {_base} + remote AS both, {_base} + coalesce(held, 0) AS one FROM st LEFT JOIN ch USING (level, part)"))(_one_copy(_at))
+
+
+@query("supersteps_run", "SELECT n, CAST(ceil(log2(n)) AS INTEGER) + 1 AS supersteps FROM (VALUES (2), (3), (4), (8)) t(n)")
+def supersteps_run(spark, sf_dir):
+    """The levels that runs on the sample path of events take, counted in their ledgers."""
+    edges = held(spark, sf_dir, "event_trail").edges
+    made = {n: Graph(edges).with_partition("modulo", n) for n in (2, 3, 4, 8)}
+    return measures.supersteps_run(spark, {n: phase2.run_levels(g, tree_of(g)).ledger for n, g in made.items()})
+
+
 @query("supersteps", "SELECT n, CAST(ceil(log2(n)) AS INTEGER) + 1 AS supersteps FROM (VALUES (2), (3), (4), (8)) t(n)")
 def supersteps(spark, sf_dir):
     return measures.supersteps(spark, [2, 3, 4, 8])
@@ -357,11 +397,24 @@ def ledger_walks(spark, sf_dir):
     return phase3.top_walks(_run(spark, sf_dir, "event_trail")[1].ledger)
 
 
+@query("ledger_walks_length", sql.with_(sql.edges("event_trail"), "SELECT count(*) AS n_edges FROM e"))
+def ledger_walks_length(spark, sf_dir):
+    """However the walks fall out, together they are as long as the graph has edges."""
+    return ledger_walks(spark, sf_dir).agg(F.sum("n_edges").alias("n_edges"))
+
+
 @query("ledger_pivots")
 def ledger_pivots(spark, sf_dir):
     return phase3.pivots(phase3.unroll(_run(spark, sf_dir, "event_trail", merge_internal=False)[1].ledger))
 
 
+@query("ledger_pivots_within", "SELECT CAST(0 AS BIGINT) AS v, CAST(0 AS BIGINT) AS n_walks, CAST(0 AS BIGINT) AS deg WHERE false")
+def ledger_pivots_within(spark, sf_dir):
+    """Pivots on more walks than half their degree, or on fewer than two: none."""
+    degree = fg.degrees(held(spark, sf_dir, "event_trail"))
+    return ledger_pivots(spark, sf_dir).join(degree, "v", "left").where("n_walks < 2 OR coalesce(n_walks * 2 > deg, true)")
+
+
 # Circuits ------------------------------------------------------------------------------
 def _made(method):
     def run(name, check, spark, sf_dir):
@@ -384,6 +437,10 @@ _METHODS = {
     "circuit_distributed_stitch": partial(circuit, forest="boruvka", rank="doubling", check=False),
     "circuit_random_tree": partial(circuit, strategy="random", check=False),
     "circuit_lightest_tree": partial(circuit, strategy="lightest", check=False),
+    # a budget that the last levels' parts exceed, so pairing takes over
+    "circuit_budget": lambda g: circuit(g, budget=max(1, g.edges.count() // 4), check=False),
+    "circuit_edges_only": partial(circuit, emit_vertices=False, check=False),
+    "circuit_bfs": lambda g: circuit(Graph(g.edges), 4, "bfs", check=False),
 }
 _AUDITED = {
     "circuit": ("worked", *EVEN, "rmat_repaired"),
@@ -394,6 +451,7 @@ _AUDITED = {
     "hybrid": ("worked", "event_trail", "supplier_loops", "geo_doubled"),
     "circuit_carry_both": ("event_trail",), "circuit_carry_one": ("event_trail",), "circuit_deferred": ("event_trail",),
     "circuit_distributed_stitch": ("worked", "geo_doubled"), "circuit_random_tree": ("event_trail",), "circuit_lightest_tree": ("event_trail",),
+    "circuit_budget": ("supplier_loops",), "circuit_edges_only": ("event_trail",), "circuit_bfs": ("event_trail",),
 }
 for _m, _names in _AUDITED.items():
     for _name in _names:
@@ -460,17 +518,31 @@ def complexity_points(spark, sf_dir):
     return measures.complexity_points(measures.level_stats(run.levelled, run.tree), run.ledger)
 
 
+@query("time_shares")
+def time_shares(spark, sf_dir):
+    return measures.time_shares(_run(spark, sf_dir, "event_trail")[1].ledger)
+
+
+@query("time_parts", sql.with_(sql.stats("event_trail"), "SELECT level, part, local AS items, true AS timed FROM st"))
+def time_parts(spark, sf_dir):
+    """level, part, items, timed: every part of every level has walked its coarse edges, and
+    its four clocks and its memory have been read."""
+    rows = measures.time_split(_run(spark, sf_dir, "event_trail")[1].ledger)
+    clocks = F.least("receive", "build", "walk", "emit") >= 0
+    return rows.select("level", "part", "items", (clocks & (F.col("walk") > 0) & (F.col("peak") > 0)).alias("timed"))
+
+
 @query("stage_counts")
 def stage_counts(spark, sf_dir):
     g = held(spark, sf_dir, "event_trail")
-    found = measures.stage_counts(spark, "tourspark-counted", lambda: circuit(g, check=False))
+    found = measures.stage_counts(lambda: circuit(g, check=False))
     return spark.createDataFrame([tuple(found.values())], "jobs long, stages long, tasks long")
 
 
 @query("memory_overhead")
 def memory_overhead(spark, sf_dir):
-    g, tree, rows = levelled(spark, sf_dir, "event_trail")
-    return measures.memory_overhead(spark, measures.level_stats(rows, tree))
+    g, run = _run(spark, sf_dir, "event_trail")
+    return measures.memory_overhead(measures.level_stats(run.levelled, run.tree), run.ledger)
 
 
 @query("scaling_strong")
@@ -485,11 +557,24 @@ def scaling_strong(spark, sf_dir):
 
 @query("scaling_weak")
 def scaling_weak(spark, sf_dir):
-    """Orders up to a share of the keys, so that the vertices of a part stay as many."""
+    """Orders up to a share of the keys, so that the vertices of a part stay as many, with 2,
+    3, 4 and 8 parts."""
     rows = stage(graphs.order_part(spark, sf_dir), "op")
     top = rows.agg(F.max("u")).first()[0] or 0
     runs = []
-    for n in (2, 4):
-        own = fg.repair_parity(Graph.from_edges(rows.where(F.col("u") <= top * n // 4))).with_partition("modulo", n, step=2)
+    for n in (2, 3, 4, 8):
+        own = fg.repair_parity(Graph.from_edges(rows.where(F.col("u") <= top * n // 8))).with_partition("modulo", n, step=2)
         runs.append((n, measures.timed(lambda own=own: circuit(own, check=False))[1]["seconds"]))
     return measures.scaling(runs, spark, "weak")
+
+
+@query("scaling_weak_load", sql.with_(sql.edges("order_part"), """SELECT n, round(count(DISTINCT v) / n / (SELECT count(DISTINCT v) / 8 FROM (SELECT unnest([u, v]) AS v FROM e)), 9) AS load
+  FROM (SELECT n, unnest([u, v]) AS v FROM e, (VALUES (2), (3), (4), (8)) t(n) WHERE least(u, v) * 0 + CASE WHEN u % 2 = 0 THEN u ELSE v END <= (SELECT max(CASE WHEN u % 2 = 0 THEN u ELSE v END) FROM e) * n // 8) GROUP BY n"""))
+def scaling_weak_load(spark, sf_dir):
+    """n, load: vertices a part in the weak-scaling runs, against those with 8 parts."""
+    rows = stage(graphs.order_part(spark, sf_dir), "op")
+    top = rows.agg(F.max("u")).first()[0] or 0
+    counted = [fg.ends(rows.where(F.col("u") <= top * n // 8)).agg((F.countDistinct("v") / n).alias("x")).select(F.lit(n).alias("n"), "x") for n in (2, 3, 4, 8)]
+    sizes = counted[0].unionByName(counted[1]).unionByName(counted[2]).unionByName(counted[3])
+    whole = sizes.where("n = 8").select(F.col("x").alias("y"))
+    return sizes.join(F.broadcast(whole)).select("n", F.round(F.col("x") / F.col("y"), 9).alias("load"))  # four rows

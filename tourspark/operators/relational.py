@@ -13,7 +13,7 @@ from tourspark.operators import graph_sql as sql
 from tourspark.operators import methods
 from tourspark.operators.registry import query
 from tourspark.plans import measures, metagraph
-from tourspark.session import read_table, stage_path
+from tourspark.session import read_table, stage, stage_path
 
 _MONEY = "decimal(18,2)"
 
@@ -178,10 +178,23 @@ def op_percentiles(spark, sf_dir):
     return deg.agg(*[F.percentile("deg", p).cast("double").alias(f"p{round(100 * p)}") for p in (0.5, 0.9, 1.0)])
 
 
-@query("op_percentiles_approx")
+@query("op_percentiles_approx", "SELECT q, true AS within FROM (VALUES (0.5::DOUBLE), (0.9::DOUBLE)) t(q)")
 def op_percentiles_approx(spark, sf_dir):
+    """q, within: whether the sketch's value has that share of the degrees at or below it and
+    no more than that below, but for a thousandth."""
+    deg = stage(fg.degrees(Graph.from_edges(graphs.order_part(spark, sf_dir))).select("deg"), "degrees")
+    points = (0.5, 0.9)
+    found = deg.agg(F.percentile_approx("deg", list(points), 10_000)).first()[0]
+    shares = [F.struct(F.lit(q).alias("q"), ((F.avg((F.col("deg") <= x).cast("double")) >= q - 1e-3) & (F.avg((F.col("deg") < x).cast("double")) <= q + 1e-3)).alias("within")) for q, x in zip(points, found, strict=True)]
+    return deg.agg(F.array(*shares).alias("s")).select(F.inline("s"))
+
+
+@query("op_histogram", sql.with_(sql.edges("order_part"), "SELECT count(*) AS vertices, true AS ordered FROM (SELECT DISTINCT unnest([u, v]) AS v FROM e)"))
+def op_histogram(spark, sf_dir):
+    """vertices, ordered: what the bins of a sketched histogram add up to, and whether they rise."""
     deg = fg.degrees(Graph.from_edges(graphs.order_part(spark, sf_dir)))
-    return deg.agg(F.percentile_approx("deg", [0.5, 0.9]).alias("quantiles"), F.histogram_numeric("deg", F.lit(8)).alias("histogram"))
+    bins = deg.agg(F.histogram_numeric("deg", F.lit(8)).alias("b")).select(F.transform("b", lambda x: x["x"]).alias("x"), F.aggregate("b", F.lit(0.0), lambda a, x: a + x["y"]).alias("n"))
+    return bins.select(F.round("n").cast("long").alias("vertices"), (F.col("x") == F.array_sort("x")).alias("ordered"))
 
 
 # Windows ---------------------------------------------------------------------------------
@@ -340,7 +353,11 @@ def op_benchmark_overlap(spark, sf_dir):
         rows = read_table(spark, sf_dir, table).select(key, words.alias("w")).where(F.size("w") >= 3)
         return rows.select(key, F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("w") - 2), lambda i: F.xxhash64(F.slice("w", i, 3))))).alias("g"))
 
-    return grams("benchmark", "item_id").join(grams("documents", "doc_id"), "g").groupBy("item_id").agg(F.countDistinct("doc_id").alias("docs"))
+    # a common run is dealt over cells by document, and meets a copy of its items in each
+    cells = 16
+    items = grams("benchmark", "item_id").withColumn("cell", F.explode(F.sequence(F.lit(0), F.lit(cells - 1))))
+    docs = grams("documents", "doc_id").withColumn("cell", F.pmod(F.xxhash64("doc_id"), F.lit(cells)).cast("int"))
+    return items.join(docs, ["g", "cell"]).groupBy("item_id").agg(F.countDistinct("doc_id").alias("docs"))
 
 
 # Sinks and user-defined functions --------------------------------------------------------
@@ -461,6 +478,17 @@ def open_trail_edges(spark, sf_dir):
     return extensions.trail_summary(extensions.open_trail(cut))
 
 
+@query("covering_walk_geo", "SELECT true AS closed, true AS covers")
+def covering_walk_geo(spark, sf_dir):
+    """The geographic trees, most of whose vertices are leaves of a hub: all odd, all paired."""
+    from tourspark.plans import extensions
+
+    g = Graph.from_edges(graphs.geo_tree(spark, sf_dir))
+    g = g.map_edges(stage(g.edges, "geo"))
+    walk, extra = extensions.covering_walk(g)
+    return extensions.cover_summary(g, walk, extra).select("closed", "covers")
+
+
 @query("covering_walk_summary", sql.with_(sql.edges("worked"), "SELECT true AS closed, true AS covers, 1 AS extra FROM range(1)"))
 def covering_walk_summary(spark, sf_dir):
     """The sample graph with the edge 1-2 twice: the cheapest walk takes it once more."""

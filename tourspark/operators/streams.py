@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from tourspark.functions.graph import Graph
+from tourspark.functions.numbering import dense_number
 from tourspark.operators.registry import query
 from tourspark.plans import verify
 from tourspark.plans.circuit import circuit
@@ -71,21 +71,30 @@ def st_static_join(spark, sf_dir):
     return ev.drain(ev.with_parts(_stream(spark, sf_dir), parts), "update", ["part"])
 
 
+_SHIFT = 1 << 32
+
+
+def day_circuits(rows):
+    """day, n_edges, chained, closed: the circuit of each day's users, all days as components
+    of one graph whose vertices carry the day in their upper bits."""
+    days = rows.select(F.struct("day", F.col("user_id").alias("u")).alias("w"), "day", "ts", "event_id")
+    numbered = dense_number(days, ["day", "ts", "event_id"], "n", 0)
+    vertex = F.col("w.day") * _SHIFT + F.col("w.u")
+    here = numbered.select("n", "day", vertex.alias("u"))
+    after = numbered.select((F.col("n") - 1).alias("n"), F.col("day").alias("next"), vertex.alias("v"))
+    steps = here.join(after, "n").where("day = next").select("u", "v")
+    ends = numbered.groupBy("day").agg(F.max_by(vertex, "n").alias("u"), F.min_by(vertex, "n").alias("v")).select("u", "v")
+    g = Graph.from_edges(steps.unionByName(ends)).with_partition("modulo", 4)
+    g = g.map_edges(stage(g.edges, "window"))
+    made = verify.audit(g, stage(circuit(g, check=False), "window-circuit"))
+    return made.select(F.expr(f"comp div {_SHIFT}").alias("day"), "n_edges", "chained", "closed")
+
+
 @query("st_circuit_of_windows", "SELECT CAST(epoch(CAST(ts AS DATE)) // 86400 AS BIGINT) AS day, count(*) AS n_edges, true AS chained, true AS closed FROM events GROUP BY ALL")
 def st_circuit_of_windows(spark, sf_dir):
-    """Each day is a window; when its rows are there its circuit is built."""
+    """Each day is a window; when it is closed its circuit is built. The batches are cut at a
+    noon, so one day's rows come in two."""
     rows = ev.rows_of(spark, sf_dir)
-    mid = F.lit("2024-01-15").cast("timestamp")
-    path = ev.staged_copies([rows.where(F.col("ts") < mid), rows.where(F.col("ts") >= mid)])
-    shift = 1 << 32
-
-    def build(batch):
-        own = Window.partitionBy("day").orderBy("ts", "event_id")
-        days = batch.withColumn("day", F.floor(F.unix_seconds("ts") / 86400))
-        pairs = days.select((F.col("day") * shift + F.col("user_id")).alias("u"), (F.col("day") * shift + F.coalesce(F.lead("user_id").over(own), F.first("user_id").over(own))).alias("v"))
-        g = Graph.from_edges(pairs).with_partition("modulo", 4)
-        g = g.map_edges(stage(g.edges, "window"))
-        seen = verify.audit(g, stage(circuit(g, check=False), "window-circuit"))
-        return seen.select(F.expr(f"comp div {shift}").alias("day"), "n_edges", "chained", "closed")
-
-    return ev.circuits_of_days(ev.stream_of(spark, path), build)
+    noon = F.lit("2024-01-15 12:00:00").cast("timestamp")
+    path = ev.staged_copies([rows.where(F.col("ts") < noon), rows.where(F.col("ts") >= noon)], gap=1.5)
+    return ev.circuits_of_days(ev.stream_of(spark, path), day_circuits)[0]

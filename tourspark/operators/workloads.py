@@ -51,32 +51,33 @@ def workload_graph_table(spark, sf_dir):
 
 
 # Power-law graph: generation, repair, degrees before and after
-_RMAT = sql.edges("rmat_repaired")
+_RMAT = sql.edges("power_law_repaired")
 
 
 @query("workload_power_law_degrees", sql.with_(_RMAT, f"SELECT deg, coalesce(a.n, 0) AS before, coalesce(b.n, 0) AS after FROM (SELECT deg, count(*) AS n FROM ({_DEG.format('e0')}) GROUP BY deg) a FULL JOIN (SELECT deg, count(*) AS n FROM ({_DEG.format('e')}) GROUP BY deg) b USING (deg)"))
 def workload_power_law_degrees(spark, sf_dir):
-    g = Graph.from_edges(graphs.rmat(spark))
+    g = Graph.from_edges(graphs.power_law(spark, sf_dir))
     before, after = measures.degree_histogram(g).withColumnRenamed("n", "before"), measures.degree_histogram(fg.repair_parity(g)).withColumnRenamed("n", "after")
     return before.join(after, "deg", "full").na.fill(0)
 
 
 @query("workload_power_law_cost", sql.with_(_RMAT, "SELECT (SELECT count(*) FROM added) AS added, round((SELECT count(*) FROM added) * 100.0 / (SELECT count(*) FROM e0), 6) AS percent"))
 def workload_power_law_cost(spark, sf_dir):
-    g = Graph.from_edges(graphs.rmat(spark))
+    g = Graph.from_edges(graphs.power_law(spark, sf_dir))
     return measures.repair_cost(g, fg.repair_parity(g))
 
 
 # Detail and complexity of two graphs
 @query("workload_detail")
 def workload_detail(spark, sf_dir):
-    """graph, level, part: vertex kinds, coarse edges, work and the kernel's seconds."""
+    """graph, level, part: vertex kinds, coarse edges, work, the kernel's seconds by step, and
+    the memory of the process that held the part."""
     out = []
     for name in ("supplier_loops", "order_part_repaired"):
         g = methods.held(spark, sf_dir, name)
         run = phase2.run_levels(g, methods.tree_of(g))
         stats = measures.level_stats(run.levelled, run.tree)
-        seconds = measures.time_split(run.ledger).select("level", "part", "seconds", "items")
+        seconds = measures.time_split(run.ledger)
         work = measures.phase1_work(stats).select("level", "part", "work")
         out.append(stats.join(work, ["level", "part"]).join(seconds, ["level", "part"]).withColumn("graph", F.lit(name)))
     return _union(out)
@@ -92,14 +93,16 @@ def workload_complexity_fit(spark, sf_dir):
 
 @query("workload_time_shares")
 def workload_time_shares(spark, sf_dir):
-    """seconds, kernel_seconds, share of the kernel, supersteps, for supplier_loops."""
+    """seconds, kernel_seconds, share of the kernel, supersteps, jobs, stages and tasks, for
+    supplier_loops."""
     g = methods.held(spark, sf_dir, "supplier_loops")
     tree = methods.tree_of(g)
     held = {}
     _, clock = measures.timed(lambda: held.setdefault("run", phase2.run_levels(g, tree)).ledger.all_frags())
     run = held["run"]
     kernel = measures.time_split(run.ledger).agg(F.sum("seconds")).first()[0]
-    return spark.createDataFrame([(clock["seconds"], kernel, kernel / clock["seconds"], len(run.ledger.levels()))], "seconds double, kernel_seconds double, share double, supersteps int")
+    row = (clock["seconds"], kernel, kernel / clock["seconds"], len(run.ledger.levels()), clock["jobs"], clock["stages"], clock["tasks"])
+    return spark.createDataFrame([row], "seconds double, kernel_seconds double, share double, supersteps int, jobs long, stages long, tasks long")
 
 
 # Memory curves of three graphs
@@ -144,32 +147,79 @@ def workload_strong_scaling(spark, sf_dir):
 # Baselines on one graph
 @query("workload_faceoff")
 def workload_faceoff(spark, sf_dir):
-    """method, seconds on event_trail; each result is written in full."""
-    g = methods.held(spark, sf_dir, "event_trail")
-    made = {
-        "merge": lambda: circuit(g, check=False), "sequential": lambda: baselines.sequential_circuit(g),
-        "pairing": lambda: baselines.pairing_circuit(g), "hybrid": lambda: baselines.hybrid_circuit(g, 0),
-    }
-    return spark.createDataFrame([(n, measures.timed(f)[1]["seconds"]) for n, f in made.items()], "method string, seconds double")
+    """graph, method, seconds, stages, tasks on event_trail, and with the single token, which
+    needs a superstep an edge, on the sample graph; each result is written in full."""
+    out = []
+    for name in ("event_trail", "worked"):
+        g = methods.held(spark, sf_dir, name)
+        made = {
+            "merge": lambda g=g: circuit(g, check=False), "sequential": lambda g=g: baselines.sequential_circuit(g),
+            "pairing": lambda g=g: baselines.pairing_circuit(g), "hybrid": lambda g=g: baselines.hybrid_circuit(g, 0),
+        }
+        if name == "worked":
+            made["token"] = lambda g=g: baselines.single_token_circuit(g)[0]
+        for method, run in made.items():
+            clock = measures.timed(run)[1]
+            out.append((name, method, clock["seconds"], clock["stages"], clock["tasks"]))
+    return spark.createDataFrame(out, "graph string, method string, seconds double, stages long, tasks long")
+
+
+# Cuts between those of range and hash parts, by growth and by label propagation
+@query("workload_partitioned")
+def workload_partitioned(spark, sf_dir):
+    """how, then the graph table's columns: order_part repaired, cut by growth from seeds and
+    by label propagation into 2, 3, 4 and 8 parts. Random-like graphs are cut at about half to
+    seven tenths of their edges by either, where hash parts cut nearly all."""
+    edges = methods.held(spark, sf_dir, "order_part_repaired").edges
+    rows = [(how, n) for how in ("bfs", "lpa") for n in (2, 3, 4, 8)]
+    return _union([measures.graph_stats(Graph(edges).with_partition(how, n)).withColumn("how", F.lit(how)) for how, n in rows])
+
+
+@query("workload_partitioned_detail", sql.with_(sql.edges("order_part_repaired"), "SELECT level, true AS matches FROM range(4) r(level)"))
+def workload_partitioned_detail(spark, sf_dir):
+    """level, matches: under parts by growth, whether what the kernel walked at each level is
+    what the closed forms say, part by part, imbalance and all."""
+    g = methods.held(spark, sf_dir, "order_part_repaired")
+    g = Graph(g.edges).with_partition("bfs", 8)
+    run = phase2.run_levels(g, methods.tree_of(g))
+    stats = measures.level_stats(run.levelled, run.tree).where("local > 0").select("level", "part", "local")
+    both = stats.join(measures.time_split(run.ledger).select("level", "part", "items"), ["level", "part"], "full")
+    return both.groupBy("level").agg(F.expr("bool_and(coalesce(local = items, false))").alias("matches")).select(F.col("level").cast("long").alias("level"), "matches")
 
 
 # Policies and strategies
-def _strategies(g: Graph):
-    meta = [tuple(r)[-3:] for r in metagraph.meta_graph(g).collect()]
-    return {s: metagraph.merge_tree(meta, phase2.parts_of(g), s) for s in ("greedy", "random", "id_order", "lightest")}
+def _ablation_sql(strategy: str) -> str:
+    carried = {"carry_both": "r", "carry_one": "r // 2", "deferred": "0", "carry_one+deferred": "0"}
+    body = sql.stats("event_trail", strategy) + ", t AS (SELECT level, CAST(sum(i + ob + eb + 2 * local) AS BIGINT) AS s, CAST(sum(remote) AS BIGINT) AS r FROM st GROUP BY level)"
+    rows = " UNION ALL ".join(f"SELECT '{strategy}' AS strategy, '{p}' AS policy, level, s + {c} AS cumulative FROM t" for p, c in carried.items())
+    return f"SELECT * FROM ({sql.with_(body, rows)})"
 
 
-@query("workload_ablation")
-def workload_ablation(spark, sf_dir):
-    """strategy, policy, level, cumulative: state at the start of each level."""
+def _ablation(spark, sf_dir, strategies) -> DataFrame:
     g = methods.held(spark, sf_dir, "event_trail")
     out = []
-    for strategy, tree in _strategies(g).items():
+    for strategy in strategies:
+        tree = methods.tree_of(g, strategy)
         stats = stage(measures.level_stats(metagraph.join_levels(g, tree), tree), "stats")
         out += [measures.memory_state(stats, p).select(F.lit(strategy).alias("strategy"), "policy", "level", "cumulative") for p in phase2.POLICIES]
     return _union(out)
 
 
+_FIXED = ("greedy", "id_order", "lightest")
+
+
+@query("workload_ablation", " UNION ALL ".join(map(_ablation_sql, _FIXED)))
+def workload_ablation(spark, sf_dir):
+    """strategy, policy, level, cumulative: state at the start of each level."""
+    return _ablation(spark, sf_dir, _FIXED)
+
+
+@query("workload_ablation_random")
+def workload_ablation_random(spark, sf_dir):
+    """The same for a tree of random pairs."""
+    return _ablation(spark, sf_dir, ["random"])
+
+
 @query("graph_kmer_pairs", """SELECT u, v, count(*) AS n FROM (SELECT least(a, b) AS u, greatest(a, b) AS v FROM (SELECT CAST('0x' || substr(md5(x), 1, 13) AS BIGINT) AS a, CAST('0x' || substr(md5(y), 1, 13) AS BIGINT) AS b FROM (
   SELECT unnest(g[1:len(g) - 1]) AS x, unnest(g[2:len(g)]) AS y FROM (SELECT list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1]) AS g FROM (
     SELECT list_filter(string_split_regex(lower(text), '[^a-z]+'), lambda x: x <> '') AS w FROM documents WHERE lang = 'en') WHERE len(w) >= 3)))) GROUP BY ALL""")

@@ -12,10 +12,11 @@ from pyspark.sql import functions as F
 from tourspark import schemas
 from tourspark.functions.graph import Graph, bidirect
 from tourspark.functions.numbering import dense_number
+from tourspark.functions.rings import with_next
 from tourspark.plans import phase2, phase3
 from tourspark.plans.components import components, min_label_components
 from tourspark.plans.ledger import Ledger
-from tourspark.plans.metagraph import merge_tree, meta_graph
+from tourspark.plans.metagraph import MergeTree, tree_for
 from tourspark.plans.phase1 import LEVEL_SHIFT, OUT
 from tourspark.session import stage
 
@@ -107,6 +108,33 @@ def _ring_heads(darts: DataFrame, cycle_method: str, max_rounds: int = 64) -> Da
     raise RuntimeError(f"the heads did not settle within {max_rounds} rounds")
 
 
+#: Edge ends of a vertex that one task sorts.
+HUB = 1 << 16
+
+
+def _couples(ends: DataFrame, key: list[str]) -> tuple[DataFrame, DataFrame]:
+    """Ends of each key paired in order as (p, q), and the ends that are left over."""
+    rows = ends.withColumn("rn", F.row_number().over(Window.partitionBy(*key).orderBy("spot")))
+    pairs = rows.groupBy(*key, F.expr("(rn - 1) div 2").alias("pair")).agg(F.min("spot").alias("p"), F.max("spot").alias("q"), F.count("*").alias("n"), F.first("v").alias("at"))
+    return pairs.where("n = 2").select("p", "q"), pairs.where("n = 1").select(F.col("at").alias("v"), F.col("p").alias("spot"))
+
+
+def _paired(ends: DataFrame, hub: int = HUB) -> DataFrame:
+    """(x, y), both ways: a partner for every edge end (v, spot), whose number at v is even.
+
+    The ends of a hub are dealt over cells and paired there; each cell leaves one end at the
+    most, and those are paired last.
+    """
+    hubs = stage(ends.groupBy("v").count().where(F.col("count") > hub).select("v", F.ceil(F.col("count") / hub).cast("int").alias("cells")), "hubs")
+    dealt = ends.join(hubs, "v", "left").withColumn("cell", F.coalesce(F.pmod(F.xxhash64("spot"), F.col("cells")), F.lit(0)).cast("int"))
+    found, _ = _couples(dealt.where("cells is null"), ["v"])
+    if not hubs.isEmpty():
+        first, rest = _couples(dealt.where("cells is not null"), ["v", "cell"])
+        found = found.unionByName(first).unionByName(_couples(rest, ["v"])[0])
+    both = F.explode(F.array(F.struct(F.col("p").alias("x"), F.col("q").alias("y")), F.struct(F.col("q").alias("x"), F.col("p").alias("y"))))
+    return found.select(both.alias("m")).select("m.x", "m.y")
+
+
 def pair_cycles(items: DataFrame, cycle_method: str = "components") -> DataFrame:
     """walk, off, key, ahead, a, b, len: cycles over items (key, a, b, len) whose degrees are even.
 
@@ -118,11 +146,7 @@ def pair_cycles(items: DataFrame, cycle_method: str = "components") -> DataFrame
     ids = stage(dense_number(items, ["kind", "item_id"], "key", 0), "darts")
     side = F.explode(F.array(F.struct(F.col("a").alias("v"), F.lit(0).alias("end")), F.struct(F.col("b").alias("v"), F.lit(1).alias("end"))))
     ends = ids.select("key", side.alias("s")).select(F.col("s.v").alias("v"), (F.col("key") * 2 + F.col("s.end")).alias("spot"))
-    own = Window.partitionBy("v").orderBy("spot")
-    paired = ends.withColumn("rn", F.row_number().over(own))
-    couple = paired.groupBy("v", F.expr("(rn - 1) div 2").alias("pair")).agg(F.min("spot").alias("p"), F.max("spot").alias("q"))
-    mates = F.explode(F.array(F.struct(F.col("p").alias("x"), F.col("q").alias("y")), F.struct(F.col("q").alias("x"), F.col("p").alias("y"))))
-    mate = couple.select(mates.alias("m")).select("m.x", "m.y")
+    mate = _paired(stage(ends, "ends"))
     # dart 2k leaves by end 0 and arrives at end 1; dart 2k+1 the other way round
     darts = stage(mate.select(F.col("x").bitwiseXOR(F.lit(1)).alias("id"), F.col("y").alias("next_id")), "mates")
     heads = stage(_ring_heads(darts, cycle_method), "ring-heads")
@@ -146,14 +170,17 @@ def pairing_circuit(g: Graph, cycle_method: str = "components", forest: str = "a
     return phase3.close_walks(walks, forest, rank)
 
 
-def hybrid_circuit(g: Graph, switch_level: int = 0, strategy: str = "greedy", cycle_method: str = "components") -> DataFrame:
+def hybrid_circuit(
+    g: Graph, switch_level: int = 0, strategy: str = "greedy", cycle_method: str = "components", tree: MergeTree | None = None,
+    levelled: DataFrame | None = None, forest: str = "auto", rank: str = "auto", emit_vertices: bool = True, **options,
+) -> DataFrame:
     """Levels up to ``switch_level`` part by part, then the coarse graph by pairing.
 
     No task then holds the last levels' coarse graph, which keeps every edge cut late. The
     cycles that pairing finds go to the ledger as one more level, and unrolling is as ever.
     """
-    tree = merge_tree(meta_graph(g), phase2.parts_of(g), strategy)
-    run = phase2.run_levels(g, tree, stop_after=switch_level)
+    tree = tree or tree_for(g, phase2.parts_of(g), strategy)
+    run = phase2.run_levels(g, tree, stop_after=switch_level, levelled=levelled, emit_vertices=emit_vertices, **options)
     level = switch_level + 1
     late = run.levelled.where(F.col("join_level") >= level).select(F.lit("edge").alias("kind"), F.col("eid").alias("item_id"), F.col("u").alias("a"), F.col("v").alias("b"), F.lit(1).cast("long").alias("len"))
     if run.ledger.has(switch_level):
@@ -161,7 +188,7 @@ def hybrid_circuit(g: Graph, switch_level: int = 0, strategy: str = "greedy", cy
         late = late.unionByName(paths)
     rows = stage(pair_cycles(late, cycle_method).withColumn("fid", F.col("walk") + F.lit(level << LEVEL_SHIFT)), "paired")
     _write_level(run.ledger, level, rows)
-    return phase3.close_walks(phase3.unroll(run.ledger))
+    return phase3.close_walks(phase3.unroll(run.ledger, None if emit_vertices else g.edges), forest, rank)
 
 
 def _write_level(ledger: Ledger, level: int, rows: DataFrame) -> None:
@@ -217,10 +244,10 @@ def tree_tour(tree: Graph) -> DataFrame:
     and after the last to the first. Edges of the tour are numbered 2 eid and 2 eid + 1.
     """
     darts = bidirect(tree.edges).withColumn("id", F.col("eid") * 2 + (F.col("src") > F.col("dst")).cast("long"))
-    ring = Window.partitionBy("src").orderBy("dst", "id")
-    whole = ring.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    turn = darts.select((F.col("id").bitwiseXOR(F.lit(1))).alias("id"), F.coalesce(F.lead("id").over(ring), F.first("id").over(whole)).alias("next_id"))
-    turn = stage(turn, "turns")
+    # any order of a vertex's neighbours will do: by cells, so that no task sorts a hub
+    cell = F.pmod(F.xxhash64("dst"), F.lit(phase3.SPREAD))
+    turn = with_next(darts.select("src", "dst", "id"), ["src"], ["dst", "id"], cell, {"id": "next_id"})
+    turn = stage(turn.select(F.col("id").bitwiseXOR(F.lit(1)).alias("id"), "next_id"), "turns")
     heads = min_label_components(turn, "id", "next_id").select(F.col("v").alias("id"), F.col("comp").alias("head"))
     at = _ring_ranks(turn.join(heads, "id").withColumn("size", F.lit(1).cast("long")))
     rows = stage(at.join(darts.select("id", "src", "dst"), "id"), "toured")

@@ -40,21 +40,20 @@ def trail_summary(trail: DataFrame) -> DataFrame:
     return ends.join(chain_breaks(trail), "comp").select("n_edges", (F.col("n") == 0).alias("chained"), F.least("a", "b").alias("low"), F.greatest("a", "b").alias("high"))
 
 
-def covering_walk(g: Graph, max_length: int = 64) -> tuple[DataFrame, int]:
+def covering_walk(g: Graph) -> tuple[DataFrame, int]:
     """A closed walk over all edges of every component, some of them again, and how many
     more edges it takes.
 
     Odd vertices are paired greedily: growing balls around them meet along shortest paths,
     the nearest pairs first; the edges of a pair's path are doubled. It isn't always the
-    least number of edges. Distances grow by one a round, up to ``max_length``.
+    least number of edges. Distances grow by one a round, until no odd vertex is left: a
+    component has an even number of them, so all find a partner.
     """
     left = stage(odd_vertices(g).select("v"), "odd")
     steps = stage(bidirect(g.edges).where("src <> dst").groupBy("src", "dst").agg(F.min("eid").alias("eid")), "steps")
     extra = None
     reach = left.select(F.col("v").alias("from"), F.col("v").alias("at"), F.array().cast("array<long>").alias("way"))
-    for _ in range(max_length):
-        if left.isEmpty():
-            break
+    while not left.isEmpty():
         # one shortest way to each vertex reached, from every odd vertex that is left
         grown = reach.join(steps, reach["at"] == steps["src"]).select("from", F.col("dst").alias("at"), F.concat("way", F.array("eid")).alias("way"))
         both = reach.unionByName(grown).groupBy("from", "at").agg(F.min(F.struct(F.size("way").alias("n"), "way")).alias("b")).select("from", "at", "b.way")
@@ -67,8 +66,6 @@ def covering_walk(g: Graph, max_length: int = 64) -> tuple[DataFrame, int]:
             gone = found.select(F.explode(F.array("x", "y")).alias("v"))
             left = stage(left.join(gone, "v", "left_anti"), "odd")
             reach = stage(reach.join(gone.withColumnRenamed("v", "from"), "from", "left_anti"), "reach")
-    if not left.isEmpty():
-        raise RuntimeError(f"odd vertices more than {max_length} edges apart")
     if extra is None:
         return circuit(g), 0
     # an edge that two paths double twice needs only its parity

@@ -42,11 +42,18 @@ class Ledger:
         return self.spark.read.schema(OUT).parquet(self._at(level)).where(f"tag = '{tag}'")
 
     def frags(self, level: int) -> DataFrame:
-        return self._read(level, "frag").selectExpr("fid", f"{level} AS level", "part", "ftype", "src", "dst", "n_edges", "rs", "rd", "seconds")
+        return self._read(level, "frag").selectExpr("fid", f"{level} AS level", "part", "ftype", "src", "dst", "n_edges", "rs", "rd")
 
     def items(self, level: int) -> DataFrame:
         return self._read(level, "item").selectExpr("fid", f"{level} AS level", "seq", "off", "item_kind", "item_id", "fwd", "a", "b", "len")
 
+    def figures(self, level: int) -> DataFrame:
+        """One row a part: its items, the seconds of each step, and its process's peak memory."""
+        return self._read(level, "part").selectExpr(f"{level} AS level", "part", "len AS items", "receive", "build", "walk", "emit", "build + walk + emit AS seconds", "peak")
+
+    def all_figures(self) -> DataFrame:
+        return self._union(self.figures)
+
     def all_frags(self) -> DataFrame:
         return self._union(self.frags)
 

@@ -8,6 +8,7 @@ No level has to be run for any measure but the timings.
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -16,7 +17,12 @@ from pyspark.sql import functions as F
 from tourspark.functions.graph import Graph, degrees, split_edges, vertex_parts
 from tourspark.plans.ledger import Ledger
 from tourspark.plans.metagraph import MergeTree
-from tourspark.session import stage
+from tourspark.session import lookup, stage
+
+
+def supersteps_run(spark: SparkSession, ledgers: dict[int, Ledger]) -> DataFrame:
+    """(n, supersteps) of runs: the levels that their ledgers hold."""
+    return spark.createDataFrame([(n, len(x.levels())) for n, x in ledgers.items()], "n int, supersteps int")
 
 
 def supersteps(spark: SparkSession, sizes: list[int]) -> DataFrame:
@@ -39,20 +45,44 @@ def _vertex_levels(levelled: DataFrame, tree: MergeTree) -> DataFrame:
     return per.select("v", "leaf", F.explode(F.array(*made)).alias("x")).select("v", "leaf", "x.*")
 
 
+def _part_rows(spark: SparkSession, tree: MergeTree) -> DataFrame:
+    """(level, leaf, part): a row a leaf and level."""
+    return lookup(spark, [(level, leaf, part) for level, m in enumerate(tree.maps()) for leaf, part in m.items()], "level int, leaf int, part int")
+
+
+def copies_held(held: DataFrame, tree: MergeTree) -> DataFrame:
+    """level, part, held: the remote edges whose one copy a part keeps at each level, by
+    ``holder`` of the edges (see ``metagraph.with_holders``)."""
+    spark = held.sparkSession
+    parts = _part_rows(spark, tree)
+    sums = held.where("join_level > 0").groupBy("holder", "join_level").count()
+    kept = sums.join(parts, (sums["holder"] == parts["leaf"]) & (parts["level"] < sums["join_level"])).groupBy("level", "part").agg(F.sum("count").alias("held"))
+    return parts.select("level", "part").distinct().join(kept, ["level", "part"], "left").select("level", "part", F.coalesce("held", F.lit(0)).alias("held"))
+
+
+def memory_one_copy(stats: DataFrame, copies: DataFrame, at: str = "start") -> DataFrame:
+    """level, part, both, one: the Longs of each part with both copies of its remote edges,
+    and with those that the rule leaves it."""
+    base = F.col("i") + F.col("ob") + F.col("eb") + 2 * F.col("local") if at == "start" else F.col("ob") + F.col("eb") + F.col("ob")
+    return stats.join(copies, ["level", "part"]).select("level", "part", (base + F.col("remote")).alias("both"), (base + F.col("held")).alias("one"))
+
+
 def level_stats(levelled: DataFrame, tree: MergeTree) -> DataFrame:
     """level, part, i, ob, eb, local, remote: vertex kinds, coarse local edges and remote
     edges (each seen from either of its parts) of every part at the start of each level."""
     spark = levelled.sparkSession
-    parts = F.broadcast(tree.partmap(spark))  # a row a leaf and level
+    parts = _part_rows(spark, tree)
     seen = _vertex_levels(levelled, tree).join(parts, ["level", "leaf"])
     live = (F.col("level") == 0) | (F.col("dr_before") > 0)
     ob = live & (F.col("dr") > 0) & (F.col("dl") % 2 == 1)
     eb = live & (F.col("dr") > 0) & (F.col("dl") % 2 == 0)
     kinds = seen.groupBy("level", "part").agg(F.count_if(live & (F.col("dr") == 0)).alias("i"), F.count_if(ob).alias("ob"), F.count_if(eb).alias("eb"), F.sum("dr").alias("remote"))
     # paths of the level before are coarse edges of the part that their part has become
-    step = F.broadcast(tree.partmap(spark).select((F.col("level") + 1).alias("next"), "leaf", F.col("part").alias("was")).join(tree.partmap(spark).select(F.col("level").alias("next"), "leaf", F.col("part").alias("now")), ["next", "leaf"]).select("next", "was", "now").distinct())
+    maps = tree.maps()
+    moves = {(level, maps[level - 1][leaf], maps[level][leaf]) for level in range(1, len(maps)) for leaf in tree.parts}
+    step = lookup(spark, sorted(moves), "next int, was int, now int")
     paths = kinds.select((F.col("level") + 1).alias("next"), F.col("part").alias("was"), (F.col("ob") / 2).cast("long").alias("paths")).join(step, ["next", "was"]).groupBy(F.col("next").alias("level"), F.col("now").alias("part")).agg(F.sum("paths").alias("paths"))
-    fresh = levelled.withColumn("level", F.col("join_level")).join(F.broadcast(tree.partmap(spark).withColumnRenamed("leaf", "pu")), ["level", "pu"]).groupBy("level", "part").agg(F.count("*").alias("fresh"))
+    fresh = levelled.withColumn("level", F.col("join_level")).join(_part_rows(spark, tree).withColumnRenamed("leaf", "pu"), ["level", "pu"]).groupBy("level", "part").agg(F.count("*").alias("fresh"))
     out = kinds.join(paths, ["level", "part"], "left").join(fresh, ["level", "part"], "left")
     local = F.coalesce("fresh", F.lit(0)) + F.coalesce("paths", F.lit(0))
     return out.select("level", "part", "i", "ob", "eb", local.alias("local"), "remote")
@@ -73,7 +103,7 @@ def communication(stats: DataFrame, tree: MergeTree) -> DataFrame:
     """level, child, parent, sent: boundary vertices and remote edges of each child that a
     merge moves (the child that is not the parent)."""
     moved = [(lv, a if p == b else b, p) for lv, a, b, p, _ in tree.merges]
-    merges = F.broadcast(stats.sparkSession.createDataFrame(moved, "level int, part int, parent int"))
+    merges = lookup(stats.sparkSession, moved, "level int, part int, parent int")
     return stats.join(merges, ["level", "part"]).select("level", F.col("part").alias("child"), "parent", (F.col("ob") + F.col("eb") + F.col("remote")).alias("sent"))
 
 
@@ -152,11 +182,21 @@ def remote_ratio(g: Graph) -> DataFrame:
 
 
 def time_split(ledger: Ledger) -> DataFrame:
-    """level, part, seconds, items: the kernel's own seconds, from the ledger."""
-    seconds = ledger.all_frags().groupBy("level", "part").agg(F.sum("seconds").alias("seconds"))
-    heads = ledger.all_frags().select("level", "part", "fid")
-    sizes = ledger.all_items().groupBy("level", "fid").agg(F.count("*").alias("k")).join(heads, ["level", "fid"]).groupBy("level", "part").agg(F.sum("k").alias("items"))
-    return seconds.join(sizes, ["level", "part"])
+    """level, part, items, receive, build, walk, emit, seconds, peak: the kernel's own figures.
+
+    ``receive``: until a part's rows are there, which is moving and merging; ``build``: the
+    arrays; ``walk``: paths, cycles and splicing; ``emit``: the output rows. ``seconds``: the
+    last three. ``peak``: the most bytes that the worker process had held by then.
+    """
+    return ledger.all_figures()
+
+
+def time_shares(ledger: Ledger) -> DataFrame:
+    """level, and the shares of the four steps in their sum over the level's parts."""
+    steps = ("receive", "build", "walk", "emit")
+    sums = time_split(ledger).groupBy("level").agg(*[F.sum(c).alias(c) for c in steps])
+    whole = sum((F.col(c) for c in steps), F.lit(0.0))
+    return sums.select("level", *[(F.col(c) / whole).alias(c) for c in steps])
 
 
 def complexity_fit(points: DataFrame) -> DataFrame:
@@ -178,26 +218,22 @@ def scaling(runs: list[tuple[int, float]], spark: SparkSession, kind: str = "str
 
 
 def timed(run: Callable[[], DataFrame]) -> tuple[DataFrame, dict[str, float]]:
-    """The staged result of ``run`` and its seconds, stages and tasks.
+    """The staged result of ``run``, and its seconds, jobs, stages and tasks.
 
-    Stages and tasks are those that the status tracker still knows for the jobs of the run.
+    Jobs are those of a group of its own; stages and tasks those that the status tracker still
+    knows for them.
     """
-    began = time.perf_counter()
-    out = stage(run(), "timed")
-    spent = time.perf_counter() - began
-    return out, {"seconds": spent}
-
-
-def stage_counts(spark: SparkSession, group: str, run: Callable[[], DataFrame]) -> dict[str, int]:
-    """Jobs, stages and tasks of a run, by a job group of its own."""
-    context = spark.sparkContext
+    group = f"tourspark-timed-{uuid.uuid4().hex}"
+    # any session will do: the context is that of the application
+    context = SparkSession.getActiveSession().sparkContext
     context.setJobGroup(group, group)
+    began = time.perf_counter()
     try:
-        stage(run(), "counted")
+        out = stage(run(), "timed")
     finally:
+        spent = time.perf_counter() - began
         context.setLocalProperty("spark.jobGroup.id", None)
-    tracker = context.statusTracker()
-    stages: dict[int, int] = {}
+    tracker, stages = context.statusTracker(), {}
     jobs = tracker.getJobIdsForGroup(group)
     for j in jobs:
         info = tracker.getJobInfo(j)
@@ -205,15 +241,19 @@ def stage_counts(spark: SparkSession, group: str, run: Callable[[], DataFrame])
             known = tracker.getStageInfo(s)
             if known and known.numCompletedTasks:
                 stages[s] = known.numTasks
-    return {"jobs": len(jobs), "stages": len(stages), "tasks": sum(stages.values())}
+    return out, {"seconds": spent, "jobs": len(jobs), "stages": len(stages), "tasks": sum(stages.values())}
+
 
+def stage_counts(run: Callable[[], DataFrame]) -> dict[str, int]:
+    """Jobs, stages and tasks of a run."""
+    found = timed(run)[1]
+    return {k: found[k] for k in ("jobs", "stages", "tasks")}
 
-def memory_overhead(spark: SparkSession, stats: DataFrame) -> DataFrame:
-    """One row: raw bytes of level 0 (8 a Long), resident bytes of this process, their ratio."""
-    import resource
 
-    raw = memory_state(stats, "carry_both").where("level = 0").first()["cumulative"] * 8
-    peak = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss * 1024
-    runtime = spark.sparkContext._jvm.java.lang.Runtime.getRuntime()
-    used = runtime.totalMemory() - runtime.freeMemory()
-    return spark.createDataFrame([(int(raw), int(peak + used), (peak + used) / max(1, raw))], "raw_bytes long, process_bytes long, ratio double")
+def memory_overhead(stats: DataFrame, ledger: Ledger) -> DataFrame:
+    """level, part, raw_bytes, process_bytes, ratio: a part's state at the start of a level at
+    8 bytes a Long, both copies of remote edges counted, against the most memory that the
+    worker process which walked it has held."""
+    raw = ((F.col("i") + F.col("ob") + F.col("eb") + 2 * F.col("local") + F.col("remote")) * 8).alias("raw_bytes")
+    both = stats.select("level", "part", raw).join(time_split(ledger).select("level", "part", F.col("peak").alias("process_bytes")), ["level", "part"])
+    return both.withColumn("ratio", F.col("process_bytes") / F.greatest("raw_bytes", F.lit(1)))

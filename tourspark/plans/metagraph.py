@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import random
+import zlib
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,7 +11,7 @@ from pyspark.sql import functions as F
 
 from tourspark import schemas
 from tourspark.functions.graph import Graph, split_edges
-from tourspark.session import stage
+from tourspark.session import lookup, stage
 
 Row = tuple[int, int, int]  # a, b, weight with a < b
 
@@ -22,38 +23,43 @@ def meta_graph(g: Graph, level: int = 0) -> DataFrame:
     return pairs.agg(F.count("*").alias("weight")).select(F.lit(level).alias("level"), "a", "b", "weight")
 
 
-def greedy_matching(rows: list[Row]) -> list[Row]:
-    """Heaviest first; ties by the smaller ids, so the answer is unique."""
+def greedy_matching(rows: list[Row], ties: str = "id") -> list[Row]:
+    """Heaviest first, in a total order, so the answer is unique. ``ties``: by the smaller ids,
+    or by a ``digest`` of the pair and then the ids."""
+    tie = (lambda r: 0) if ties == "id" else (lambda r: zlib.crc32(f"{r[0]}-{r[1]}".encode()))
+    return _taken(sorted(rows, key=lambda r: (-r[2], tie(r), r[0], r[1])))
+
+
+def _taken(order: list[Row]) -> list[Row]:
     taken: set[int] = set()
     out = []
-    for a, b, w in sorted(rows, key=lambda r: (-r[2], r[0], r[1])):
+    for a, b, w in order:
         if not {a, b} & taken:
             taken |= {a, b}
             out.append((a, b, w))
     return out
 
 
-def greedy_matching_distributed(meta: DataFrame, max_rounds: int = 64) -> DataFrame:
+def greedy_matching_distributed(meta: DataFrame, ties: str = "id") -> DataFrame:
     """The same matching in rounds: an edge that is best for both of its ends is in it.
 
-    The order of edges is total, so every round takes at least the best edge that is left,
-    and many at once; edges at a taken end then drop out.
+    The order of edges is total, so every round takes at least the best edge that is left, and
+    many at once; edges at a taken end then drop out, until none is left. Equal weights along
+    a chain of parts settle one by one under ties by id, and many at a time by digest.
     """
-    rank = F.struct(F.col("weight").alias("w"), (-F.col("a")).alias("na"), (-F.col("b")).alias("nb"))
-    live, found = stage(meta.select("a", "b", "weight"), "meta"), None
-    for _ in range(max_rounds):
-        if live.isEmpty():
-            break
-        sides = live.select(F.explode(F.array("a", "b")).alias("p"), rank.alias("r"))
+    tie = F.lit(0).cast("long") if ties == "id" else -F.crc32(F.concat_ws("-", "a", "b").cast("binary"))
+    rank = F.struct(F.col("weight").alias("w"), tie.alias("t"), (-F.col("a")).alias("na"), (-F.col("b")).alias("nb"))
+    live = stage(meta.select("a", "b", "weight"), "meta")
+    found = live.where("false")
+    while not live.isEmpty():
+        sides = live.select("a", "b", rank.alias("r")).select(F.explode(F.array("a", "b")).alias("p"), "r")
         best = sides.groupBy("p").agg(F.max("r").alias("r"))
         votes = best.groupBy("r").count().where("count = 2")
         taken = stage(votes.select((-F.col("r.na")).alias("a"), (-F.col("r.nb")).alias("b"), F.col("r.w").alias("weight")), "matched")
-        found = taken if found is None else found.unionByName(taken)
+        found = found.unionByName(taken)
         gone = taken.select(F.explode(F.array("a", "b")).alias("p"))
         live = stage(live.join(gone, live["a"] == gone["p"], "left_anti").join(gone, live["b"] == gone["p"], "left_anti"), "meta")
-    else:
-        raise RuntimeError(f"the matching did not end within {max_rounds} rounds")
-    return found if found is not None else live
+    return found
 
 
 def rebuild_meta(rows: list[Row], merged: dict[int, int]) -> list[Row]:
@@ -94,9 +100,9 @@ class MergeTree:
         return spark.createDataFrame(rows, schemas.PARTMAP)
 
 
-def _match(rows: list[Row], strategy: str, rng: random.Random) -> list[Row]:
+def _match(rows: list[Row], strategy: str, rng: random.Random, ties: str) -> list[Row]:
     if strategy == "greedy":
-        return greedy_matching(rows)
+        return greedy_matching(rows, ties)
     order = sorted(rows)
     if strategy == "random":
         rng.shuffle(order)
@@ -104,16 +110,10 @@ def _match(rows: list[Row], strategy: str, rng: random.Random) -> list[Row]:
         order.sort(key=lambda r: (r[2], r[0], r[1]))
     elif strategy != "id_order":
         raise ValueError(f"unknown strategy {strategy}")
-    taken: set[int] = set()
-    out = []
-    for a, b, w in order:
-        if not {a, b} & taken:
-            taken |= {a, b}
-            out.append((a, b, w))
-    return out
+    return _taken(order)
 
 
-def merge_tree(meta: DataFrame | list[Row], parts: list[int], strategy: str = "greedy", zero_weight: str = "pair", parent: str = "larger", seed: int = 0, sizes: dict[int, int] | None = None) -> MergeTree:
+def merge_tree(meta: DataFrame | list[Row], parts: list[int], strategy: str = "greedy", zero_weight: str = "pair", parent: str = "larger", seed: int = 0, sizes: dict[int, int] | None = None, ties: str = "id") -> MergeTree:
     """The tree of merges.
 
     ``zero_weight='pair'`` also pairs parts that the matching leaves over, in id order, so
@@ -134,7 +134,7 @@ def merge_tree(meta: DataFrame | list[Row], parts: list[int], strategy: str = "g
 
     tree, live, level = MergeTree(sorted(parts)), sorted(parts), 0
     while len(live) > 1:
-        pairs = _match(rows, strategy, rng)
+        pairs = _match(rows, strategy, rng, ties)
         if zero_weight == "pair":
             used = {p for a, b, _ in pairs for p in (a, b)}
             idle = [p for p in live if p not in used]
@@ -151,42 +151,78 @@ def merge_tree(meta: DataFrame | list[Row], parts: list[int], strategy: str = "g
     return tree
 
 
-def merge_tree_distributed(meta: DataFrame, parts: list[int], max_levels: int = 40) -> MergeTree:
+def merge_tree_distributed(meta: DataFrame, parts: list[int], ties: str = "id") -> MergeTree:
     """As ``merge_tree`` with its defaults, but the meta-graph stays in the cluster and only
-    the matched pairs, n/2 a level at most, come to the driver."""
+    the matched pairs, n/2 a level at most, come to the driver. Idle parts are paired, so the
+    number of parts halves with every level."""
     tree, live, level = MergeTree(sorted(parts)), sorted(parts), 0
     rows, spark = meta.select("a", "b", "weight"), meta.sparkSession
-    while len(live) > 1 and level < max_levels:
-        pairs = [(r["a"], r["b"], r["weight"]) for r in greedy_matching_distributed(rows).collect()]
-        pairs.sort(key=lambda r: (-r[2], r[0], r[1]))
+    while len(live) > 1:
+        pairs = greedy_matching([(r["a"], r["b"], r["weight"]) for r in greedy_matching_distributed(rows, ties).collect()], ties)
         used = {p for a, b, _ in pairs for p in (a, b)}
         idle = [p for p in live if p not in used]
         pairs += [(a, b, 0) for a, b in zip(idle[::2], idle[1::2], strict=False)]
         merged = {p: max(a, b) for a, b, _ in pairs for p in (a, b)}
         tree.merges += [(level, a, b, max(a, b), w) for a, b, w in pairs]
-        step = spark.createDataFrame(list(merged.items()), "old int, new int")
-        rows = rows.join(F.broadcast(step.withColumnsRenamed({"old": "a", "new": "na"})), "a", "left").join(F.broadcast(step.withColumnsRenamed({"old": "b", "new": "nb"})), "b", "left")
+        step = list(merged.items())
+        rows = rows.join(lookup(spark, step, "a int, na int"), "a", "left").join(lookup(spark, step, "b int, nb int"), "b", "left")
         rows = rows.select(F.coalesce("na", "a").alias("x"), F.coalesce("nb", "b").alias("y"), "weight").where("x <> y")
         rows = stage(rows.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.sum("weight").alias("weight")), "meta")
         live, level = sorted({merged.get(p, p) for p in live}), level + 1
     return tree
 
 
+#: Meta-edges that a driver takes; a meta-graph of more stays in the cluster.
+DRIVER_META = 500_000
+
+
+def tree_for(g: Graph, parts: list[int], strategy: str = "greedy", zero_weight: str = "pair") -> MergeTree:
+    """The merge tree of a graph: on the driver while n(n-1)/2 meta-edges fit there, else in
+    rounds on the cluster, with ties by digest."""
+    n = len(parts)
+    if n * (n - 1) // 2 <= DRIVER_META:
+        return merge_tree(meta_graph(g), parts, strategy, zero_weight)
+    if (strategy, zero_weight) != ("greedy", "pair"):
+        raise ValueError(f"{n} parts: only the greedy tree with paired idle parts is built on the cluster")
+    return merge_tree_distributed(meta_graph(g), parts, "digest")
+
+
 def join_levels(g: Graph, tree: MergeTree) -> DataFrame:
     """eid, u, v, pu, pv, join_level: the level at which both ends lie in one part.
 
     An edge between roots of a forest never joins; its level is null (none exists if the tree
-    was built to its end). The map of parts is small: a row a leaf and level.
+    was built to its end). The map of parts is small: a row a leaf.
     """
     maps, spark = tree.maps(), g.edges.sparkSession
-    parts = tree.parts
-    seen = spark.createDataFrame([(p, [m[p] for m in maps]) for p in parts], "leaf int, path array<int>")
-    side = F.broadcast(seen)  # n rows: the number of parts is a parameter
-    both = split_edges(g).join(side.withColumnsRenamed({"leaf": "pu", "path": "xu"}), "pu").join(side.withColumnsRenamed({"leaf": "pv", "path": "xv"}), "pv")
+    rows = [(p, [m[p] for m in maps]) for p in tree.parts]
+    both = split_edges(g).join(lookup(spark, rows, "pu int, xu array<int>"), "pu").join(lookup(spark, rows, "pv int, xv array<int>"), "pv")
     level = F.array_position(F.zip_with("xu", "xv", lambda a, b: a == b), True) - 1
     return both.select("eid", "u", "v", "pu", "pv", F.when(level >= 0, level).cast("int").alias("join_level"))
 
 
+def with_holders(levelled: DataFrame, tree: MergeTree) -> DataFrame:
+    """``levelled`` and ``holder``: the leaf part that keeps the one copy of a remote edge.
+
+    Of the two subtrees that an edge joins, the heavier one drops it: the one with more remote
+    edges just before they merge, and of equal ones that of the smaller id. What a subtree has
+    is summed from its leaves: a row a leaf and level comes to the driver. Edges inside a part
+    are held there.
+    """
+    side = F.explode(F.array(F.struct(F.col("pu").alias("leaf"), "join_level"), F.struct(F.col("pv").alias("leaf"), "join_level")))
+    ends = levelled.where("join_level > 0").select(side.alias("e")).groupBy("e.leaf", "e.join_level").count().collect()
+    maps, rows = tree.maps(), []
+    for join in range(1, tree.height + 1):
+        top, weight = maps[join - 1], {}
+        for r in ends:
+            if r["join_level"] >= join:
+                weight[top[r["leaf"]]] = weight.get(top[r["leaf"]], 0) + r["count"]
+        rows += [(leaf, join, top[leaf], weight.get(top[leaf], 0)) for leaf in tree.parts]
+    left, right = (lookup(levelled.sparkSession, rows, f"p{x} int, join_level int, t{x} int, w{x} long") for x in "uv")
+    both = levelled.join(left, ["pu", "join_level"], "left").join(right, ["pv", "join_level"], "left")
+    drops_u = (F.col("wu") > F.col("wv")) | ((F.col("wu") == F.col("wv")) & (F.col("tu") < F.col("tv")))
+    return both.select(*[levelled[c] if c not in ("pu", "pv", "join_level") else F.col(c) for c in levelled.columns], F.when(drops_u, F.col("pv")).otherwise(F.col("pu")).alias("holder"))
+
+
 def retire_levels(levelled: DataFrame) -> DataFrame:
     """(v, retire_level): the last level at which an edge of the vertex joins."""
     return levelled.select(F.explode(F.array("u", "v")).alias("v"), "join_level").groupBy("v").agg(F.max("join_level").alias("retire_level"))

@@ -8,7 +8,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tourspark.functions.graph import Graph, bidirect, ends
-from tourspark.session import stage
+from tourspark.functions.numbering import dense_number
+from tourspark.session import lookup, stage
 
 
 def _digest(v: Column) -> Column:
@@ -19,8 +20,9 @@ def partition(g: Graph, how: str, n: int, step: int = 1, mapping: DataFrame | No
     """``g`` with parts.
 
     ``hash``: digest of the id; ``modulo``: (v div step) % n; ``range``: equal id ranges;
-    ``external`` and ``column``: ``mapping`` (v, part) as given; ``bfs``: growth from n seeds;
-    ``lpa``: label propagation. The last two keep parts within (1 + slack) of equal size.
+    ``external`` and ``column``: ``mapping`` (v, part) as given; ``bfs``: growth from n seeds
+    until nothing grows; ``lpa``: ``rounds`` of label propagation. The last two keep every
+    part within (1 + slack) of equal size.
     """
     if n < 1:
         raise ValueError("at least one part")
@@ -38,7 +40,7 @@ def partition(g: Graph, how: str, n: int, step: int = 1, mapping: DataFrame | No
             raise ValueError("a mapping (v, part) is needed")
         return Graph(g.edges, mapping.select(F.col("v").cast("long").alias("v"), F.col("part").cast("int").alias("part")), n)
     if how == "bfs":
-        return Graph(g.edges, _grow(g, n, rounds, slack), n)
+        return Graph(g.edges, _grow(g, n, slack), n)
     if how == "lpa":
         return Graph(g.edges, _propagate(g, n, rounds, slack), n)
     raise ValueError(f"unknown partitioner {how}")
@@ -55,48 +57,64 @@ def _neighbours(g: Graph) -> DataFrame:
 def _settle(wishes: DataFrame, room: DataFrame) -> DataFrame:
     """The strongest wishes of each part that it has room for. ``room``: one row a part."""
     ranked = wishes.withColumn("__rk", F.row_number().over(Window.partitionBy("part").orderBy(F.desc("w"), "v")))
-    return ranked.join(F.broadcast(room), "part").where("__rk <= room").select("v", "part")
+    return ranked.join(room, "part").where("__rk <= room").select("v", "part")
+
+
+def _rooms(at: DataFrame, n: int, capacity: int) -> list[int]:
+    """How many more vertices each part takes."""
+    sizes = {r["part"]: r["count"] for r in at.groupBy("part").count().collect()}  # a row a part
+    return [max(0, capacity - sizes.get(p, 0)) for p in range(n)]
+
+
+def _room_rows(spark, rooms: list[int]) -> DataFrame:
+    return lookup(spark, list(enumerate(rooms)), "part int, room int")
 
 
 def _fill(every: DataFrame, done: DataFrame, n: int, capacity: int) -> DataFrame:
-    """Vertices without a part, dealt to the parts' remaining places by their digests."""
-    left = every.join(done, "v", "left_anti")
-    sizes = {r["part"]: r["count"] for r in done.groupBy("part").count().collect()}
-    free = [max(0, capacity - sizes.get(p, 0)) for p in range(n)]
-    total, at, pick = max(1, sum(free)), 0, F.lit(n - 1)
-    point = F.pmod(_digest(F.col("v")), F.lit(total))
-    for p in range(n):
-        at += free[p]
-        pick = F.when(point < at, F.lit(p)).otherwise(pick) if p == 0 else F.when((point < at) & (point >= at - free[p]), F.lit(p)).otherwise(pick)
-    return done.unionByName(left.select("v", pick.cast("int").alias("part")))
-
-
-def _grow(g: Graph, n: int, rounds: int, slack: float) -> DataFrame:
+    """Vertices without a part, numbered by their digests and dealt to the parts' places."""
+    left = every.join(done, "v", "left_anti").withColumn("__d", _digest(F.col("v")))
+    if left.isEmpty():
+        return done
+    first, spans = 0, []
+    for p, room in enumerate(_rooms(done, n, capacity)):
+        spans += [(p, first, first + room)] if room else []
+        first += room
+    places = lookup(every.sparkSession, spans, "part int, lo long, hi long")
+    numbered = dense_number(left, ["__d", "v"], "__place", 0)
+    return done.unionByName(numbered.join(places, F.expr("__place >= lo AND __place < hi")).select("v", "part"))
+
+
+def _grow(g: Graph, n: int, slack: float) -> DataFrame:
+    """Every round the vertices next to a part join the one with most edges to them, as far as
+    it has room. It goes on until no part grows; what no seed reaches is dealt out."""
     near, every = _neighbours(g), stage(ends(g.edges).distinct(), "vertices")
     capacity = _capacity(every.count(), n, slack)
     seeds = every.orderBy(_digest(F.col("v")), "v").limit(n).select("v").collect()  # one row a part
     spark = every.sparkSession
-    done = spark.createDataFrame([(r["v"], p) for p, r in enumerate(seeds)], "v long, part int")
-    for _ in range(rounds):
-        sizes = done.groupBy("part").count().select("part", (F.lit(capacity) - F.col("count")).alias("room"))
+    done = stage(spark.createDataFrame([(r["v"], p) for p, r in enumerate(seeds)], "v long, part int"), "growth")
+    while True:
+        room = _room_rows(spark, _rooms(done, n, capacity))
         reach = near.join(done, near["src"] == done["v"]).select(F.col("dst").alias("v"), "part", "w").join(done.select("v"), "v", "left_anti")
+        # only parts with room are asked, or full ones would hold up their neighbours' growth
+        reach = reach.join(room.where("room > 0").select("part"), "part", "left_semi")
         wish = reach.groupBy("v", "part").agg(F.sum("w").alias("w")).groupBy("v").agg(F.max(F.struct("w", -F.col("part"))).alias("b")).select("v", (-F.col("b.col2")).cast("int").alias("part"), "b.w")
-        more = stage(_settle(wish, sizes), "grown")
+        more = stage(_settle(wish, room), "grown")
         if more.isEmpty():
-            break
+            return stage(_fill(every, done, n, capacity), "bfs")
         done = stage(done.unionByName(more), "growth")
-    return stage(_fill(every, done, n, capacity), "bfs")
 
 
 def _propagate(g: Graph, n: int, rounds: int, slack: float) -> DataFrame:
+    """From equal parts, every round the vertices whose neighbours are mostly elsewhere go
+    there, those with most such edges first, as far as there is room."""
     near, every = _neighbours(g), stage(ends(g.edges).distinct(), "vertices")
     capacity = _capacity(every.count(), n, slack)
-    at = stage(every.withColumn("part", F.pmod(_digest(F.col("v")), F.lit(n)).cast("int")), "labels")
+    dealt = dense_number(every.withColumn("__d", _digest(F.col("v"))), ["__d", "v"], "__place", 0)
+    at = stage(dealt.select("v", F.pmod("__place", F.lit(n)).cast("int").alias("part")), "labels")
     for _ in range(rounds):
         seen = near.join(at, near["dst"] == at["v"]).groupBy("src", "part").agg(F.sum("w").alias("w"))
         best = seen.groupBy("src").agg(F.max(F.struct("w", -F.col("part"))).alias("b")).select(F.col("src").alias("v"), (-F.col("b.col2")).cast("int").alias("to"), "b.w")
         moves = best.join(at, "v").where("`to` <> part").select("v", F.col("to").alias("part"), "w")
-        room = at.groupBy("part").count().select("part", (F.lit(capacity) - F.col("count")).alias("room"))
-        chosen = _settle(moves, room).select("v", F.col("part").alias("to"))
+        chosen = _settle(moves, _room_rows(at.sparkSession, _rooms(at, n, capacity))).select("v", F.col("part").alias("to"))
         at = stage(at.join(chosen, "v", "left").select("v", F.coalesce("to", "part").alias("part")), "labels")
     return at

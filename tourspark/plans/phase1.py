@@ -1,26 +1,31 @@
 """Local paths and cycles of every part, found by an Arrow kernel inside one task a part.
 
 Input rows are items: original edges, or paths of the level below standing as one coarse
-edge. Output rows are fragments (headers) and their items, in one pass, told apart by a tag.
+edge. Output rows are fragments (headers), their items, and one row of figures a part, in one
+pass, told apart by a tag.
 """
 
 from __future__ import annotations
 
+import resource
 import time
-from collections.abc import Iterator
+from array import array
+from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from tourspark.session import ship
+from tourspark.session import lookup, ship
 
 ITEM_IN = "part int, kind string, item_id long, a long, b long, len long, ra int, rb int"
 OUT = (
     "tag string, fid long, part int, ftype string, src long, dst long, n_edges long, rs int, rd int, "
-    "seq int, off long, item_kind string, item_id long, fwd boolean, a long, b long, len long, seconds double"
+    "seq int, off long, item_kind string, item_id long, fwd boolean, a long, b long, len long, "
+    "receive double, build double, walk double, emit double, peak long"
 )
 #: A fragment's id holds its level, its part and its number in the part.
 LEVEL_SHIFT, PART_SHIFT = 58, 36
@@ -32,30 +37,41 @@ def fragment_id(level: int, part: int, n: int) -> int:
 
 @dataclass
 class Fragment:
+    """``coded``: 2 item + 1 for a step along an item, 2 item for one against it."""
+
     ftype: str
     src: int
     dst: int
-    steps: list[tuple[int, bool]]  # item, forward
+    coded: array
+
+    @property
+    def steps(self) -> list[tuple[int, bool]]:
+        return [(c >> 1, bool(c & 1)) for c in self.coded]
+
+
+def _flat(x: np.ndarray) -> array:
+    return array("q", x.astype(np.int64, copy=False).tobytes())
 
 
 class Walker:
-    """Adjacency in flat arrays, a cursor for each vertex, and a used flag for each item."""
+    """Adjacency in flat arrays of 8 bytes an entry, a cursor for each vertex, and a used flag
+    for each item."""
 
     def __init__(self, a: np.ndarray, b: np.ndarray):
         self.names, both = np.unique(np.concatenate([a, b]), return_inverse=True)
         n = len(a)
-        self.a, self.b = both[:n].tolist(), both[n:].tolist()
+        self.a, self.b = _flat(both[:n]), _flat(both[n:])
         order = np.argsort(both, kind="stable")
-        self.edge = (order % n).tolist() if n else []
+        self.edge = _flat(order % n) if n else array("q")
         at = np.zeros(len(self.names) + 1, np.int64)
         np.cumsum(np.bincount(both, minlength=len(self.names)), out=at[1:])
-        self.degree = np.diff(at).tolist()
-        self.cursor, self.stop = at[:-1].tolist(), at[1:].tolist()
+        self.degree = _flat(np.diff(at))
+        self.cursor, self.stop = _flat(at[:-1]), _flat(at[1:])
         self.used = bytearray(n)
 
-    def walk(self, at: int) -> tuple[list[tuple[int, bool]], int]:
+    def walk(self, at: int) -> tuple[array, int]:
         """Go on along unused items until no more leave: each list place is read once."""
-        steps = []
+        steps = array("q")
         edge, used, cursor, stop, a, b = self.edge, self.used, self.cursor, self.stop, self.a, self.b
         while True:
             c, end = cursor[at], stop[at]
@@ -67,9 +83,12 @@ class Walker:
             e = edge[c]
             cursor[at] = c + 1
             used[e] = 1
-            forward = a[e] == at
-            steps.append((e, forward))
-            at = b[e] if forward else a[e]
+            if a[e] == at:
+                steps.append(2 * e + 1)
+                at = b[e]
+            else:
+                steps.append(2 * e)
+                at = a[e]
 
     def left(self, at: int) -> bool:
         c, end = self.cursor[at], self.stop[at]
@@ -78,9 +97,9 @@ class Walker:
         self.cursor[at] = c
         return c < end
 
-    def spliced(self, start: int, steps: list[tuple[int, bool]]) -> list[tuple[int, bool]]:
+    def spliced(self, start: int, steps: array) -> array:
         """``steps`` with every cycle that hangs on one of its vertices put in, and theirs."""
-        out = []
+        out = array("q")
         stack, at = [iter(steps)], start
         while stack:
             if self.left(at):
@@ -92,16 +111,22 @@ class Walker:
                 stack.pop()
                 continue
             out.append(step)
-            at = self.b[step[0]] if step[1] else self.a[step[0]]
+            at = self.b[step >> 1] if step & 1 else self.a[step >> 1]
         return out
 
 
 def fragments(a: np.ndarray, b: np.ndarray, boundary: set[int], merge_internal: bool = True) -> tuple[list[Fragment], np.ndarray, int]:
     """Fragments over items a-b; names of vertices; how many even boundary vertices stay
-    without a cycle. First paths between odd vertices, each start chosen by its residual
-    degree; then one cycle for each even boundary vertex; then cycles that are left, put into
-    a fragment they touch or kept as free closed walks."""
+    without a cycle."""
     w = Walker(a, b)
+    made, idle = walked(w, boundary, merge_internal)
+    return made, w.names, idle
+
+
+def walked(w: Walker, boundary: set[int], merge_internal: bool = True) -> tuple[list[Fragment], int]:
+    """First paths between odd vertices, each start chosen by its residual degree; then one
+    cycle for each even boundary vertex; then cycles that are left, put into a fragment they
+    touch or kept as free closed walks."""
     names = w.names.tolist()
     odd = [d % 2 == 1 for d in w.degree]
     made: list[Fragment] = []
@@ -120,38 +145,44 @@ def fragments(a: np.ndarray, b: np.ndarray, boundary: set[int], merge_internal:
                 idle += 1
     if merge_internal:
         for f in made:
-            f.steps = w.spliced(f.src, f.steps)
-    for e in range(len(a)):
+            f.coded = w.spliced(f.src, f.coded)
+    for e in range(len(w.used)):
         if not w.used[e]:
             v = w.a[e]
             steps, end = w.walk(v)
             made.append(Fragment("free", v, end, w.spliced(v, steps) if merge_internal else steps))
-    return made, w.names, idle
+    return made, idle
 
 
-def run_part(level: int, part: int, kind: np.ndarray, item: np.ndarray, a: np.ndarray, b: np.ndarray, length: np.ndarray, ra: np.ndarray, rb: np.ndarray, merge_internal: bool) -> pa.Table:
-    began = time.perf_counter()
+def run_part(level: int, part: int, kind: np.ndarray, item: np.ndarray, a: np.ndarray, b: np.ndarray, length: np.ndarray, ra: np.ndarray, rb: np.ndarray, merge_internal: bool, receive: float = 0.0, emit_vertices: bool = True) -> Iterator[pa.Table]:
+    """A part's fragments and items, then its figures: seconds to receive its rows (moving and
+    merging), to build the arrays, to walk, and to make the output, and the most memory that
+    this process has held."""
+    clock = [time.perf_counter()]
     boundary = set(a[ra > level].tolist()) | set(b[rb > level].tolist())
-    made, names, _ = fragments(a, b, boundary, merge_internal)
     retire = dict(zip(a.tolist(), ra.tolist(), strict=True)) | dict(zip(b.tolist(), rb.tolist(), strict=True))
-    heads, bodies = [], []
+    w = Walker(a, b)
+    clock.append(time.perf_counter())
+    made, _ = walked(w, boundary, merge_internal)
+    clock.append(time.perf_counter())
+    names, heads, bodies = w.names, [], []
     for n, f in enumerate(made):
         fid = fragment_id(level, part, n)
-        pick = np.fromiter((s[0] for s in f.steps), np.int64, len(f.steps))
-        fwd = np.fromiter((s[1] for s in f.steps), bool, len(f.steps))
+        coded = np.frombuffer(f.coded, np.int64)
+        pick, fwd = coded >> 1, coded & 1
         size = length[pick]
         src, dst = int(names[f.src]), int(names[f.dst])
         heads.append((fid, f.ftype, src, dst, int(size.sum()), retire[src], retire[dst]))
         bodies.append((np.full(len(pick), fid), np.arange(len(pick)), np.cumsum(size) - size, pick, fwd))
     fid, seq, off, pick, fwd = (np.concatenate([x[i] for x in bodies]) if bodies else np.zeros(0, np.int64) for i in range(5))
     fwd = fwd.astype(bool)
-    spent = time.perf_counter() - began
     h = list(zip(*heads, strict=True)) if heads else [()] * 7
     n, m = len(heads), len(pick)
     none = lambda k, t: pa.nulls(k, t)
     column = lambda head, body, t: pa.concat_arrays([pa.array(head, t) if not isinstance(head, pa.Array) else head, pa.array(body, t) if not isinstance(body, pa.Array) else body])
-    i64, i32, s = pa.int64(), pa.int32(), pa.string()
-    return pa.table({
+    i64, i32, s, f64 = pa.int64(), pa.int32(), pa.string(), pa.float64()
+    side = lambda x, y: np.where(fwd, x[pick], y[pick]) if emit_vertices else none(m, i64)
+    rows = {
         "tag": column(["frag"] * n, ["item"] * m, s), "fid": column(h[0], fid, i64),
         "part": column([part] * n, np.full(m, part, np.int32), i32), "ftype": column(h[1], none(m, s), s),
         "src": column(h[2], none(m, i64), i64), "dst": column(h[3], none(m, i64), i64), "n_edges": column(h[4], none(m, i64), i64),
@@ -159,27 +190,47 @@ def run_part(level: int, part: int, kind: np.ndarray, item: np.ndarray, a: np.nd
         "seq": column(none(n, i32), seq.astype(np.int32), i32), "off": column(none(n, i64), off, i64),
         "item_kind": column(none(n, s), kind[pick].tolist(), s), "item_id": column(none(n, i64), item[pick], i64),
         "fwd": column(none(n, pa.bool_()), fwd, pa.bool_()),
-        "a": column(none(n, i64), np.where(fwd, a[pick], b[pick]), i64), "b": column(none(n, i64), np.where(fwd, b[pick], a[pick]), i64),
-        "len": column(none(n, i64), length[pick], i64), "seconds": column([spent] + [0.0] * (n - 1) if n else [], none(m, pa.float64()), pa.float64()),
-    })
+        "a": column(none(n, i64), side(a, b), i64), "b": column(none(n, i64), side(b, a), i64),
+        "len": column(none(n, i64), length[pick], i64),
+        **{c: none(n + m, f64) for c in ("receive", "build", "walk", "emit")}, "peak": none(n + m, i64),
+    }
+    table = pa.table(rows)
+    yield table
+    clock.append(time.perf_counter())
+    build, walk, emit = np.diff(clock).tolist()
+    figures = {"tag": ["part"], "part": [part], "n_edges": [int(length.sum())], "len": [len(a)], "receive": [receive], "build": [build], "walk": [walk], "emit": [emit], "peak": [resource.getrusage(resource.RUSAGE_SELF).ru_maxrss * 1024]}
+    yield pa.table({f.name: pa.array(figures.get(f.name, [None]), f.type) for f in table.schema})
+
+
+def dealt(items: DataFrame, parts: Sequence[int]) -> DataFrame:
+    """``items`` with each part in a task of its own: part number i of the sorted parts goes to
+    task i, so a level's time is that of its largest part."""
+    parts = sorted(parts)
+    if parts == list(range(len(parts))):
+        placed = items.withColumn("slot", F.col("part"))
+    else:
+        placed = items.join(lookup(items.sparkSession, [(p, i) for i, p in enumerate(parts)], "part int, slot int"), "part")
+    return placed.repartitionById(max(1, len(parts)), "slot").drop("slot").sortWithinPartitions("part", "kind", "item_id")
 
 
-def phase1(items: DataFrame, level: int, n_parts: int, merge_internal: bool = True, order: str = "eid") -> DataFrame:
-    """Fragments and their items of every part.
+def phase1(items: DataFrame, level: int, parts: Sequence[int], merge_internal: bool = True, order: str = "eid", emit_vertices: bool = True) -> DataFrame:
+    """Fragments and their items of every part of a level.
 
     ``items`` has the columns of ITEM_IN; ``ra`` and ``rb`` are the levels at which the ends
     have no edge left to other parts, so an end is a boundary vertex where that is above
     ``level``. One exchange brings a part together; batches stream in, and only the part at
-    hand is held. ``order='degree'`` walks small-degree ends first.
+    hand is held. ``order='degree'`` walks small-degree ends first. Without ``emit_vertices``
+    items say which edge and which way only, and unrolling looks the ends up.
     """
     if order not in ("eid", "degree"):
         raise ValueError(f"unknown order {order}")
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.Table] = []
-        at = None
+        at, since = None, time.perf_counter()
 
         def done():
+            receive = time.perf_counter() - since
             t = pa.concat_tables(held)
             get = lambda c: t[c].to_numpy()
             a, b, kind, item, length, ra, rb = (get(c) for c in ("a", "b", "kind", "item_id", "len", "ra", "rb"))
@@ -188,27 +239,27 @@ def phase1(items: DataFrame, level: int, n_parts: int, merge_internal: bool = Tr
                 deg = np.bincount(pos, minlength=len(names))[pos]
                 sort = np.lexsort((item, np.minimum(deg[: len(a)], deg[len(a) :])))
                 a, b, kind, item, length, ra, rb = (x[sort] for x in (a, b, kind, item, length, ra, rb))
-            yield from run_part(level, at, kind, item, a, b, length, ra, rb, merge_internal).to_batches(max_chunksize=65_536)
+            for table in run_part(level, at, kind, item, a, b, length, ra, rb, merge_internal, receive, emit_vertices):
+                yield from table.to_batches(max_chunksize=65_536)
 
         for batch in batches:
             t = pa.Table.from_batches([batch])
-            parts = t["part"].to_numpy()
-            edge = np.flatnonzero(np.r_[True, parts[1:] != parts[:-1]]) if len(parts) else []
+            own = t["part"].to_numpy()
+            edge = np.flatnonzero(np.r_[True, own[1:] != own[:-1]]) if len(own) else []
             for i, start in enumerate(edge):
-                stop = edge[i + 1] if i + 1 < len(edge) else len(parts)
-                if held and parts[start] != at:
+                stop = edge[i + 1] if i + 1 < len(edge) else len(own)
+                if held and own[start] != at:
                     yield from done()
-                    held = []
-                at = int(parts[start])
+                    held, since = [], time.perf_counter()
+                at = int(own[start])
                 held.append(t.slice(start, stop - start))
         if held:
             yield from done()
 
     ship(items.sparkSession)
-    dealt = items.repartition(max(1, n_parts), "part").sortWithinPartitions("part", "kind", "item_id")
-    return dealt.mapInArrow(kernel, OUT)
+    return dealt(items, parts).mapInArrow(kernel, OUT)
 
 
 def as_pandas(made: list[Fragment], names: np.ndarray) -> pd.DataFrame:
     """Small results as rows, for tests."""
-    return pd.DataFrame([(f.ftype, int(names[f.src]), int(names[f.dst]), len(f.steps)) for f in made], columns=["ftype", "src", "dst", "n"])
+    return pd.DataFrame([(f.ftype, int(names[f.src]), int(names[f.dst]), len(f.coded)) for f in made], columns=["ftype", "src", "dst", "n"])

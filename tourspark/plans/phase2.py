@@ -9,38 +9,45 @@ from pyspark.sql import functions as F
 
 from tourspark.functions.graph import Graph
 from tourspark.plans.ledger import Ledger
-from tourspark.plans.metagraph import MergeTree, join_levels, merge_tree, meta_graph, retire_levels
+from tourspark.plans.metagraph import MergeTree, join_levels, retire_levels, tree_for, with_holders
 from tourspark.plans.phase1 import phase1
-from tourspark.session import stage
+from tourspark.session import lookup, stage
 
-#: What a part holds of its remote edges: both directions of each; one of them; or nothing,
-#: the edges staying where they were read until the level at which they join.
+#: What a part holds of its remote edges: both directions of each; one of them, which the
+#: lighter of the two sides that merge keeps; or nothing, the edges staying where they were
+#: read until the level at which they join.
 POLICIES = ("carry_both", "carry_one", "deferred", "carry_one+deferred")
 
 
 @dataclass(frozen=True)
 class Run:
-    """``levelled``: eid, u, v, pu, pv, join_level, ru, rv, a folder for each join level."""
+    """``levelled``: eid, u, v, pu, pv, ru, rv, join_level, a folder for each join level, and
+    holder if one copy is carried."""
 
     ledger: Ledger
     tree: MergeTree
     levelled: DataFrame
 
 
-def prepare(g: Graph, tree: MergeTree) -> DataFrame:
-    """Edges with the level at which they join and the levels at which their ends retire."""
-    edges = stage(join_levels(g, tree), "joined")
+def prepare(g: Graph, tree: MergeTree, edges: DataFrame | None = None, holders: bool = False) -> DataFrame:
+    """Edges with the level at which they join and the levels at which their ends retire; with
+    ``holders`` also the part that holds the one copy of a remote edge, which only a policy
+    that carries one copy asks for. ``edges``: the join levels, if known."""
+    edges = join_levels(g, tree) if edges is None else edges  # looked up anew where it is read
     retire = retire_levels(edges)
     both = edges.join(retire.withColumnsRenamed({"v": "u", "retire_level": "ru"}), "u").join(retire.withColumnRenamed("retire_level", "rv"), "v")
-    return stage(both.select("eid", "u", "v", "pu", "pv", "ru", "rv", "join_level"), "levelled", ("join_level",))
+    if holders:
+        both = with_holders(both, tree)
+    kept = ["eid", "u", "v", "pu", "pv", "ru", "rv", *(["holder"] if holders else []), "join_level"]
+    return stage(both.select(*kept), "levelled", ("join_level",))
 
 
 def _relabelled(rows: DataFrame, column: str, step: dict[int, int]) -> DataFrame:
-    """``column`` by the map of parts, which has a row a part and is broadcast."""
+    """``column`` by the map of parts, which has a row a part."""
     moves = [(a, b) for a, b in step.items() if a != b]
     if not moves:
         return rows
-    small = F.broadcast(rows.sparkSession.createDataFrame(moves, "old int, new int"))
+    small = lookup(rows.sparkSession, moves, "old int, new int")
     return rows.join(small, rows[column] == small["old"], "left").withColumn(column, F.coalesce("new", column).cast("int")).drop("old", "new")
 
 
@@ -56,7 +63,7 @@ def path_items(frags: DataFrame, step: dict[int, int]) -> DataFrame:
 
 def run_levels(
     g: Graph, tree: MergeTree, ledger_path: str | None = None, remote_policy: str = "carry_one+deferred", resume: bool = True,
-    merge_internal: bool = True, order: str = "eid", stop_after: int | None = None, levelled: DataFrame | None = None,
+    merge_internal: bool = True, order: str = "eid", stop_after: int | None = None, levelled: DataFrame | None = None, emit_vertices: bool = True,
 ) -> Run:
     """Phase 1 at every level of the tree; all fragments go to the ledger.
 
@@ -69,13 +76,15 @@ def run_levels(
         raise ValueError(f"unknown policy {remote_policy}")
     spark = g.edges.sparkSession
     ledger, maps = Ledger.create(spark, ledger_path), tree.maps()
-    levelled = levelled if levelled is not None else prepare(g, tree)
+    levelled = levelled if levelled is not None else prepare(g, tree, holders=remote_policy == "carry_one")
     joins = {r["join_level"]: r["count"] for r in levelled.groupBy("join_level").count().collect()}  # a row a level
+    if None in joins:
+        raise ValueError(f"{joins[None]} edges never join: the merge tree has more than one root")
     state = None
     if "deferred" not in remote_policy:
-        sides = [F.struct(F.lit(0).alias("side"), F.col("pu").alias("holder"))]
-        sides += [F.struct(F.lit(1).alias("side"), F.col("pv").alias("holder"))] if remote_policy == "carry_both" else []
-        state = levelled.withColumn("s", F.explode(F.array(*sides))).select("*", "s.side", "s.holder").drop("s")
+        one = [F.struct(F.lit(0).alias("side"), F.col("holder").alias("at"))]
+        two = [F.struct(F.lit(i).alias("side"), F.col(p).alias("at")) for i, p in enumerate(("pu", "pv"))]
+        state = levelled.withColumn("s", F.explode(F.array(*(two if remote_policy == "carry_both" else one)))).select("*", "s.side", "s.at").drop("s")
         state = stage(state.where((F.col("side") == 0) | (F.col("join_level") > 0)), "state")
     last, paths = max(joins, default=-1), 0
     for level in range(last + 1):
@@ -90,11 +99,11 @@ def run_levels(
             if level and paths:
                 step = {maps[level - 1][p]: maps[level][p] for p in tree.parts}
                 items = items.unionByName(path_items(ledger.frags(level - 1), step))
-            ledger.write(level, phase1(items, level, len(set(maps[level].values())), merge_internal, order))
+            ledger.write(level, phase1(items, level, sorted(set(maps[level].values())), merge_internal, order, emit_vertices))
         paths = ledger.frags(level).where("ftype = 'path'").count()
         if state is not None and level < last:
             left = state.where(F.col("join_level") > level)
-            state = stage(_relabelled(left, "holder", {maps[level][p]: maps[level + 1][p] for p in tree.parts}), "state")
+            state = stage(_relabelled(left, "at", {maps[level][p]: maps[level + 1][p] for p in tree.parts}), "state")
     return Run(ledger, tree, levelled)
 
 
@@ -106,4 +115,4 @@ def parts_of(g: Graph) -> list[int]:
 
 
 def build(g: Graph, strategy: str = "greedy", zero_weight: str = "pair", **options) -> Run:
-    return run_levels(g, merge_tree(meta_graph(g), parts_of(g), strategy, zero_weight), **options)
+    return run_levels(g, tree_for(g, parts_of(g), strategy, zero_weight), **options)

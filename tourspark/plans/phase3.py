@@ -4,19 +4,23 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tourspark import schemas
 from tourspark.functions.numbering import dense_number
+from tourspark.functions.rings import with_next
 from tourspark.plans.components import min_label_components
 from tourspark.plans.ledger import Ledger
 from tourspark.session import stage
 
-#: Up to so many rows of links or runs a driver works out the order; beyond, rounds do.
-DRIVER_ROWS = 1_000_000
-#: Positions of a walk in one block of the join of edges with runs.
+#: Up to so many rows of links or runs, some 50 MB as Python rows, a driver works out the
+#: order; beyond, rounds do. Both give the same forest and the same ranks.
+DRIVER_ROWS = 100_000
+#: Positions of a walk in one block of the joins of edges with runs and of items with nodes.
 BLOCK_SHIFT = 16
+#: Blocks over which the walks of one vertex are dealt.
+SPREAD = 64
 
 
 def top_walks(ledger: Ledger) -> DataFrame:
@@ -24,24 +28,33 @@ def top_walks(ledger: Ledger) -> DataFrame:
     return ledger.all_frags().where("ftype <> 'path'").select("fid", "level", "n_edges")
 
 
-def unroll(ledger: Ledger) -> DataFrame:
+def unroll(ledger: Ledger, edges: DataFrame | None = None) -> DataFrame:
     """walk, pos, eid, src, dst of every edge, by one join a level from the top down.
 
     A node is a fragment that a walk uses, with its first position and direction. Its items
-    that are edges are done; its items that are paths become nodes one level below.
+    that are edges are done; its items that are paths become nodes one level below. Nodes and
+    items meet by fragment and block of its positions, so a fragment that is nearly the whole
+    circuit is dealt over many tasks. ``edges`` gives the ends where items don't have them.
     """
     nodes, done = None, None
     for level in reversed(ledger.levels()):
         tops = ledger.frags(level).where("ftype <> 'path'").select("fid", F.col("fid").alias("walk"), F.lit(0).cast("long").alias("base"), F.lit(True).alias("ahead"), F.col("n_edges").alias("size"))
         nodes = tops if nodes is None else nodes.unionByName(tops)
+        blocks = nodes.withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.shiftright(F.greatest(F.col("size") - 1, F.lit(0)), BLOCK_SHIFT))))
+        items = ledger.items(level).withColumn("block", F.shiftright("off", BLOCK_SHIFT))
         at = F.when(F.col("ahead"), F.col("base") + F.col("off")).otherwise(F.col("base") + F.col("size") - F.col("off") - F.col("len"))
-        rows = ledger.items(level).join(nodes, "fid").select("walk", at.alias("pos"), "item_kind", "item_id", (F.col("ahead") == F.col("fwd")).alias("same"), F.when(F.col("ahead"), F.col("a")).otherwise(F.col("b")).alias("src"), F.when(F.col("ahead"), F.col("b")).otherwise(F.col("a")).alias("dst"), "len")
+        rows = items.join(blocks, ["fid", "block"]).select("walk", at.alias("pos"), "item_kind", "item_id", (F.col("ahead") == F.col("fwd")).alias("same"), F.when(F.col("ahead"), F.col("a")).otherwise(F.col("b")).alias("src"), F.when(F.col("ahead"), F.col("b")).otherwise(F.col("a")).alias("dst"), "len")
         if level:
             rows = stage(rows, "unrolled")
-        edges = rows.where("item_kind = 'edge'").select("walk", "pos", F.col("item_id").alias("eid"), "src", "dst")
-        done = edges if done is None else done.unionByName(edges)
+        found = rows.where("item_kind = 'edge'").select("walk", "pos", F.col("item_id").alias("eid"), "same", "src", "dst")
+        done = found if done is None else done.unionByName(found)
         nodes = rows.where("item_kind = 'frag'").select(F.col("item_id").alias("fid"), "walk", F.col("pos").alias("base"), F.col("same").alias("ahead"), F.col("len").alias("size"))
-    return done if done is not None else ledger.spark.createDataFrame([], "walk long, pos long, eid long, src long, dst long")
+    if done is None:
+        return ledger.spark.createDataFrame([], "walk long, pos long, eid long, src long, dst long")
+    if edges is None:
+        return done.drop("same")
+    ends = done.drop("src", "dst").join(edges.select("eid", "u", "v"), "eid")
+    return ends.select("walk", "pos", "eid", F.when(F.col("same"), F.col("u")).otherwise(F.col("v")).alias("src"), F.when(F.col("same"), F.col("v")).otherwise(F.col("u")).alias("dst"))
 
 
 def incidence(walks: DataFrame) -> DataFrame:
@@ -111,10 +124,8 @@ def stitch(inc: DataFrame, forest: str = "auto") -> DataFrame:
     tree = forest_driver(links) if forest == "driver" else forest_boruvka(links)
     chosen = tree.select("v", F.explode(F.array("walk", "least")).alias("walk")).distinct()
     at = stage(inc.join(chosen, ["v", "walk"]), "exchanged")
-    ring = Window.partitionBy("v").orderBy("walk")
-    start = ring.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    turn = lambda c: F.coalesce(F.lead(c).over(ring), F.first(c).over(start))
-    return at.select("walk", "pos", turn("walk").alias("to_walk"), turn("pos").alias("to_pos"))
+    block = F.pmod(F.xxhash64("walk"), F.lit(SPREAD))
+    return with_next(at, ["v"], ["walk"], block, {"walk": "to_walk", "pos": "to_pos"}).select("walk", "pos", "to_walk", "to_pos")
 
 
 def runs_of(lengths: DataFrame, cuts: DataFrame) -> DataFrame:
@@ -123,10 +134,8 @@ def runs_of(lengths: DataFrame, cuts: DataFrame) -> DataFrame:
     ``lengths``: walk, n, low (its least vertex). A run may wrap past the walk's end. A walk
     without cuts is one run that follows itself.
     """
-    ring = Window.partitionBy("walk").orderBy("pos")
-    whole = ring.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    turn = lambda c: F.coalesce(F.lead(c).over(ring), F.first(c).over(whole))
-    cut = cuts.select("walk", F.col("pos").alias("start"), turn("pos").alias("stop"), turn("to_walk").alias("next_walk"), turn("to_pos").alias("next_start"))
+    ahead = {"pos": "stop", "to_walk": "next_walk", "to_pos": "next_start"}
+    cut = with_next(cuts, ["walk"], ["pos"], F.shiftright("pos", BLOCK_SHIFT), ahead).select("walk", F.col("pos").alias("start"), *ahead.values())
     rows = lengths.join(cut, "walk", "left")
     size = F.when(F.col("start").isNull() | (F.col("stop") == F.col("start")), F.col("n")).otherwise(F.pmod(F.col("stop") - F.col("start"), F.col("n")))
     return rows.select("walk", F.coalesce("start", F.lit(0)).alias("start"), size.alias("size"), "n", "low", F.coalesce("next_walk", "walk").alias("next_walk"), F.coalesce("next_start", F.lit(0)).alias("next_start"))

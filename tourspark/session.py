@@ -12,6 +12,10 @@ import zipfile
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+#: Rows up to which a table of parts, which a parameter bounds, is broadcast.
+MOST_BROADCAST = 1_000_000
 
 
 def local_session(cpus: str = "*", partitions: int = 8, memory: str = "8g") -> SparkSession:
@@ -94,6 +98,12 @@ def stage(df: DataFrame, label: str, partition_by: tuple[str, ...] = ()) -> Data
     return spark.read.schema(df.schema).parquet(path)
 
 
+def lookup(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
+    """A small table for joins: broadcast up to MOST_BROADCAST rows, joined as it is beyond."""
+    made = spark.createDataFrame(rows, schema)
+    return F.broadcast(made) if len(rows) <= MOST_BROADCAST else made
+
+
 def drop_path(spark: SparkSession, path: str) -> None:
     """Delete a staged table whose rows are no longer needed."""
     jvm = spark.sparkContext._jvm

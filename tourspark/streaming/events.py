@@ -24,18 +24,19 @@ def rows_of(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def staged_copies(rows: list[DataFrame], gap: float = 0.0) -> str:
-    """A folder that a stream reads file by file, in the order of the list."""
+    """A folder that a stream reads in the order of the list, a file or more for each part."""
     spark = rows[0].sparkSession
     path = stage_path(spark, "stream")
     for i, part in enumerate(rows):
         if i and gap:
             time.sleep(gap)  # files are taken by time of change
-        part.coalesce(1).write.mode("append").parquet(path)
+        part.write.mode("append").parquet(path)
     return path
 
 
-def stream_of(spark: SparkSession, path: str, delay: str = PATIENT) -> DataFrame:
-    return spark.readStream.schema(EVENT).option("maxFilesPerTrigger", 1).parquet(path).withWatermark("ts", delay)
+def stream_of(spark: SparkSession, path: str, delay: str = PATIENT, files: int = 1) -> DataFrame:
+    """``files``: how many a batch takes; one here, so that small tables make several batches."""
+    return spark.readStream.schema(EVENT).option("maxFilesPerTrigger", files).parquet(path).withWatermark("ts", delay)
 
 
 def halves(rows: DataFrame) -> list[DataFrame]:
@@ -115,16 +116,51 @@ def with_parts(stream: DataFrame, vertices: DataFrame) -> DataFrame:
     return stream.join(vertices, stream["user_id"] == vertices["v"]).groupBy("part").agg(F.count("*").alias("n"))
 
 
-def circuits_of_days(stream: DataFrame, build: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """For every day of a batch the circuit through its users: day, and what ``build`` gives
-    of the day's edges. The days' closed walks are built as one graph whose components are
-    days: vertices carry the day in their upper bits."""
+DAY = 86_400
+
+
+def circuits_of_days(stream: DataFrame, build: Callable[[DataFrame], DataFrame], delay: int = 0) -> tuple[DataFrame, DataFrame]:
+    """What ``build`` gives of the rows of each day, once the day is closed; and the rows that
+    came too late, by batch: (batch, late).
+
+    A batch's rows are written and wait. A day is closed when a row ``delay`` seconds after
+    its end has come; then it is built once, from all batches that brought rows of it, and
+    rows that come later are counted as late and left out. The days still open at the end of
+    the stream are built last. A batch that is run again finds the same rows before it and
+    replaces what it has written. ``build`` gets the rows of all days closed by a batch, with
+    their ``day``.
+    """
     spark = stream.sparkSession
-    out, check = stage_path(spark, "days"), stage_path(spark, "days-check")
+    out, check, rows, seen = (stage_path(spark, f"days-{x}") for x in ("out", "check", "rows", "marks"))
+    schema = stream.schema.add("day", "long")
+
+    def marks(before: int) -> int:
+        """The last second that batches before that number have seen, less the delay."""
+        found = spark.read.schema("batch long, top long, late long").parquet(f"{seen}/*").where(F.col("batch") < before) if before else None
+        top = found.agg(F.max("top")).first()[0] if found is not None else None
+        return (top if top is not None else -(1 << 40)) - delay
+
+    def waiting(upto: int) -> DataFrame:
+        return spark.read.schema(schema).option("basePath", rows).parquet(f"{rows}/batch=*").where(F.col("batch") <= upto)
+
+    def closed(low: int, high: int) -> F.Column:
+        """Days that end after ``low`` and not after ``high``."""
+        end = (F.col("day") + 1) * DAY
+        return (end > low) & (end <= high)
 
     def each(batch: DataFrame, number: int) -> None:
-        build(batch).write.mode("overwrite").parquet(f"{out}/batch={number}")
+        before = marks(number)
+        dated = batch.withColumn("day", F.floor(F.unix_seconds("ts") / DAY))
+        (stage_rows := dated.where((F.col("day") + 1) * DAY > before)).write.mode("overwrite").parquet(f"{rows}/batch={number}")
+        found = dated.agg(F.max(F.unix_seconds("ts")).alias("top"), F.count_if((F.col("day") + 1) * DAY <= before).alias("late"))
+        found.select(F.lit(number).cast("long").alias("batch"), "top", "late").write.mode("overwrite").parquet(f"{seen}/batch-{number}")
+        done = waiting(number).where(closed(before, marks(number + 1)))
+        build(done.select(stage_rows.columns)).write.mode("overwrite").parquet(f"{out}/batch={number}")
 
     run = stream.writeStream.option("checkpointLocation", check).trigger(availableNow=True).foreachBatch(each).start()
     run.awaitTermination()
-    return spark.read.option("basePath", out).parquet(f"{out}/batch=*").drop("batch")
+    late = spark.read.schema("batch long, top long, late long").parquet(f"{seen}/*").select("batch", "late")
+    last = late.agg(F.max("batch")).first()[0]
+    rest = waiting(last).where((F.col("day") + 1) * DAY > marks(last + 1)).drop("batch")
+    build(rest).write.mode("overwrite").parquet(f"{out}/batch={last + 1}")
+    return spark.read.option("basePath", out).parquet(f"{out}/batch=*").drop("batch"), late
