@@ -7,11 +7,10 @@ Built from SQL functions alone.
 
 from __future__ import annotations
 
-import math
-
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from tourspark.functions.numbering import dense_number
 from tourspark.session import stage
 
 
@@ -51,13 +50,13 @@ def rendezvous(key: Column, n_shards: int, weights: list[float] | None = None) -
 
 def shard_documents(
     docs: DataFrame, n_shards: int = 40, key: str = "doc_id", text: str = "text",
-    weights: list[float] | None = None, cell_rows: int = 4096,
+    weights: list[float] | None = None,
 ) -> DataFrame:
     """Shard, slot within the shard, and the shard after one more shard of equal weight joins.
 
-    ``slot`` is the rank of a row in its shard by the digest of its key. It is numbered in
-    cells of about ``cell_rows`` rows (a shard and a range of digests), so that no task ever
-    sorts a whole shard; the offsets of the cells are summed from their counts.
+    ``slot`` is the rank of a row in its shard by the digest of its key, then by the key, the
+    size and the checksum. All rows are numbered through by ranges, so that no task sorts a
+    whole shard nor all rows of one key; a shard's first number, one row a shard, is taken off.
 
     Null text counts as no bytes; a null key is a key like any other; repeated rows go to one
     shard with slots of their own; an empty table gives an empty table. Other columns of
@@ -70,21 +69,15 @@ def shard_documents(
         (F.coalesce(F.octet_length(text), F.lit(0)) + 16).cast("long").alias("size"),
         F.coalesce(F.crc32(F.col(text).cast("binary")), F.lit(0)).cast("long").alias("text_crc32"),
     )
-    cells = max(1, math.ceil(docs.count() / (n_shards * cell_rows)))
-    place = F.md5(key_text(F.col("k")))
-    placed = rows.withColumns({"win": win, "place": place}).select(
-        "k", "size", "text_crc32", "place",
-        F.col("win.shard").alias("shard"),
-        (F.when(_pair_digest(F.col("k"), n_shards) > F.col("win.best"), F.lit(n_shards)).otherwise(F.col("win.shard")) if equal else F.lit(None)).cast("int").alias("grown_shard"),
-        F.floor(F.conv(F.substring("place", 1, 8), 16, 10).cast("long") * cells / F.lit(1 << 32)).cast("int").alias("cell"),
+    grown = F.when(_pair_digest(F.col("k"), n_shards) > F.col("win.best"), F.lit(n_shards)).otherwise(F.col("win.shard")) if equal else F.lit(None)
+    placed = rows.withColumns({"win": win, "place": F.md5(key_text(F.col("k")))}).select(
+        "k", "size", "text_crc32", "place", F.col("win.shard").alias("shard"), grown.cast("int").alias("grown_shard"),
     )
-    placed = stage(placed, "shards")
-    before = Window.partitionBy("shard").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = placed.groupBy("shard", "cell").count().select("shard", "cell", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first"))
-    own = Window.partitionBy("shard", "cell").orderBy("place", "k", "size", "text_crc32")
-    return placed.withColumn("nth", F.row_number().over(own)).join(offsets, ["shard", "cell"]).select(
+    numbered = dense_number(stage(placed, "shards"), ["shard", "place", "k", "size", "text_crc32"], "n", 0)
+    first = F.broadcast(numbered.groupBy("shard").agg(F.min("n").alias("first")))  # a row a shard
+    return numbered.join(first, "shard").select(
         F.col("k").alias(key), "size", "text_crc32", F.lit("key").alias("law"), "shard",
-        (F.col("first") + F.col("nth") - 1).cast("long").alias("slot"), "grown_shard",
+        (F.col("n") - F.col("first")).cast("long").alias("slot"), "grown_shard",
     )
 
 
