@@ -129,7 +129,7 @@ def test_secret_plan_has_no_python(docs):
 # Shards
 def test_shards(spark, docs, nothing):
     rows = spark.range(5000).select(F.col("id").alias("doc_id"), F.concat(F.lit("text "), F.col("id") % 7).alias("text"))
-    out = sharding.shard_documents(rows, 40, cell_rows=20).collect()
+    out = sharding.shard_documents(rows, 40).collect()
     slots = {}
     for r in out:
         slots.setdefault(r["shard"], []).append(r["slot"])
@@ -143,6 +143,16 @@ def test_shards(spark, docs, nothing):
     assert sharding.shard_documents(nothing, 3).count() == 0
 
 
+def test_one_key_on_a_third_of_the_rows(spark):
+    rows = spark.range(6000).select(F.when(F.col("id") % 3 > 0, F.col("id")).alias("doc_id"), F.concat(F.lit("t"), F.col("id")).alias("text"))
+    out = sharding.shard_documents(rows, 4)
+    slots = {}
+    for r in out.collect():
+        slots.setdefault(r["shard"], []).append(r["slot"])
+    assert sum(map(len, slots.values())) == 6000 and all(sorted(s) == list(range(len(s))) for s in slots.values())
+    assert "Window" not in out._jdf.queryExecution().executedPlan().toString()
+
+
 def test_weighted_shards_follow_their_weights_and_move_little(spark):
     rows = spark.range(4000).select(F.col("id").alias("doc_id"), F.lit("x").alias("text"))
     of = lambda w: {r["doc_id"]: r["shard"] for r in sharding.shard_documents(rows, len(w), weights=w).collect()}
