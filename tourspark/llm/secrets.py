@@ -68,11 +68,21 @@ def row_key(id_col: str, text: str) -> Column:
     return F.xxhash64(F.col(id_col), F.col(text))
 
 
+def _text(value: str) -> str:
+    """A string literal. Expressions here are SQL texts: they are large, and a call into the
+    engine for each of their parts takes longer than small scans do."""
+    return "'" + value.replace("\\", "\\\\").replace("'", "\\'") + "'"
+
+
+def _name(column: str) -> str:
+    return "`" + column.replace("`", "``") + "`"
+
+
 def postings(docs: DataFrame, id_col: str = "doc_id", text: str = "text", rules=RULES) -> DataFrame:
     """The inverted index: one row (trigram, key) for each trigram of the rules in a text."""
-    folded = F.lower(F.col(text))
-    present = F.array_compact(F.array(*[F.when(folded.contains(t), F.lit(t)) for t in vocabulary(rules)]))
-    return docs.select(F.explode(present).alias("trigram"), row_key(id_col, text).alias("key"))
+    tests = ", ".join(f"CASE WHEN contains(folded, {_text(t)}) THEN {_text(t)} END" for t in vocabulary(rules))
+    rows = docs.select(row_key(id_col, text).alias("key"), F.lower(F.col(text)).alias("folded"))
+    return rows.select(F.expr(f"explode(array_compact(array({tests})))").alias("trigram"), "key")
 
 
 def _branches(query) -> list[list[str]]:
@@ -95,69 +105,53 @@ def candidates(index: DataFrame, rules=RULES) -> DataFrame:
     trigrams have no candidates here.
     """
     asked = [
-        F.struct(F.lit(t).alias("trigram"), F.lit(r).alias("rule"), F.lit(n).alias("branch"), F.lit(1 << at).cast("long").alias("bit"), F.lit((1 << len(b)) - 1).cast("long").alias("whole"))
+        f"struct({_text(t)} AS trigram, {r} AS rule, {n} AS branch, {1 << at}L AS bit, {(1 << len(b)) - 1}L AS whole)"
         for r, rule in enumerate(rules) if trigrams_of(rule.query) for n, b in enumerate(_branches(rule.query)) for at, t in enumerate(b)
     ]
     if not asked:
         return index.select("key", F.lit(0).cast("long").alias("hits")).where("false")
     # as many rows as the rules' queries have trigrams, a few dozen
-    table = F.broadcast(index.sparkSession.range(1).select(F.inline(F.array(*asked))))
+    table = F.broadcast(index.sparkSession.range(1).select(F.expr(f"inline(array({', '.join(asked)}))")))
     met = index.join(table, "trigram").groupBy("key", "rule", "branch", "whole").agg(F.expr("bit_or(bit)").alias("seen")).where("seen = whole")
     return met.groupBy("key").agg(F.expr("bit_or(shiftleft(1L, rule))").alias("hits"))
 
 
-def _places(text: Column, rule: Rule) -> Column:
+def _with(value: str, name: str, use: str) -> str:
+    """``use`` with ``name`` for the value, which is worked out once, however often it is used."""
+    return f"element_at(transform(array({value}), {name} -> {use}), 1)"
+
+
+def _places(body: str, rule: Rule) -> str:
     """array<struct<s, e>> of a rule's kept matches, leftmost and not overlapping.
 
-    The text is split at the matches; the pieces between them and the matches themselves,
-    in turn, give the places in code points.
+    The text is split at the matches; the pieces between them and the matches themselves, in
+    turn, give the places in code points as running sums. Those are taken within blocks and
+    over the blocks' sums: an array that grows by one is copied at every step, so none here
+    grows beyond a block or the number of blocks.
     """
-    found = F.regexp_extract_all(text, F.lit(rule.java), F.lit(0))
-    gaps = F.split(text, rule.java, -1)
-    steps = F.zip_with(
-        F.transform(gaps, lambda g: F.length(g)), found,
-        lambda gap, m: F.struct(gap.alias("gap"), F.length(m).alias("len"), (F.length(F.regexp_extract(m, rule.java, rule.group)) if rule.group else F.length(m)).alias("own")),
+    pattern = _text(rule.java)
+    own = f"length(regexp_extract(m, {pattern}, {rule.group}))" if rule.group else "length(m)"
+    steps = (
+        f"filter(zip_with(transform(split({body}, {pattern}, -1), g -> length(g)), regexp_extract_all({body}, {pattern}, 0),"
+        f" (gap, m) -> struct(gap AS gap, length(m) AS len, {own} AS own)), x -> x.len IS NOT NULL)"
     )
-    steps = F.filter(steps, lambda x: x["len"].isNotNull())
-    return _with(steps, lambda own: _with(_blocks(own), lambda blocks: _walked(blocks, rule.least)))
-
-
-def _with(value: Column, use) -> Column:
-    """``use(value)`` with the value worked out once, however often it is used."""
-    return F.element_at(F.transform(F.array(value), use), 1)
-
-
-def _blocks(steps: Column) -> Column:
-    """``steps`` in runs of BLOCK; no run for no steps."""
-    count = F.ceil(F.size(steps) / BLOCK).cast("int")
-    return F.transform(F.filter(F.sequence(F.lit(0), count), lambda k: k < count), lambda k: F.slice(steps, k * BLOCK + 1, BLOCK))
-
-
-def _walked(blocks: Column, least: int) -> Column:
-    """Places by running sums, within blocks and over the blocks' sums: an array that grows by
-    one is copied at every step, so none here grows beyond a block or the number of blocks."""
-    none = F.array().cast("array<struct<s:int,e:int>>")
-
-    def inside(block: Column, base: Column) -> Column:
-        return F.aggregate(
-            block, F.struct(base.alias("at"), none.alias("out")),
-            lambda acc, x: F.struct(
-                (acc["at"] + x["gap"] + x["len"]).alias("at"),
-                F.when(x["own"] >= least, F.concat(acc["out"], F.array(F.struct((acc["at"] + x["gap"]).alias("s"), (acc["at"] + x["gap"] + x["len"]).alias("e"))))).otherwise(acc["out"]).alias("out"),
-            ),
-            lambda acc: acc["out"],
-        )
-
-    sums = F.transform(blocks, lambda b: F.aggregate(b, F.lit(0), lambda acc, x: acc + x["gap"] + x["len"]))
-    bases = F.aggregate(sums, F.array(F.lit(0)), lambda acc, x: F.concat(acc, F.array(F.element_at(acc, -1) + x)))
-    return F.flatten(_with(bases, lambda at: F.transform(blocks, lambda b, k: inside(b, F.element_at(at, k + 1)))))
+    count = f"cast(ceil(size(steps) / {BLOCK}) AS int)"
+    blocks = f"transform(filter(sequence(0, {count}), k -> k < {count}), k -> slice(steps, k * {BLOCK} + 1, {BLOCK}))"
+    bases = "aggregate(transform(blocks, b -> aggregate(b, 0, (acc, x) -> acc + x.gap + x.len)), array(0), (acc, x) -> concat(acc, array(element_at(acc, -1) + x)))"
+    inside = (
+        "aggregate(b, struct(element_at(bases, k + 1) AS at, cast(array() AS array<struct<s:int,e:int>>) AS out),"
+        " (acc, x) -> struct(acc.at + x.gap + x.len AS at,"
+        f" if(x.own >= {rule.least}, concat(acc.out, array(struct(acc.at + x.gap AS s, acc.at + x.gap + x.len AS e))), acc.out) AS out), acc -> acc.out)"
+    )
+    return _with(steps, "steps", _with(blocks, "blocks", _with(bases, "bases", f"flatten(transform(blocks, (b, k) -> {inside}))")))
 
 
-def _gate(text: Column, rule: Rule) -> Column:
+def _gate(body: str, rule: Rule) -> str:
     """A cheap test before the places of a rule's matches are worked out."""
+    pattern = rule.java
     if rule.group == 0 and rule.least and rule.pattern.endswith("]+") and rule.pattern.startswith("["):
-        return text.rlike(rule.java.removesuffix("+") + f"{{{rule.least}}}")
-    return text.rlike(rule.java)
+        pattern = pattern.removesuffix("+") + f"{{{rule.least}}}"
+    return f"rlike({body}, {_text(pattern)})"
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text: str = "text", rules=RULES, name: str = "found", index: DataFrame | None = None) -> DataFrame:
@@ -174,19 +168,18 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text: str = "text", rules=RULE
     index = stage(postings(docs, id_col, text, rules), "postings") if index is None else index
     key, hits = fresh("__key", docs.columns), fresh("__hits", docs.columns)
     chosen = stage(candidates(index, rules), "candidates").withColumnsRenamed({"key": key, "hits": hits})
-    body = F.coalesce(F.col(text), F.lit(""))
-    nothing = F.array().cast("array<struct<s:int,rank:int,kind:string,e:int>>")
+    body = f"coalesce({_name(text)}, '')"
 
-    def spans_of(rank: int, rule: Rule) -> Column:
-        spans = F.transform(_places(body, rule), lambda p: F.struct(p["s"].alias("s"), F.lit(rank).alias("rank"), F.lit(rule.kind).alias("kind"), p["e"].alias("e")))
+    def spans_of(rank: int, rule: Rule) -> str:
+        spans = f"transform({_places(body, rule)}, p -> struct(p.s AS s, {rank} AS rank, {_text(rule.kind)} AS kind, p.e AS e))"
         asked = _gate(body, rule)
         if trigrams_of(rule.query):
-            asked = (F.coalesce(F.col(hits), F.lit(0)).bitwiseAND(F.lit(1 << rank)) > 0) & asked
-        return F.when(asked, spans).otherwise(nothing)
+            asked = f"(coalesce({_name(hits)}, 0L) & {1 << rank}L) > 0 AND {asked}"
+        return f"CASE WHEN {asked} THEN {spans} ELSE cast(array() AS array<struct<s:int,rank:int,kind:string,e:int>>) END"
 
-    lists = [spans_of(rank, rule) for rank, rule in enumerate(rules)]
-    joined_rows = docs.withColumn(key, row_key(id_col, text)).join(chosen, key, "left")
-    return joined_rows.withColumn(name, F.array_sort(F.concat(*lists))).drop(key, hits)
+    found = f"array_sort(concat({', '.join(spans_of(rank, rule) for rank, rule in enumerate(rules))}))"
+    rows = docs.withColumn(key, row_key(id_col, text)).join(chosen, key, "left")
+    return rows.withColumn(name, F.expr(found)).drop(key, hits)
 
 
 def joined(found: Column) -> Column:
