@@ -36,18 +36,19 @@ def fresh(name: str, columns: list[str]) -> str:
     return name
 
 
-def join_spread(many: DataFrame, one: DataFrame, key: str, size: str, most: int = CELL) -> DataFrame:
+def join_spread(many: DataFrame, one: DataFrame, key: str, size: str, most: int = CELL, spread: list[str] | None = None) -> DataFrame:
     """``many`` joined with ``one``, which has a row a key and in ``size`` how many rows of
     ``many`` have that key; ``size`` is dropped.
 
     A key of more than ``most`` rows is dealt over cells by its rows' digests, and its row of
-    ``one`` is repeated for each cell, so no task gets a hot key whole. The table of hot keys
+    ``one`` is repeated for each cell, so no task gets a hot key whole. ``spread``: the columns
+    whose digest deals the rows, all if none are named. The table of hot keys
     has a row for ``most`` rows at the least; the engine broadcasts it while it is small and
     splits the join where it isn't.
     """
     tiles = F.ceil(F.col(size) / most).cast("int")
     hot = stage(one.where(F.col(size) > most).select(key, tiles.alias("__tiles")), "hot")
-    cell = F.coalesce(F.pmod(F.xxhash64(*many.columns), F.col("__tiles")), F.lit(0)).cast("int")
+    cell = F.coalesce(F.pmod(F.xxhash64(*(spread or many.columns)), F.col("__tiles")), F.lit(0)).cast("int")
     dealt = many.join(hot, key, "left").withColumn("__cell", cell).drop("__tiles")
     copies = one.withColumn("__cell", F.explode(F.sequence(F.lit(0), F.greatest(tiles - 1, F.lit(0))))).drop(size)
     return dealt.join(copies, [key, "__cell"]).drop("__cell")
