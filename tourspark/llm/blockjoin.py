@@ -8,7 +8,8 @@ k-th best lower bound is gone; the others are recomputed on the original doubles
 heap of k rows a query merges the tiles.
 
 A cell of work is a chunk of queries with a share of the candidates. Its rows stream
-through one task, queries first, so memory holds the chunk and one batch.
+through one task, queries first, so memory holds the chunk and one batch. What is moved is
+every candidate once for each chunk of queries: rows times chunks.
 """
 
 from __future__ import annotations
