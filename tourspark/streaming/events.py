@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import time
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -34,9 +34,31 @@ def staged_copies(rows: list[DataFrame], gap: float = 0.0) -> str:
     return path
 
 
-def stream_of(spark: SparkSession, path: str, delay: str = PATIENT, files: int = 1) -> DataFrame:
-    """``files``: how many a batch takes; one here, so that small tables make several batches."""
-    return spark.readStream.schema(EVENT).option("maxFilesPerTrigger", files).parquet(path).withWatermark("ts", delay)
+def stream_of(spark: SparkSession, path: str, delay: str = PATIENT, files: int | None = 1) -> DataFrame:
+    """``files``: how many a batch takes; one here, so that small tables make several batches.
+    None: all that are there."""
+    source = spark.readStream.schema(EVENT)
+    if files is not None:
+        source = source.option("maxFilesPerTrigger", files)
+    return source.parquet(path).withWatermark("ts", delay)
+
+
+def stream_in_steps(rows: list[DataFrame], delay: str = PATIENT) -> tuple[DataFrame, Iterator[None]]:
+    """A stream, and the steps by which it gets the parts of the list.
+
+    A step writes the next part, in as many files as its tasks make; a run of the stream
+    after each step takes them all as one batch, so batches don't depend on the table's size.
+    """
+    spark = rows[0].sparkSession
+    path = stage_path(spark, "stream")
+    rows[0].limit(0).write.parquet(path)  # a stream needs its folder
+
+    def steps() -> Iterator[None]:
+        for part in rows:
+            part.write.mode("append").parquet(path)
+            yield
+
+    return stream_of(spark, path, delay, None), steps()
 
 
 def halves(rows: DataFrame) -> list[DataFrame]:
@@ -44,8 +66,8 @@ def halves(rows: DataFrame) -> list[DataFrame]:
     return [rows.where("event_id % 2 = 0"), rows.where("event_id % 2 = 1")]
 
 
-def drain(stream: DataFrame, mode: str, keys: list[str] | None = None) -> DataFrame:
-    """Run a stream over what is there and give its final rows.
+def drain(stream: DataFrame, mode: str, keys: list[str] | None = None, steps: Iterable[None] = (None,)) -> DataFrame:
+    """Run a stream over what is there, after each of the steps, and give its final rows.
 
     Every batch is written with its number, so a batch that is run again replaces itself.
     ``update``: the last row of each key counts; ``complete``: the last batch does.
@@ -57,8 +79,9 @@ def drain(stream: DataFrame, mode: str, keys: list[str] | None = None) -> DataFr
     def keep(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{out}/batch={number}")
 
-    run = stream.writeStream.outputMode(mode).option("checkpointLocation", check).trigger(availableNow=True).foreachBatch(keep).start()
-    run.awaitTermination()
+    for _ in steps:
+        run = stream.writeStream.outputMode(mode).option("checkpointLocation", check).trigger(availableNow=True).foreachBatch(keep).start()
+        run.awaitTermination()
     found = spark.read.schema(schema.add("batch", "long")).option("basePath", out).parquet(f"{out}/batch=*")
     names = [f.name for f in schema.fields if f.name != "batch"]
     if mode == "append":
@@ -119,9 +142,9 @@ def with_parts(stream: DataFrame, vertices: DataFrame) -> DataFrame:
 DAY = 86_400
 
 
-def circuits_of_days(stream: DataFrame, build: Callable[[DataFrame], DataFrame], delay: int = 0) -> tuple[DataFrame, DataFrame]:
+def circuits_of_days(stream: DataFrame, build: Callable[[DataFrame], DataFrame], delay: int = 0, steps: Iterable[None] = (None,)) -> tuple[DataFrame, DataFrame]:
     """What ``build`` gives of the rows of each day, once the day is closed; and the rows that
-    came too late, by batch: (batch, late).
+    came too late, by batch: (batch, late). The stream is run after each of the steps.
 
     A batch's rows are written and wait. A day is closed when a row ``delay`` seconds after
     its end has come; then it is built once, from all batches that brought rows of it, and
@@ -157,8 +180,9 @@ def circuits_of_days(stream: DataFrame, build: Callable[[DataFrame], DataFrame],
         done = waiting(number).where(closed(before, marks(number + 1)))
         build(done.select(stage_rows.columns)).write.mode("overwrite").parquet(f"{out}/batch={number}")
 
-    run = stream.writeStream.option("checkpointLocation", check).trigger(availableNow=True).foreachBatch(each).start()
-    run.awaitTermination()
+    for _ in steps:
+        run = stream.writeStream.option("checkpointLocation", check).trigger(availableNow=True).foreachBatch(each).start()
+        run.awaitTermination()
     late = spark.read.schema("batch long, top long, late long").parquet(f"{seen}/*").select("batch", "late")
     last = late.agg(F.max("batch")).first()[0]
     rest = waiting(last).where((F.col("day") + 1) * DAY > marks(last + 1)).drop("batch")
