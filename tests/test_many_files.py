@@ -14,6 +14,6 @@ def many_files(spark, tmp_path_factory):
     return str(folder)
 
 
-@pytest.mark.parametrize("name", ["st_late"])
+@pytest.mark.parametrize("name", ["st_late", "st_circuit_of_windows"])
 def test_batches_do_not_go_by_files(spark, duck, rows_of, many_files, name):
     assert rows_of(catalog.queries()[name](spark, many_files)) == duck(catalog.oracle_sql()[name])

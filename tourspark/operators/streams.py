@@ -97,5 +97,5 @@ def st_circuit_of_windows(spark, sf_dir):
     noon, so one day's rows come in two."""
     rows = ev.rows_of(spark, sf_dir)
     noon = F.lit("2024-01-15 12:00:00").cast("timestamp")
-    path = ev.staged_copies([rows.where(F.col("ts") < noon), rows.where(F.col("ts") >= noon)], gap=1.5)
-    return ev.circuits_of_days(ev.stream_of(spark, path), day_circuits)[0]
+    stream, steps = ev.stream_in_steps([rows.where(F.col("ts") < noon), rows.where(F.col("ts") >= noon)])
+    return ev.circuits_of_days(stream, day_circuits, steps=steps)[0]
