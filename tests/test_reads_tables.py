@@ -6,7 +6,7 @@ from pyspark.errors import AnalysisException
 from tests_support import SMALL
 from tourspark.operators import catalog
 
-MOVED = ["graph_complete_odd"]
+MOVED = ["graph_complete_odd", "graph_grid_doubled"]
 
 
 @pytest.mark.parametrize("name", MOVED)
