@@ -6,7 +6,7 @@ from pyspark.errors import AnalysisException
 from tests_support import SMALL
 from tourspark.operators import catalog
 
-MOVED = ["graph_complete_odd", "graph_grid_doubled", "level_stats_worked"]
+MOVED = ["graph_complete_odd", "graph_grid_doubled", "level_stats_worked", "merge_tree_worked"]
 
 
 @pytest.mark.parametrize("name", MOVED)
