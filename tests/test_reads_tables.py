@@ -6,7 +6,7 @@ from pyspark.errors import AnalysisException
 from tests_support import SMALL
 from tourspark.operators import catalog
 
-MOVED = ["graph_complete_odd", "graph_grid_doubled", "level_stats_worked", "merge_tree_worked", "op_datasource_rmat", "op_datasource_torus", "sequential_one_task_audit_worked", "single_token_audit"]
+MOVED = ["graph_complete_odd", "graph_grid_doubled", "level_stats_worked", "merge_tree_worked", "op_datasource_rmat", "op_datasource_torus", "sequential_one_task_audit_worked", "single_token_audit", "supersteps"]
 
 
 @pytest.mark.parametrize("name", MOVED)
