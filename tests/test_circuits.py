@@ -114,6 +114,23 @@ def test_covering_walk(spark):
     assert [tuple(r) for r in extensions.cover_summary(g, walk, extra).collect()] == [(True, True, 4)]
 
 
+def test_covering_walk_at_a_hub_stays_linear(spark, monkeypatch):
+    """600 odd leaves of one hub: no table of balls or pairs grows with their square."""
+    g = Graph.from_edges(spark.range(1, 601).selectExpr("0L AS u", "id AS v"))
+    g = g.map_edges(stage(g.edges, "star"))
+    sizes: list[int] = []
+
+    def counted(df, label, *more):
+        out = stage(df, label, *more)
+        sizes.append(out.count())
+        return out
+
+    monkeypatch.setattr(extensions, "stage", counted)
+    walk, extra = extensions.covering_walk(g)
+    assert extra == 600 and max(sizes) <= 4 * 600
+    assert [tuple(r) for r in extensions.cover_summary(g, walk, extra).collect()] == [(True, True, 600)]
+
+
 def test_null_ends_are_left_out_and_an_empty_graph_has_no_circuit(spark):
     rows = spark.createDataFrame([(1, None), (None, 2)], "u long, v long")
     g = Graph.from_edges(rows)

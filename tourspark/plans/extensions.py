@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tourspark.functions.graph import Graph, bidirect, odd_vertices
@@ -44,10 +44,12 @@ def covering_walk(g: Graph) -> tuple[DataFrame, int]:
     """A closed walk over all edges of every component, some of them again, and how many
     more edges it takes.
 
-    Odd vertices are paired greedily: growing balls around them meet along shortest paths,
-    the nearest pairs first; the edges of a pair's path are doubled. It isn't always the
-    least number of edges. Distances grow by one a round, until no odd vertex is left: a
-    component has an even number of them, so all find a partner.
+    Odd vertices are paired greedily: balls around them grow by one a round, and where balls
+    meet in a vertex their centres are paired, the nearest first, until no vertex is in two
+    balls; so the balls of all that are left have no more rows than the graph has vertices,
+    whatever hubs it has. The edges of the pair's ways to where they meet are doubled. It isn't
+    always the least number of edges. A component has an even number of odd vertices, so all
+    find a partner.
     """
     left = stage(odd_vertices(g).select("v"), "odd")
     steps = stage(bidirect(g.edges).where("src <> dst").groupBy("src", "dst").agg(F.min("eid").alias("eid")), "steps")
@@ -58,12 +60,14 @@ def covering_walk(g: Graph) -> tuple[DataFrame, int]:
         grown = reach.join(steps, reach["at"] == steps["src"]).select("from", F.col("dst").alias("at"), F.concat("way", F.array("eid")).alias("way"))
         both = reach.unionByName(grown).groupBy("from", "at").agg(F.min(F.struct(F.size("way").alias("n"), "way")).alias("b")).select("from", "at", "b.way")
         reach = stage(both, "reach")
-        meets = reach.join(left.withColumnRenamed("v", "at"), "at", "left_semi").where("`from` < at")
-        found = _disjoint(meets)
-        if not found.isEmpty():
+        while True:
+            meets = stage(_neighbours(reach), "meets")
+            if meets.isEmpty():
+                break
+            found = _disjoint(meets)
             edges = found.select(F.explode("way").alias("eid"))
             extra = edges if extra is None else extra.unionByName(edges)
-            gone = found.select(F.explode(F.array("x", "y")).alias("v"))
+            gone = stage(found.select(F.explode(F.array("x", "y")).alias("v")), "gone")
             left = stage(left.join(gone, "v", "left_anti"), "odd")
             reach = stage(reach.join(gone.withColumnRenamed("v", "from"), "from", "left_anti"), "reach")
     if extra is None:
@@ -76,6 +80,15 @@ def covering_walk(g: Graph) -> tuple[DataFrame, int]:
     return circuit(even), again.count()
 
 
+def _neighbours(reach: DataFrame) -> DataFrame:
+    """(from, at, way): centres whose balls meet, two by two in order of distance at each
+    vertex, so there are half as many pairs as rows at most; of a pair its shortest way."""
+    own = Window.partitionBy("at").orderBy(F.size("way"), "from")
+    ranked = reach.withColumn("k", F.floor((F.row_number().over(own) - 1) / 2))
+    met = ranked.groupBy("at", "k").agg(F.min("from").alias("x"), F.max("from").alias("y"), F.flatten(F.collect_list("way")).alias("way")).where("x < y")
+    return met.groupBy("x", "y").agg(F.min(F.struct(F.size("way").alias("n"), "way")).alias("b")).select(F.col("x").alias("from"), F.col("y").alias("at"), "b.way")
+
+
 def _disjoint(meets: DataFrame) -> DataFrame:
     """(x, y, way): pairs that share no vertex, the nearest first, from all candidates.
 
