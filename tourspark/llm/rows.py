@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -22,6 +25,14 @@ def text_rows(docs: DataFrame, id_col: str, text: str, *more: Column, empty: boo
     return docs.select(F.col(id_col).cast("string").alias("id"), *more, body.alias("t"))
 
 
+def few_rows(batches: Iterator[pd.DataFrame], most: int) -> Iterator[pd.DataFrame]:
+    """All rows of the batches in turn, ``most`` at a time, so that what is made from them is
+    not held for a whole batch."""
+    for rows in batches:
+        for at in range(0, len(rows), most):
+            yield rows.iloc[at : at + most]
+
+
 def named(made: DataFrame, docs: DataFrame, id_col: str) -> DataFrame:
     """``made`` with its id in the type and under the name that it has in ``docs``."""
     rest = [c for c in made.columns if c != "id"]
