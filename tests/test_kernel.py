@@ -130,3 +130,23 @@ def test_sequential_tour_on_random_even_graphs(seed):
         by.setdefault(t[0], []).append(t)
     for rows in by.values():
         assert all(a[3] == b[2] for a, b in zip(rows, rows[1:] + rows[:1], strict=True))
+
+
+def test_a_tour_takes_some_hundred_bytes_an_edge():
+    """A task holds a whole component, so an edge must not cost several Python objects."""
+    import tracemalloc
+
+    import pandas as pd
+
+    from tourspark.plans.baselines import _toured
+
+    n = 20_000
+    walk = np.random.default_rng(5).integers(0, 700, n)
+    rows = pd.DataFrame({"comp": 0, "eid": np.arange(n), "u": walk, "v": np.roll(walk, -1)})
+    tracemalloc.start()
+    made = _toured(rows)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 250 * n
+    assert sorted(made["eid"]) == list(range(n)) and made["pos"].tolist() == list(range(n))
+    assert (made["dst"].to_numpy()[:-1] == made["src"].to_numpy()[1:]).all()
