@@ -39,3 +39,10 @@ def test_small_sides_are_broadcast(spark):
 def test_no_plan_brings_all_rows_to_one_task(spark):
     for build in (graphs.supplier_loops, graphs.event_trail, graphs.order_part):
         assert "SinglePartition" not in plan(Graph.from_edges(build(spark, SMALL)).edges)
+
+
+def test_tables_of_vertices_stay_out_of_the_driver(spark):
+    g = Graph.from_edges(graphs.supplier_loops(spark, SMALL))
+    parts = stage(fg.vertex_parts(g.with_partition("hash", 4)), "plan")
+    text = plan(fg.split_edges(Graph(stage(g.edges, "plan"), parts, 4)))
+    assert "BroadcastHashJoin" not in text and text.count("SortMergeJoin") == 2
