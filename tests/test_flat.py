@@ -67,3 +67,23 @@ def test_a_part_says_the_same_of_itself_either_way(n):
         assert (r["seq"], r["off"]) == (len(by.setdefault(r["fid"], [])), 3 * len(by[r["fid"]])) and (not by[r["fid"]] or by[r["fid"]][-1] == r["a"])
         by[r["fid"]].append(r["b"])
     assert all(by[r["fid"]][-1] == r["dst"] for r in heads)
+
+
+def test_items_that_nobody_reads_stay_in_the_task():
+    """Fragments and figures are the same; the items are walked, but not handed out."""
+    rng = np.random.default_rng(5)
+    n = phase1.FLAT + 1
+    a, b = rng.integers(0, n // 5, n), rng.integers(0, n // 5, n)
+    zero = np.zeros(n, np.int32)
+    told = []
+    for keep in (True, False):
+        rows = [r for t in phase1.run_part(1, 2, np.zeros(n, bool), np.arange(n), a, b, np.ones(n, np.int64), zero, zero, True, keep_items=keep) for r in t.to_pylist()]
+        assert any(r["tag"] == "item" for r in rows) == keep
+        told.append([(r["tag"], r["fid"], r["ftype"], r["src"], r["dst"], r["n_edges"], r["len"]) for r in rows if r["tag"] != "item"])
+    assert told[0] == told[1] and len(told[0]) > 1
+
+
+def test_items_lie_in_order_of_kind_and_id():
+    rng = np.random.default_rng(6)
+    item, coarse = rng.permutation(5000), rng.random(5000) < 0.3
+    assert phase1._in_order(coarse, item).tolist() == np.lexsort([item, coarse]).tolist()
