@@ -35,6 +35,12 @@ def test_detail(spark, ledgers):
     _nothing_but_heads(ledgers, 2)
 
 
+def test_complexity_fit(spark, ledgers):
+    rows = {r["graph"]: r for r in workloads.workload_complexity_fit(spark, SMALL).collect()}
+    assert {k: r["n"] for k, r in rows.items()} == {"supplier_loops": 15, "order_part_repaired": 15}
+    _nothing_but_heads(ledgers, 2)
+
+
 def test_levels_are_the_same_without_items(spark):
     g = graphs.even_graph(spark, SMALL, "supplier_loops", 4)
     g = g.map_edges(stage(g.edges, "p"))
