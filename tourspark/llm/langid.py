@@ -18,7 +18,7 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tourspark.llm.quality import held_out
-from tourspark.llm.rows import named, text_rows
+from tourspark.llm.rows import Packed, in_one_task, named, text_rows
 from tourspark.session import ship
 
 WORD = re.compile(r"[^\W\d_]+")
@@ -68,7 +68,7 @@ class Model:
         doesn't saturate with length. One word more counts as known, so a few unseen words
         alone say little.
         """
-        counts = Counter(WORD.findall(text.lower())) if text else {}
+        counts = Counter(WORD.findall(text.lower())) if text and self.langs else {}
         rows, times, rest = [], [], np.zeros(len(self.langs))
         get, words = self.word.get, 0
         for w, n in counts.items():
@@ -127,17 +127,12 @@ def fit(words: dict[str, Counter], grams: dict[str, Counter] | None = None, long
     return Model(langs, word, gram, np.concatenate(table), longest)
 
 
-def train(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lang: str = "lang", sample: int = 1500, longest: int = 4) -> Model:
-    """Fit on rows with a language and an id that are not held out.
-
-    Of each language about ``sample`` rows, those below a threshold of the hash of their id,
-    are counted where they lie; the counts of all their words and n-grams come to the driver,
-    so the sample alone bounds the model. Nothing of the sample is left out.
-    """
+def _counts(docs: DataFrame, id_col: str, text: str, lang: str, sample: int, longest: int) -> tuple[list[str], DataFrame | None]:
+    """The languages, and (l, gram, w, n): counts of the sample's words and n-grams."""
     labelled = docs.where(F.col(lang).isNotNull() & F.col(id_col).isNotNull() & ~held_out(F.col(id_col), 4, 2)).select(F.col(id_col).alias("id"), F.col(text).alias("t"), F.col(lang).cast("string").alias("l"))
     sizes = {r["l"]: r["count"] for r in labelled.groupBy("l").count().collect()}  # a row a language
     if not sizes:
-        return Model([], {}, {}, np.zeros((0, 0)), 1)
+        return [], None
     share = F.create_map(*[F.lit(x) for l, n in sizes.items() for x in (l, min(1.0, sample / n))])
     place = F.pmod(F.xxhash64("id"), F.lit(1 << 30)) / F.lit(float(1 << 30))
 
@@ -156,14 +151,45 @@ def train(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lang: str
 
     ship(docs.sparkSession)
     chosen = labelled.where(place < share[F.col("l")])
-    counted = chosen.mapInPandas(count, "l string, gram boolean, w string, n long").groupBy("l", "gram", "w").agg(F.sum("n").alias("n"))
-    words, grams = ({l: Counter() for l in sizes} for _ in range(2))
-    found = counted.toArrow()
-    for l, gram, w, n in zip(*(found[c].to_pylist() for c in ("l", "gram", "w", "n")), strict=True):
+    return list(sizes), chosen.mapInPandas(count, "l string, gram boolean, w string, n long").groupBy("l", "gram", "w").agg(F.sum("n").alias("n"))
+
+
+def _fitted(langs: list[str], rows: Iterable[tuple], longest: int) -> Model:
+    """The model of rows (l, gram, w, n)."""
+    words, grams = ({l: Counter() for l in langs} for _ in range(2))
+    for l, gram, w, n in rows:
         (grams if gram else words)[l][w] = n
     return fit(words, grams, longest)
 
 
+def _none() -> Model:
+    return Model([], {}, {}, np.zeros((0, 0)), 1)
+
+
+def train(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lang: str = "lang", sample: int = 1500, longest: int = 4) -> Model:
+    """Fit on rows with a language and an id that are not held out.
+
+    Of each language about ``sample`` rows, those below a threshold of the hash of their id,
+    are counted where they lie; the counts of all their words and n-grams come to the driver,
+    so the sample alone bounds the model. Nothing of the sample is left out.
+    """
+    langs, counted = _counts(docs, id_col, text, lang, sample, longest)
+    if counted is None:
+        return _none()
+    found = counted.toArrow()
+    return _fitted(langs, zip(*(found[c].to_pylist() for c in ("l", "gram", "w", "n")), strict=True), longest)
+
+
+def train_away(docs: DataFrame, id_col: str = "doc_id", text: str = "text", lang: str = "lang", sample: int = 1500, longest: int = 4) -> Packed | Model:
+    """The same model for ``identify`` and ``keep_known``, fitted in a task: the counts don't
+    come to the driver, which would keep their memory."""
+    langs, counted = _counts(docs, id_col, text, lang, sample, longest)
+    if counted is None:
+        return _none()
+    made = in_one_task(counted.repartition(1), lambda found: _fitted(langs, zip(*(found[c] for c in ("l", "gram", "w", "n")), strict=True), longest))
+    return made or _fitted(langs, [], longest)
+
+
 def _predict(batches: Iterator[pd.DataFrame], model: Model) -> Iterator[pd.DataFrame]:
     cache: dict[str, np.ndarray] = {}
     for rows in batches:

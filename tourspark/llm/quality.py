@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from tourspark.llm.rows import named, text_rows
+from tourspark.llm.rows import Packed, in_one_task, named, text_rows
 from tourspark.session import ship
 
 #: Most bytes of words whose shapes a task remembers.
@@ -161,14 +161,8 @@ def held_out(doc_id: Column, parts: int, part: int) -> Column:
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(parts)) == part, F.lit(False))
 
 
-def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "quality", sample: int = 5000, sample_chars: int = 50_000_000, **options) -> Model:
-    """Fit on the ``sample`` labelled rows first in hash order of their ids that are not held
-    out, or on those of them that begin within the first ``sample_chars`` characters.
-
-    Null labels and ids are left out. An id that is repeated on either side gives that many
-    rows, which count towards both bounds, so they bound what comes to the driver. With an
-    empty table the score is constant.
-    """
+def _sample(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "quality", sample: int = 5000, sample_chars: int = 50_000_000) -> DataFrame:
+    """(id, y, t): the rows that ``train`` fits on, in one partition."""
     wanted = (
         labels.where(F.col(label).isin(0, 1) & F.col(id_col).isNotNull() & ~held_out(F.col(id_col), 3, 1))
         .select(F.col(id_col).alias("id"), F.col(label).cast("int").alias("y"))
@@ -179,11 +173,30 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text: str
     rows = docs.select(F.col(id_col).alias("id"), F.col(text).alias("t")).join(chosen, "id").withColumn("h", F.xxhash64("id")).orderBy(*place).limit(sample)
     # one window over these few rows, for the sum of their lengths
     before = Window.partitionBy(F.lit(0)).orderBy(*place).rowsBetween(Window.unboundedPreceding, -1)
-    rows = rows.withColumn("before", F.coalesce(F.sum(F.coalesce(F.length("t"), F.lit(0))).over(before), F.lit(0))).where(F.col("before") < sample_chars)
-    found = rows.orderBy("id", "y", "t").select("t", "y").collect()
+    return rows.withColumn("before", F.coalesce(F.sum(F.coalesce(F.length("t"), F.lit(0))).over(before), F.lit(0))).where(F.col("before") < sample_chars).select("id", "y", "t")
+
+
+def train(docs: DataFrame, labels: DataFrame, **options) -> Model:
+    """Fit on the ``sample`` labelled rows first in hash order of their ids that are not held
+    out, or on those of them that begin within the first ``sample_chars`` characters.
+
+    Null labels and ids are left out. An id that is repeated on either side gives that many
+    rows, which count towards both bounds, so they bound what comes to the driver. With an
+    empty table the score is constant.
+    """
+    bounds = {k: options.pop(k) for k in ("id_col", "text", "label", "sample", "sample_chars") if k in options}
+    found = _sample(docs, labels, **bounds).orderBy("id", "y", "t").select("t", "y").collect()
     return fit([r["t"] for r in found], [r["y"] for r in found], **options)
 
 
+def train_away(docs: DataFrame, labels: DataFrame, **bounds) -> Packed | Model:
+    """The same model for ``score`` and ``keep_good``, fitted in a task: the driver gets neither
+    the sample's texts nor the n-grams as objects, whose memory it would keep."""
+    ship(docs.sparkSession)
+    rows = _sample(docs, labels, **bounds).coalesce(1).sortWithinPartitions("id", "y", "t").select("t", "y")
+    return in_one_task(rows, lambda found: fit(found["t"].tolist(), found["y"].tolist())) or fit([], [])
+
+
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """(id, held_out, score, predicted) of every row; null and empty texts get the score of
     no n-grams. Texts are read whole, however long; equal texts score alike. Repeated rows

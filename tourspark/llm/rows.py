@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import pickle
+from collections.abc import Callable, Iterator
+from typing import Any
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
@@ -63,3 +65,29 @@ def join_spread(many: DataFrame, one: DataFrame, key: str, size: str, most: int
     dealt = many.join(hot, key, "left").withColumn("__cell", cell).drop("__tiles")
     copies = one.withColumn("__cell", F.explode(F.sequence(F.lit(0), F.greatest(tiles - 1, F.lit(0))))).drop(size)
     return dealt.join(copies, [key, "__cell"]).drop("__cell")
+
+
+class Packed:
+    """A model as bytes, for the driver to hand on: what is unpickled elsewhere is the model."""
+
+    def __init__(self, data: bytes):
+        self.data = data
+
+    def __reduce__(self) -> tuple:
+        return pickle.loads, (self.data,)
+
+    def open(self) -> Any:
+        return pickle.loads(self.data)
+
+
+def in_one_task(rows: DataFrame, make: Callable[[pd.DataFrame], Any]) -> Packed | None:
+    """What ``make`` makes of all ``rows``, which are in one partition, made in its task; none
+    if there are no rows. Rows must be bounded by their caller."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held = [b for b in batches if len(b)]
+        if held:
+            yield pd.DataFrame({"made": [pickle.dumps(make(pd.concat(held, ignore_index=True)), pickle.HIGHEST_PROTOCOL)]})
+
+    found = rows.mapInPandas(run, "made binary").collect()
+    return Packed(bytes(found[0]["made"])) if found else None
