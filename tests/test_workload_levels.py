@@ -3,8 +3,9 @@
 import pytest
 
 from tourspark import graphs
+from tourspark.functions.graph import Graph
 from tourspark.operators import workloads
-from tourspark.plans import measures, phase2
+from tourspark.plans import measures, partitioners, phase2
 from tourspark.plans.ledger import Ledger
 from tourspark.session import stage
 
@@ -41,6 +42,11 @@ def test_complexity_fit(spark, ledgers):
     _nothing_but_heads(ledgers, 2)
 
 
+def test_partitioned_detail(spark, ledgers):
+    assert sorted(map(tuple, workloads.workload_partitioned_detail(spark, SMALL).collect())) == [(level, True) for level in range(4)]
+    _nothing_but_heads(ledgers, 1)
+
+
 def test_levels_are_the_same_without_items(spark):
     g = graphs.even_graph(spark, SMALL, "supplier_loops", 4)
     g = g.map_edges(stage(g.edges, "p"))
@@ -50,3 +56,28 @@ def test_levels_are_the_same_without_items(spark):
     assert heads[0] == heads[1] and figures[0] == figures[1] and heads[0]
     with pytest.raises(ValueError):
         phase2.build(g, keep_items=False, ledger_path="/tmp/none")
+
+
+def test_growth_leaves_what_is_done(spark, monkeypatch):
+    """No round keeps what is next to a full part, and edges between vertices that have parts
+    are dropped on the way."""
+    seen = []
+
+    def kept(df, label, *rest, stage=partitioners.stage):
+        made = stage(df, label, *rest)
+        seen.append((label, made))
+        return made
+
+    monkeypatch.setattr(partitioners, "stage", kept)
+    g = Graph.from_edges(graphs.torus(spark, 12, 12))
+    at = g.with_partition("bfs", 4, slack=0.0)
+    assert sorted(r["count"] for r in at.vertices.groupBy("part").count().collect()) == [36] * 4
+    full, held = set(), []
+    for label, made in seen:
+        if label == "growth":
+            full = {r["part"] for r in made.groupBy("part").count().where("count = 36").collect()}
+        elif label == "border" and full:
+            held.append({r["part"] for r in made.select("part").distinct().collect()} & full)
+    assert held and not any(held)
+    near = [made.count() for label, made in seen if label == "neighbours"]
+    assert len(near) > 1 and near[-1] < near[0] / 2
