@@ -150,3 +150,46 @@ def test_a_tour_takes_some_hundred_bytes_an_edge():
     assert peak < 250 * n
     assert sorted(made["eid"]) == list(range(n)) and made["pos"].tolist() == list(range(n))
     assert (made["dst"].to_numpy()[:-1] == made["src"].to_numpy()[1:]).all()
+
+
+def test_tours_are_made_in_pieces_of_a_component_at_a_time():
+    """Rows come in batches of any size; neither they nor the tour are held as a whole table."""
+    import pyarrow as pa
+
+    from tourspark.plans.baselines import PIECE, toured
+
+    n, rng, rows = 200_000, np.random.default_rng(6), []
+    for comp, size in ((0, 5), (10_000, n), (30_000, 1), (40_000, 7)):
+        walk = comp + rng.integers(0, max(1, size // 20), size)
+        rows += list(zip([comp] * size, range(len(rows), len(rows) + size), walk.tolist(), np.roll(walk, -1).tolist(), strict=True))
+    whole = pa.table({c: np.array(x, np.int64) for c, x in zip(("comp", "eid", "u", "v"), zip(*rows, strict=True), strict=True)})
+    ends = {e: {a, b} for _, e, a, b in rows}
+    of = {e: c for c, e, _, _ in rows}
+    del rows
+    seen, last = 0, {}
+    for batch in toured(iter(whole.to_batches(max_chunksize=10_007))):
+        assert batch.num_rows <= PIECE
+        for tour, pos, e, a, b in zip(*(batch.column(c).to_pylist() for c in ("comp", "pos", "eid", "src", "dst")), strict=True):
+            assert {a, b} == ends.pop(e)
+            at = last.get((of[e], tour))
+            assert pos == (0 if at is None else at[0] + 1) and (at is None or at[1] == a)
+            last[of[e], tour] = (pos, b)
+        seen += batch.num_rows
+    assert not ends and seen == n + 13
+
+
+def test_a_tour_of_pieces_takes_some_fifty_bytes_an_edge():
+    import tracemalloc
+
+    import pyarrow as pa
+
+    from tourspark.plans.baselines import toured
+
+    n = 100_000
+    walk = np.random.default_rng(5).integers(0, 3000, n)
+    whole = pa.table({"comp": np.zeros(n, np.int64), "eid": np.arange(n), "u": walk, "v": np.roll(walk, -1)})
+    tracemalloc.start()
+    made = sum(b.num_rows for b in toured(iter(whole.to_batches(max_chunksize=5_000))))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert made == n and peak < 80 * n
