@@ -81,3 +81,18 @@ def test_growth_leaves_what_is_done(spark, monkeypatch):
     assert held and not any(held)
     near = [made.count() for label, made in seen if label == "neighbours"]
     assert len(near) > 1 and near[-1] < near[0] / 2
+
+
+def test_parts_of_several_numbers_share_what_they_grow_on(spark, monkeypatch):
+    """The neighbours are worked out once for all eight rows, and the parts joined once a row."""
+    from tourspark.operators import catalog
+    from tourspark.plans import measures, partitioners
+
+    asked, split = [], []
+    neighbours, edges = partitioners._neighbours, measures.split_edges
+    monkeypatch.setattr(partitioners, "_neighbours", lambda g: asked.append(1) or neighbours(g))
+    monkeypatch.setattr(measures, "split_edges", lambda g: split.append(1) or edges(g))
+    rows = catalog.queries()["workload_partitioned"](spark, "/root/testdata/sf0.001").collect()
+    assert len(asked) == 1 and len(split) == 8
+    assert sorted((r["how"], r["parts"]) for r in rows) == [(h, n) for h in ("bfs", "lpa") for n in (2, 3, 4, 8)]
+    assert len({(r["vertices"], r["edges"]) for r in rows}) == 1
